@@ -138,19 +138,21 @@ def fingerprints(docs: DataFrame, size: int = WORDS, bands: int = BANDS, rows: i
                     part.append((key, words_of(text)))
                     weight += len(text)
                 if weight > _BATCH_BYTES:
-                    yield rows_of(part, hashes)
+                    yield from rows_of(part, hashes)
                     part, weight = [], 0
-            yield rows_of(part, hashes)
+            yield from rows_of(part, hashes)
 
-    def rows_of(part: list, hashes: dict) -> pd.DataFrame:
+    def rows_of(part: list, hashes: dict) -> Iterator[pd.DataFrame]:
         part = [(k, w) for k, w in part if w]
+        if not part:  # an empty frame has no lists for Arrow to type
+            return
         owner, code, weight = shingles([w for _, w in part], hashes, size)
         found = signatures(owner, code, weight, len(part), bands * rows).reshape(len(part), bands, rows)
         code_of_band = np.zeros((len(part), bands), np.uint64)
         for r in range(rows):
             code_of_band = mix(code_of_band + _STEP + found[:, :, r])
         cuts = np.searchsorted(owner, np.arange(len(part) + 1))
-        return pd.DataFrame(
+        yield pd.DataFrame(
             {
                 "doc_id": np.array([k for k, _ in part], np.int64),
                 "key": [xxhash.xxh3_128_digest(b" ".join(w)) for _, w in part],
