@@ -3,14 +3,30 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import decontaminate, html_main_text, line_windows, mtree, probminhash, url_filter
+from . import decontaminate, html_main_text, language_id, license_scan, line_windows, mtree, probminhash, sentencepiece_lattice, token_rollup, url_filter
+from .common import scratch_dir
 
 
 def _read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_licence_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan.scan_licences(_read(spark, sf_dir, "documents"))
+
+
+def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language_id.identify_documents(_read(spark, sf_dir, "documents"))
+
+
+def language_id_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pages by all four kinds of evidence, with the text model trained on the labelled documents."""
+    model = language_id.train(_read(spark, sf_dir, "documents").select("text", "lang"))
+    return language_id.identify(language_id.page_evidence(_read(spark, sf_dir, "pages")), model)
+
+
 def op3_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge_urls(_read(spark, sf_dir, "pages")).select("page_id", "host", "path", "rule", "verdict")
 
@@ -19,6 +35,11 @@ def op4_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.contamination_report(_read(spark, sf_dir, "documents"), _read(spark, sf_dir, "benchmark"))
 
 
+def op5_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    coded = sentencepiece_lattice.decode(sentencepiece_lattice.encode(_read(spark, sf_dir, "documents")))
+    return coded.select("doc_id", "n_tokens", "ids", F.sha2("decoded", 256).alias("decoded_sha256"))
+
+
 def op6_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html_main_text.extract_main_text(_read(spark, sf_dir, "pages"))
 
@@ -31,12 +52,19 @@ def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_windows.dedup_report(_read(spark, sf_dir, "documents"))
 
 
+def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rollup = token_rollup.TokenRollup(spark, scratch_dir(spark))
+    rollup.commit("load", upserts=_read(spark, sf_dir, "documents"))
+    rollup.commit("load", upserts=_read(spark, sf_dir, "documents"))  # the same batch again changes nothing
+    return rollup.totals()
+
+
 def op10_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mtree.top_k(_read(spark, sf_dir, "embeddings"))
 
 
 def queries() -> dict:
-    named = (op3_url_filter, op4_decontaminate, op6_main_text, op7_near_duplicates, op8_line_dedup, op10_top_k)
+    named = (op1_licence_scan, op2_language_id, language_id_pages, op3_url_filter, op4_decontaminate, op5_sentencepiece, op6_main_text, op7_near_duplicates, op8_line_dedup, op9_token_counts, op10_top_k)
     return {f.__name__: f for f in named}
 
 
