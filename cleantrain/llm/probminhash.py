@@ -5,11 +5,13 @@ by its hash; each arrival goes to a random register, which keeps the earliest ar
 its next arrival is later than every register's. Two registers agree with the probability Jaccard similarity, which
 doesn't change when a whole text is repeated, and equals the plain Jaccard similarity for texts without repeats.
 
-Texts of equal words are one node. Nodes that agree on a band of registers are candidates. In each bucket one node
-at a time, the head, is compared with the others that are not yet in its class; it then leaves the bucket. So a round
-costs no more than the rows of its buckets, pairs inside a class are never emitted, and no pair of a bucket that could
-join two classes is left out. A pair is a link if its exact probability Jaccard similarity reaches the threshold;
-classes are the connected components of links.
+Texts of equal words are one node. Nodes that agree on a band of registers are candidates. First the least node of
+each bucket, its head, is compared with the others; this joins groups of near copies at the cost of the bucket's rows.
+What is left are buckets whose nodes are of several classes. There whole signatures are compared, block by block of at
+most BLOCK nodes, and only pairs of different classes whose agreement could mean the threshold (five standard
+deviations allowed) leave a block: no pair that could join two classes is left out, none is emitted without need. A
+pair is a link if its exact probability Jaccard similarity reaches the threshold; classes are the connected components
+of links.
 
 Edge cases: a text of one to four words is one shingle of all its words; null and wordless texts are in a class of
 their own; equal doc_ids with different texts are merged; rows are returned once for each input row.
@@ -31,6 +33,7 @@ from .common import scratch_table, words_of
 WORDS, SIMILARITY, BANDS, ROWS = 5, 0.8, 26, 5
 _STEP = np.uint64(0x9E3779B97F4A7C15)
 _BATCH_BYTES = 3_000_000
+BLOCK = 1024
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -127,7 +130,7 @@ def probability_jaccard(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, n
 
 
 def fingerprints(docs: DataFrame, size: int = WORDS, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """doc_id, key (of the words), n (distinct shingles), bands and packed shingles of every document with words."""
+    """doc_id, key (of the words), n (distinct shingles), bands, 16 bits of each register and packed shingles of every document with words."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         hashes = _WordHash()
@@ -158,11 +161,12 @@ def fingerprints(docs: DataFrame, size: int = WORDS, bands: int = BANDS, rows: i
                 "key": [xxhash.xxh3_128_digest(b" ".join(w)) for _, w in part],
                 "n": np.diff(cuts),
                 "bands": list(code_of_band.view(np.int64)),
+                "signature": [x.tobytes() for x in (found.reshape(len(part), -1) >> np.uint64(48)).astype("<u2")],
                 "packed": [pack_shingles(code[a:b], weight[a:b]) for a, b in zip(cuts, cuts[1:], strict=False)],
             }
         )
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInPandas(run, "doc_id long, key binary, n int, bands array<long>, packed binary")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInPandas(run, "doc_id long, key binary, n int, bands array<long>, signature binary, packed binary")
 
 
 def verified(pairs: DataFrame, nodes: DataFrame, similarity: float) -> DataFrame:
@@ -198,9 +202,36 @@ def components(links: DataFrame) -> DataFrame:
             return stars.select(F.col("u").alias("node"), F.col("v").alias("class"))
 
 
-def _with_class(rows: DataFrame, classes: DataFrame | None, node: str, name: str) -> DataFrame:
-    if classes is None:
-        return rows.withColumn(name, F.col(node))
+def agreeing(placed: DataFrame, nodes: DataFrame, similarity: float, registers: int) -> DataFrame:
+    """Pairs (a, b) of a bucket, of different classes, whose signatures agree often enough for the threshold."""
+    least = int(registers * similarity - 5 * (registers * similarity * (1 - similarity)) ** 0.5)
+    open_buckets = placed.groupBy("band", "code").agg(F.min("class").alias("low"), F.max("class").alias("high"), F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks")).where("low <> high").select("band", "code", "blocks")
+    rows = placed.join(open_buckets, ["band", "code"]).join(nodes.select("id", "signature"), "id")
+    rows = rows.withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
+    # A unit is two blocks of a bucket, or one with itself, so a large bucket is spread over tasks.
+    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")
+    units = rows.select("band", "code", "id", "class", "signature", "block", other).select("band", "code", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "id", "class", "signature", "block")
+
+    def match(part: pd.DataFrame) -> pd.DataFrame:
+        ids, classes = part["id"].to_numpy(), part["class"].to_numpy()
+        marks = np.stack([np.frombuffer(x, "<u2") for x in part["signature"]])
+        out = []
+        i, j = part["i"].iloc[0], part["j"].iloc[0]
+        left, right = np.flatnonzero(part["block"] == i), np.flatnonzero(part["block"] == j)
+        for start in range(0, len(left), 256):
+            rows = left[start : start + 256]
+            same = np.zeros((len(rows), len(right)), np.uint16)
+            for r in range(registers):
+                same += marks[rows, r][:, None] == marks[right, r][None, :]
+            a, b = np.nonzero((same >= least) & (classes[rows][:, None] != classes[right][None, :]))
+            out.append(np.column_stack([ids[rows[a]], ids[right[b]]]))
+        pairs = np.unique(np.sort(np.concatenate(out), axis=1), axis=0)
+        return pd.DataFrame(pairs, columns=["a", "b"])
+
+    return units.groupBy("band", "code", "i", "j").applyInPandas(match, "a long, b long").distinct()
+
+
+def _with_class(rows: DataFrame, classes: DataFrame, node: str, name: str) -> DataFrame:
     return rows.join(classes.select(F.col("node").alias(node), F.col("class").alias(name)), node, "left").withColumn(name, F.coalesce(name, node))
 
 
@@ -216,19 +247,14 @@ def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, size: int =
     buckets = scratch_table(filed.join(shared, ["band", "code"]))
     # doc_ids that repeat with different texts tie their texts together.
     links = [membership.groupBy("doc_id").agg(F.min("text_id").alias("a"), F.max("text_id").alias("b")).where("a <> b").select("a", "b")]
-    classes = None
-    while True:
-        placed = _with_class(buckets, classes, "id", "class")
-        heads = placed.groupBy("band", "code").agg(F.min(F.struct("id", "class")).alias("head"), F.min("class").alias("low"), F.max("class").alias("high")).where("low <> high").select("band", "code", "head")
-        open_rows = scratch_table(placed.join(heads, ["band", "code"]).where(F.col("id") != F.col("head.id")).select("band", "code", "id", "class", "head"))
-        pairs = open_rows.where(F.col("class") != F.col("head.class")).select(F.col("head.id").alias("a"), F.col("id").alias("b")).distinct()
-        if not pairs.limit(1).count():
-            break
-        links.append(scratch_table(verified(pairs, nodes, similarity)))
+    heads = buckets.groupBy("band", "code").agg(F.min("id").alias("head"))
+    first = buckets.join(heads, ["band", "code"]).where("id <> head").select(F.col("head").alias("a"), F.col("id").alias("b")).distinct()
+    links.append(scratch_table(verified(first, nodes, similarity)))
+    classes = components(reduce(DataFrame.union, links))
+    found = scratch_table(agreeing(_with_class(buckets, classes, "id", "class"), nodes, similarity, bands * rows))
+    if found.limit(1).count():
+        links.append(scratch_table(verified(found, nodes, similarity)))
         classes = components(reduce(DataFrame.union, links))
-        buckets = open_rows.select("band", "code", "id")
-    if classes is None:
-        classes = components(links[0])
     placed = _with_class(membership, classes, "text_id", "class_id").distinct()
     placed = placed.groupBy("doc_id").agg(F.min("class_id").alias("class_id"), F.min("text_id").alias("text_id"))
     sizes = placed.groupBy("class_id").agg(F.count(F.lit(1)).alias("class_size"))
