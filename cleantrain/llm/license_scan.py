@@ -230,7 +230,8 @@ def licence_paragraphs(docs: DataFrame) -> DataFrame:
     """doc_id, position, paragraph, family, probability and shared of every paragraph that carries a licence notice."""
     classes, weights, bias = trained()
     spark = docs.sparkSession
-    holds = lambda c: F.coalesce(_any([F.contains(F.translate(c, UPPER, LOWER), F.lit(a)) for a in ANCHORS]), F.lit(False))
+    # One scan of the text for all anchors; (?i) folds A-Z only.
+    holds = lambda c: F.coalesce(c.rlike("(?i)" + "|".join(ANCHORS)), F.lit(False))
     lines = docs.where(holds(F.col("text"))).select("doc_id", F.posexplode(F.split("text", "\n", -1)).alias("position", "paragraph")).where(holds(F.col("paragraph")))
     # Equal paragraphs are judged once; copies combine before the shuffle.
     each = lines.select("paragraph").distinct().withColumn("tokens", _tokens(F.col("paragraph")))
@@ -252,13 +253,6 @@ def licence_paragraphs(docs: DataFrame) -> DataFrame:
     return lines.join(found, "paragraph").select("doc_id", "position", "paragraph", "family", "probability", "shared")
 
 
-def _any(conditions: list[Column]) -> Column:
-    out = conditions[0]
-    for c in conditions[1:]:
-        out = out | c
-    return out
-
-
 def scan_licences(docs: DataFrame) -> DataFrame:
     """doc_id, n_paragraphs, n_licence, families (sorted, comma-joined; empty if none) and probability (the highest) for every row."""
     hits = licence_paragraphs(docs).groupBy(F.col("doc_id").alias("_d")).agg(F.count_distinct("position").alias("n"), F.array_join(F.array_sort(F.collect_set("family")), ",").alias("families"), F.max("probability").alias("p"))

@@ -8,10 +8,11 @@ doesn't change when a whole text is repeated, and equals the plain Jaccard simil
 Texts of equal words are one node. Nodes that agree on a band of registers are candidates. First the least node of
 each bucket, its head, is compared with the others; this joins groups of near copies at the cost of the bucket's rows.
 What is left are buckets whose nodes are of several classes. There whole signatures are compared, block by block of at
-most BLOCK nodes, and only pairs of different classes whose agreement could mean the threshold (five standard
-deviations allowed) leave a block: no pair that could join two classes is left out, none is emitted without need. A
-pair is a link if its exact probability Jaccard similarity reaches the threshold; classes are the connected components
-of links.
+most BLOCK nodes; pairs whose agreement could mean the threshold (five standard deviations allowed) are verified on
+the spot, the likeliest first, unless links found before already join them; a pair belongs to the first band in which
+it agrees. Only links that join something leave a block, so their number is below the nodes', and no pair that could
+join two classes is left out. A pair is a link if its exact probability Jaccard similarity reaches the threshold;
+classes are the connected components of links.
 
 Edge cases: a text of one to four words is one shingle of all its words; null and wordless texts are in a class of
 their own; equal doc_ids with different texts are merged; rows are returned once for each input row.
@@ -116,6 +117,11 @@ def unpack_shingles(body: bytes, n: int) -> tuple[np.ndarray, np.ndarray]:
 def probability_jaccard(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]) -> float:
     """Sum over common elements i of 1 / sum_j max(a_j/a_i, b_j/b_i), by one sort of the weights' ratios."""
     (ca, wa), (cb, wb) = a, b
+    if wa[0] == wb[0] == 1 and len(wa) == wa.sum() and len(wb) == wb.sum():  # plain sets
+        both = np.concatenate([ca, cb])
+        both.sort(kind="stable")
+        shared = int((both[1:] == both[:-1]).sum())
+        return shared / (len(ca) + len(cb) - shared)
     _, ia, ib = np.intersect1d(ca, cb, return_indices=True)
     if not len(ia):
         return 0.0
@@ -202,33 +208,54 @@ def components(links: DataFrame) -> DataFrame:
             return stars.select(F.col("u").alias("node"), F.col("v").alias("class"))
 
 
-def agreeing(placed: DataFrame, nodes: DataFrame, similarity: float, registers: int) -> DataFrame:
-    """Pairs (a, b) of a bucket, of different classes, whose signatures agree often enough for the threshold."""
+def joining_links(placed: DataFrame, nodes: DataFrame, similarity: float, bands: int, size: int) -> DataFrame:
+    """Links (a, b) inside buckets that hold several classes, enough to join what belongs together."""
+    registers = bands * size
     least = int(registers * similarity - 5 * (registers * similarity * (1 - similarity)) ** 0.5)
     open_buckets = placed.groupBy("band", "code").agg(F.min("class").alias("low"), F.max("class").alias("high"), F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks")).where("low <> high").select("band", "code", "blocks")
-    rows = placed.join(open_buckets, ["band", "code"]).join(nodes.select("id", "signature"), "id")
+    rows = placed.join(open_buckets, ["band", "code"]).join(nodes.select("id", "n", "signature", "packed"), "id")
     rows = rows.withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
     # A unit is two blocks of a bucket, or one with itself, so a large bucket is spread over tasks.
     other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")
-    units = rows.select("band", "code", "id", "class", "signature", "block", other).select("band", "code", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "id", "class", "signature", "block")
+    units = rows.select("*", other).select("band", "code", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "id", "class", "n", "signature", "packed", "block")
 
     def match(part: pd.DataFrame) -> pd.DataFrame:
         ids, classes = part["id"].to_numpy(), part["class"].to_numpy()
         marks = np.stack([np.frombuffer(x, "<u2") for x in part["signature"]])
-        out = []
-        i, j = part["i"].iloc[0], part["j"].iloc[0]
+        bodies, sizes = part["packed"].tolist(), part["n"].tolist()
+        i, j, band = part["i"].iloc[0], part["j"].iloc[0], int(part["band"].iloc[0])
         left, right = np.flatnonzero(part["block"] == i), np.flatnonzero(part["block"] == j)
+        root = {int(c): int(c) for c in classes}
+
+        def find(c: int) -> int:
+            while root[c] != c:
+                root[c] = root[root[c]]
+                c = root[c]
+            return c
+
+        out = []
         for start in range(0, len(left), 256):
             rows = left[start : start + 256]
             same = np.zeros((len(rows), len(right)), np.uint16)
-            for r in range(registers):
-                same += marks[rows, r][:, None] == marks[right, r][None, :]
-            a, b = np.nonzero((same >= least) & (classes[rows][:, None] != classes[right][None, :]))
-            out.append(np.column_stack([ids[rows[a]], ids[right[b]]]))
-        pairs = np.unique(np.sort(np.concatenate(out), axis=1), axis=0)
-        return pd.DataFrame(pairs, columns=["a", "b"])
-
-    return units.groupBy("band", "code", "i", "j").applyInPandas(match, "a long, b long").distinct()
+            earlier = np.zeros((len(rows), len(right)), bool)
+            for k in range(bands):
+                agree = np.zeros((len(rows), len(right)), np.uint16)
+                for r in range(k * size, (k + 1) * size):
+                    agree += marks[rows, r][:, None] == marks[right, r][None, :]
+                same += agree
+                if k < band:
+                    earlier |= agree == size
+            a, b = np.nonzero((same >= least) & ~earlier & (classes[rows][:, None] != classes[right][None, :]))
+            order = np.argsort(-same[a, b].astype(np.int32), kind="stable")
+            for x, y in zip(rows[a[order]].tolist(), right[b[order]].tolist(), strict=True):
+                if (i == j and x > y) or (p := find(int(classes[x]))) == (q := find(int(classes[y]))):
+                    continue
+                if probability_jaccard(unpack_shingles(bodies[x], sizes[x]), unpack_shingles(bodies[y], sizes[y])) >= similarity - 1e-9:
+                    root[max(p, q)] = min(p, q)
+                    out.append((ids[x], ids[y]))
+        return pd.DataFrame(out, columns=["a", "b"]).astype("int64")
+
+    return units.groupBy("band", "code", "i", "j").applyInPandas(match, "a long, b long")
 
 
 def _with_class(rows: DataFrame, classes: DataFrame, node: str, name: str) -> DataFrame:
@@ -251,9 +278,9 @@ def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, size: int =
     first = buckets.join(heads, ["band", "code"]).where("id <> head").select(F.col("head").alias("a"), F.col("id").alias("b")).distinct()
     links.append(scratch_table(verified(first, nodes, similarity)))
     classes = components(reduce(DataFrame.union, links))
-    found = scratch_table(agreeing(_with_class(buckets, classes, "id", "class"), nodes, similarity, bands * rows))
+    found = scratch_table(joining_links(_with_class(buckets, classes, "id", "class"), nodes, similarity, bands, rows))
     if found.limit(1).count():
-        links.append(scratch_table(verified(found, nodes, similarity)))
+        links.append(found)
         classes = components(reduce(DataFrame.union, links))
     placed = _with_class(membership, classes, "text_id", "class_id").distinct()
     placed = placed.groupBy("doc_id").agg(F.min("class_id").alias("class_id"), F.min("text_id").alias("text_id"))

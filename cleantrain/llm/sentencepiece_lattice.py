@@ -269,6 +269,11 @@ def unit_dictionary(units: DataFrame, table: PieceTable) -> DataFrame:
     return lattice.select("unit", packed.alias("ids"))
 
 
+def _let(value: Column, body) -> Column:
+    """body(value) with value computed once: Spark's expressions have no local names, but lambdas have arguments."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
+
+
 def _merge_fold(edges: Column) -> Column:
     """The ids of a unit's lattice under byte-pair merges.
 
@@ -279,19 +284,20 @@ def _merge_fold(edges: Column) -> Column:
     longer = F.transform(F.filter(edges, lambda e: e["end"] - e["start"] > 1), lambda e: F.struct((-e["score"]).alias("rank"), e["start"].alias("start"), e["end"].alias("end")))
     first = F.struct(F.sequence(F.lit(0), size).alias("b"), F.array_sort(longer).alias("e"))
 
+    none = F.array().cast("array<struct<rank:double,start:int,end:int>>")
+
     def step(state, _):
-        b = state["b"]
-        ready = F.filter(state["e"], lambda e: F.get(b, F.array_position(b, e["start"]).cast("int") + 1) == e["end"])
-        found = F.get(ready, F.lit(0))
-        at = F.array_position(b, found["start"]).cast("int")
-        gone = F.get(b, at)
+        b, e = state["b"], state["e"]
+        ready = F.filter(e, lambda x: F.get(b, F.array_position(b, x["start"]).cast("int") + 1) == x["end"])
         # Edges that start or end at the boundary that goes can't come about any more, nor again the one applied.
-        left = F.filter(state["e"], lambda e: (e["start"] != gone) & (e["end"] != gone) & ~((e["start"] == found["start"]) & (e["end"] == found["end"])))
-        return F.when(F.size(ready) == 0, F.struct(b.alias("b"), F.filter(state["e"], lambda e: F.lit(False)).alias("e"))).otherwise(F.struct(F.array_remove(b, gone).alias("b"), left.alias("e")))
+        apply = lambda f, gone: F.struct(F.array_remove(b, gone).alias("b"), F.filter(e, lambda x: (x["start"] != gone) & (x["end"] != gone) & ((x["start"] != f["start"]) | (x["end"] != f["end"]))).alias("e"))
+        taken = _let(F.get(ready, F.lit(0)), lambda f: F.when(f.isNull(), F.struct(b.alias("b"), none.alias("e"))).otherwise(_let(F.get(b, F.array_position(b, f["start"]).cast("int")), lambda gone: apply(f, gone))))
+        return F.when(F.size(e) == 0, state).otherwise(taken)
 
     bounds = F.aggregate(F.sequence(F.lit(1), size), first, step)["b"]
-    pairs = F.transform(F.sequence(F.lit(0), F.size(bounds) - 2), lambda i: F.struct(F.get(bounds, i).alias("s"), F.get(bounds, i + 1).alias("e")))
-    return F.transform(pairs, lambda p: F.get(F.filter(edges, lambda x: (x["start"] == p["s"]) & (x["end"] == p["e"])), F.lit(0))["id"])
+    # Edges come by end and start, so those whose ends are neighbouring boundaries are the pieces in order.
+    pieces = _let(bounds, lambda b: F.filter(edges, lambda x: F.get(b, F.array_position(b, x["start"]).cast("int")) == x["end"]))
+    return F.transform(pieces, lambda x: x["id"])
 
 
 def encode(docs: DataFrame, model_file: str = MODEL_FILE) -> DataFrame:
