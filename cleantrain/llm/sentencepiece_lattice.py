@@ -30,6 +30,7 @@ from functools import lru_cache
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import zstandard
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -44,7 +45,7 @@ LONG_UNIT = 96
 BYTE_PAIR = 2
 #: Pieces in the broadcast table; a larger one is joined by shuffle.
 BROADCAST_PIECES = 500_000
-_FLUSH = 300_000
+_FLUSH = 200_000
 
 
 class PieceTable:
@@ -77,6 +78,10 @@ class PieceTable:
         byte_ids = {int(reader.id_to_piece(i)[1:-1], 16): i for i in range(n) if reader.is_byte(i)}
         return PieceTable([(reader.id_to_piece(i), i, float(s)) for i, s in zip(normal, scores, strict=True)], byte_ids, reader.unk_id(), _model_kind(model) == BYTE_PAIR)
 
+    def words(self, text: str) -> list[str]:
+        """Parts that hold whole units: cut at single spaces; a text with runs of spaces is one part."""
+        return text.split(" ") if "  " not in text and text[0] != " " and text[-1] != " " else [text]
+
     def units(self, text: str | None) -> list[str]:
         return _pattern(self.fine).findall(SPACE + text.replace(" ", SPACE)) if text else []
 
@@ -132,12 +137,17 @@ class PieceTable:
         return self.merged(unit) if self.merges else self.viterbi(unit)
 
     def finished(self, ids: np.ndarray) -> np.ndarray:
-        """Uncovered characters as byte pieces, or as the unknown id where the model has none."""
+        """Characters that stand alone, written -1 - code point, as their piece, else as byte pieces or the unknown id."""
         if not (ids < 0).any():
             return ids
         out: list[int] = []
         for i in ids.tolist():
-            out += [i] if i >= 0 else [self.bytes.get(b, self.unknown) for b in chr(-1 - i).encode("utf-8", "surrogatepass")] if self.bytes else [self.unknown]
+            if i >= 0:
+                out.append(i)
+            elif (found := self.find.get(chr(-1 - i))) is not None:
+                out.append(found[0])
+            else:
+                out += [self.bytes.get(b, self.unknown) for b in chr(-1 - i).encode("utf-8", "surrogatepass")] if self.bytes else [self.unknown]
         return np.array(out, np.int32)
 
     def decode(self, ids) -> str:
@@ -220,37 +230,44 @@ def _chunk():
 def chunk_units(docs: DataFrame, shared) -> DataFrame:
     """chunk and unit: the units of each chunk's documents, nearly distinct (again for each task)."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table, seen = piece_table(shared.value), {}
         for batch in batches:
-            for chunk, text in zip(batch["chunk"], batch["text"], strict=True):
-                own = seen.setdefault(chunk, set())
-                own.update(table.units(text))
-                if len(own) > _FLUSH:
-                    yield flush(chunk, seen.pop(chunk))
-            while len(seen) > 4 or sum(map(len, seen.values())) > 2 * _FLUSH:
-                chunk = max(seen, key=lambda c: len(seen[c]))
-                yield flush(chunk, seen.pop(chunk))
-        for chunk, own in seen.items():
-            yield flush(chunk, own)
-
-    def flush(chunk: int, own: set) -> pd.DataFrame:
-        return pd.DataFrame({"chunk": chunk, "unit": pd.Series([u for u in own if len(u) <= LONG_UNIT], dtype=object)})
-
-    return docs.select(_chunk(), "text").mapInPandas(run, "chunk long, unit string")
+            for start in range(0, batch.num_rows, 256):
+                part = batch.slice(start, 256)
+                for chunk, text in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
+                    own = seen.setdefault(chunk, set())
+                    if text:
+                        own.update(table.words(text))
+                    if len(own) > _FLUSH:
+                        yield from flush(table, chunk, seen.pop(chunk))
+                while len(seen) > 4 or sum(map(len, seen.values())) > 2 * _FLUSH:
+                    chunk = max(seen, key=lambda c: len(seen[c]))
+                    yield from flush(table, chunk, seen.pop(chunk))
+        for chunk in list(seen):
+            yield from flush(table, chunk, seen.pop(chunk))
+
+    def flush(table: PieceTable, chunk: int, own: set) -> Iterator[pa.RecordBatch]:
+        units = {u for w in own for u in table.units(w) if 1 < len(u) <= LONG_UNIT}
+        yield pa.RecordBatch.from_arrays([pa.array([chunk] * len(units), pa.int64()), pa.array(list(units), pa.string())], ["chunk", "unit"])
+
+    return docs.select(_chunk(), "text").mapInArrow(run, "chunk long, unit string")
 
 
 def unit_dictionary(units: DataFrame, table: PieceTable) -> DataFrame:
-    """unit and ids (packed, big-endian int32) of distinct units of at most LONG_UNIT characters."""
+    """unit and ids (packed, big-endian int32; lone characters as -1 - code point) of distinct units of two characters or more.
+
+    A byte-pair fold needs no edges of one character, so units on which no longer piece lies have no row.
+    """
     spark = units.sparkSession
     pieces = spark.createDataFrame(pd.DataFrame(table.pieces, columns=["piece", "id", "score"]), "piece string, id int, score double")
     if len(table.pieces) <= BROADCAST_PIECES:
         pieces = F.broadcast(pieces)
-    size = F.length("unit")
-    starts = units.select("unit", F.explode(F.sequence(F.lit(0), size - 1)).alias("start"))
-    spans = starts.select("unit", "start", F.explode(F.sequence(F.lit(1), F.least(F.lit(table.longest), size - F.col("start")))).alias("long"))
+    size, least = F.length("unit"), 2 if table.merges else 1
+    starts = units.select("unit", F.explode(F.sequence(F.lit(0), size - least)).alias("start"))
+    spans = starts.select("unit", "start", F.explode(F.sequence(F.lit(least), F.least(F.lit(table.longest), size - F.col("start")))).alias("long"))
     spans = spans.select("unit", "start", (F.col("start") + F.col("long")).alias("end"), F.col("unit").substr(F.col("start") + 1, F.col("long")).alias("piece"))
-    edges = spans.join(pieces, "piece", "left").where("id is not null or end = start + 1")
+    edges = spans.join(pieces, "piece") if table.merges else spans.join(pieces, "piece", "left").where("id is not null or end = start + 1")
     edge = F.struct("end", "start", F.coalesce("id", -1 - F.ascii("piece")).alias("id"), F.coalesce("score", F.lit(table.fallback)).alias("score"))
     lattice = edges.groupBy("unit").agg(F.array_sort(F.collect_list(edge)).alias("edges"))
 
@@ -275,13 +292,13 @@ def _let(value: Column, body) -> Column:
 
 
 def _merge_fold(edges: Column) -> Column:
-    """The ids of a unit's lattice under byte-pair merges.
+    """The ids of a unit under byte-pair merges, from its lattice's edges of two or more characters.
 
     State: the boundaries of the pieces so far, and the edges of two or more characters, best first, whose ends are
     both boundaries. A step applies the first edge that spans just two pieces; without one the state stays.
     """
-    size = F.element_at(edges, -1)["end"]
-    longer = F.transform(F.filter(edges, lambda e: e["end"] - e["start"] > 1), lambda e: F.struct((-e["score"]).alias("rank"), e["start"].alias("start"), e["end"].alias("end")))
+    size = F.length("unit")
+    longer = F.transform(edges, lambda e: F.struct((-e["score"]).alias("rank"), e["start"].alias("start"), e["end"].alias("end")))
     first = F.struct(F.sequence(F.lit(0), size).alias("b"), F.array_sort(longer).alias("e"))
 
     none = F.array().cast("array<struct<rank:double,start:int,end:int>>")
@@ -295,9 +312,9 @@ def _merge_fold(edges: Column) -> Column:
         return F.when(F.size(e) == 0, state).otherwise(taken)
 
     bounds = F.aggregate(F.sequence(F.lit(1), size), first, step)["b"]
-    # Edges come by end and start, so those whose ends are neighbouring boundaries are the pieces in order.
-    pieces = _let(bounds, lambda b: F.filter(edges, lambda x: F.get(b, F.array_position(b, x["start"]).cast("int")) == x["end"]))
-    return F.transform(pieces, lambda x: x["id"])
+    id_of = lambda p: F.when(p["e"] == p["s"] + 1, -1 - F.ascii(F.col("unit").substr(p["s"] + 1, F.lit(1)))).otherwise(F.get(F.filter(edges, lambda x: (x["start"] == p["s"]) & (x["end"] == p["e"])), F.lit(0))["id"])
+    pairs = _let(bounds, lambda b: F.transform(F.sequence(F.lit(0), F.size(b) - 2), lambda k: F.struct(F.get(b, k).alias("s"), F.get(b, k + 1).alias("e"))))
+    return F.transform(pairs, id_of)
 
 
 def encode(docs: DataFrame, model_file: str = MODEL_FILE) -> DataFrame:
@@ -310,21 +327,31 @@ def encode(docs: DataFrame, model_file: str = MODEL_FILE) -> DataFrame:
     dictionary = unit_dictionary(held.select("unit").distinct(), piece_table(model))
     words = held.join(dictionary, "unit").select("chunk", "unit", "ids")
 
-    def press(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def press(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         packer = zstandard.ZstdCompressor(level=3)
         for batch in batches:
-            yield batch.assign(text=[None if t is None else packer.compress(t.encode("utf-8", "surrogatepass")) for t in batch["text"]])
+            packed = [None if t is None else packer.compress(t.encode("utf-8", "surrogatepass")) for start in range(0, batch.num_rows, 256) for t in batch.column(2).slice(start, 256).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(packed, pa.binary())], ["chunk", "doc_id", "text"])
 
-    pressed = rows.select(_chunk(), "doc_id", "text").mapInPandas(press, "chunk long, doc_id long, text binary")
+    pressed = rows.select(_chunk(), "doc_id", "text").mapInArrow(press, "chunk long, doc_id long, text binary")
 
     def look_up(part: pd.DataFrame, known: pd.DataFrame) -> pd.DataFrame:
         table, opener = piece_table(shared.value), zstandard.ZstdDecompressor()
         ids_of = dict(zip(known["unit"], known["ids"], strict=True))
-        out = []
+
+        class Words(dict):
+            def __missing__(self, word: str) -> bytes:
+                found = [ids_of[u] if u in ids_of else np.array(table.fold(u) if len(u) > LONG_UNIT else [-1 - ord(c) for c in u], ">i4").tobytes() for u in table.units(word)]
+                value = table.finished(np.frombuffer(b"".join(found), ">i4").astype(np.int32)).tobytes()
+                if len(word) < 2 * LONG_UNIT:
+                    self[word] = value
+                return value
+
+        # A word in the middle of a text may be empty only where spaces meet, and such texts are one part.
+        words, out = Words(), []
         for packed in part["text"]:
-            units = table.units(opener.decompress(packed).decode("utf-8", "surrogatepass")) if packed is not None else []
-            found = [ids_of[u] if len(u) <= LONG_UNIT else np.array(table.fold(u), ">i4").tobytes() for u in units]
-            out.append(table.finished(np.frombuffer(b"".join(found), ">i4").astype(np.int32)))
+            text = opener.decompress(packed).decode("utf-8", "surrogatepass") if packed is not None else ""
+            out.append(np.frombuffer(b"".join(map(words.__getitem__, table.words(text))) if text else b"", np.int32))
         return pd.DataFrame({"doc_id": part["doc_id"], "n_tokens": [len(x) for x in out], "ids": out})
 
     return pressed.groupBy("chunk").cogroup(words.groupBy("chunk")).applyInPandas(look_up, "doc_id long, n_tokens long, ids array<int>")
