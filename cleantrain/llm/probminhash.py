@@ -25,6 +25,7 @@ from functools import reduce
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -33,7 +34,7 @@ from .common import scratch_table, words_of
 
 WORDS, SIMILARITY, BANDS, ROWS = 5, 0.8, 26, 5
 _STEP = np.uint64(0x9E3779B97F4A7C15)
-_BATCH_BYTES = 3_000_000
+_BATCH_BYTES = 1_500_000
 BLOCK = 1024
 
 
@@ -46,7 +47,7 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 class _WordHash(dict):
     def __missing__(self, word: bytes) -> int:
-        if len(self) > 400_000:
+        if len(self) > 150_000:
             self.clear()
         value = self[word] = xxhash.xxh3_64_intdigest(word)
         return value
@@ -138,22 +139,24 @@ def probability_jaccard(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, n
 def fingerprints(docs: DataFrame, size: int = WORDS, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     """doc_id, key (of the words), n (distinct shingles), bands, 16 bits of each register and packed shingles of every document with words."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes = _WordHash()
         for batch in batches:
             part, weight = [], 0
-            for key, text in zip(batch["doc_id"], batch["text"], strict=True):
-                if text and not pd.isna(key):
-                    part.append((key, words_of(text)))
-                    weight += len(text)
-                if weight > _BATCH_BYTES:
-                    yield from rows_of(part, hashes)
-                    part, weight = [], 0
+            for start in range(0, batch.num_rows, 64):  # texts become Python strings a few at a time
+                rows = batch.slice(start, 64)
+                for key, text in zip(rows.column(0).to_pylist(), rows.column(1).to_pylist(), strict=True):
+                    if text and key is not None:
+                        part.append((key, words_of(text)))
+                        weight += len(text)
+                    if weight > _BATCH_BYTES:
+                        yield from rows_of(part, hashes)
+                        part, weight = [], 0
             yield from rows_of(part, hashes)
 
-    def rows_of(part: list, hashes: dict) -> Iterator[pd.DataFrame]:
+    def rows_of(part: list, hashes: dict) -> Iterator[pa.RecordBatch]:
         part = [(k, w) for k, w in part if w]
-        if not part:  # an empty frame has no lists for Arrow to type
+        if not part:
             return
         owner, code, weight = shingles([w for _, w in part], hashes, size)
         found = signatures(owner, code, weight, len(part), bands * rows).reshape(len(part), bands, rows)
@@ -161,18 +164,17 @@ def fingerprints(docs: DataFrame, size: int = WORDS, bands: int = BANDS, rows: i
         for r in range(rows):
             code_of_band = mix(code_of_band + _STEP + found[:, :, r])
         cuts = np.searchsorted(owner, np.arange(len(part) + 1))
-        yield pd.DataFrame(
-            {
-                "doc_id": np.array([k for k, _ in part], np.int64),
-                "key": [xxhash.xxh3_128_digest(b" ".join(w)) for _, w in part],
-                "n": np.diff(cuts),
-                "bands": list(code_of_band.view(np.int64)),
-                "signature": [x.tobytes() for x in (found.reshape(len(part), -1) >> np.uint64(48)).astype("<u2")],
-                "packed": [pack_shingles(code[a:b], weight[a:b]) for a, b in zip(cuts, cuts[1:], strict=False)],
-            }
-        )
-
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInPandas(run, "doc_id long, key binary, n int, bands array<long>, signature binary, packed binary")
+        columns = [
+            pa.array([k for k, _ in part], pa.int64()),
+            pa.array([xxhash.xxh3_128_digest(b" ".join(w)) for _, w in part], pa.binary()),
+            pa.array(np.diff(cuts), pa.int32()),
+            pa.ListArray.from_arrays(pa.array(np.arange(len(part) + 1) * bands, pa.int32()), pa.array(code_of_band.view(np.int64).ravel())),
+            pa.array([x.tobytes() for x in (found.reshape(len(part), -1) >> np.uint64(48)).astype("<u2")], pa.binary()),
+            pa.array([pack_shingles(code[a:b], weight[a:b]) for a, b in zip(cuts, cuts[1:], strict=False)], pa.binary()),
+        ]
+        yield pa.RecordBatch.from_arrays(columns, ["doc_id", "key", "n", "bands", "signature", "packed"])
+
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, key binary, n int, bands array<long>, signature binary, packed binary")
 
 
 def verified(pairs: DataFrame, nodes: DataFrame, similarity: float) -> DataFrame:
