@@ -14,7 +14,7 @@ from ..functions.losses import Loss
 from ..functions.vectors import dot
 
 #: Above so many features a row's arithmetic goes to an Arrow kernel instead of one generated expression for each position.
-WIDE = 96
+WIDE = 40
 
 
 def gradient_sums(loss: Loss, theta, x: str = "x", y: str = "y", weight: Column | None = None) -> Column:
@@ -71,7 +71,7 @@ class GramState:
 
     @staticmethod
     def of(rows: DataFrame, d: int, x: str = "x", y: str = "y") -> GramState:
-        if d <= 48:
+        if d <= 12:
             cells = [F.sum(F.get(x, F.lit(i)) * F.get(x, F.lit(j))) for i in range(d) for j in range(i, d)] + [F.sum(F.get(x, F.lit(i)) * F.col(y)) for i in range(d)]
             found = rows.agg(F.array(*cells).alias("s"), F.count(F.lit(1)).alias("n")).first()
             values = [v or 0.0 for v in found.s]

@@ -3,10 +3,11 @@
 from __future__ import annotations
 
 import math
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -15,6 +16,10 @@ from ..functions.vectors import dot
 from .gradient import GramState, total_gradient
 
 
+#: Rows times features up to which a Newton fit runs on the driver (160 MB); beyond, its passes are distributed.
+LOCAL_CELLS = 20_000_000
+
+
 class Step:
     """Step sizes by iteration t = 1, 2, ... and batch size."""
 
@@ -62,7 +67,7 @@ class Model:
 
 def fit(rows: DataFrame, loss: Loss, d: int, lam: float = 0.0, x: str = "x", y: str = "y", steps: int = 60, tolerance: float = 1e-8) -> Model:
     """squared: normal equations, one pass. mean, absolute: exact aggregates. logistic: Newton. hinge: Newton on ever
-    less smoothed hinges. Others: gradient descent with halving steps. Each pass returns a bounded sum to the driver."""
+    less smoothed hinges, whose last gradient is reported. Others: gradient descent with halving steps. Each pass returns a bounded sum to the driver."""
     rows = rows.select(F.col(x).alias("x"), F.col(y).cast("double").alias("y"))
     if loss.name == "squared":
         gram = GramState.of(rows, d)
@@ -71,54 +76,100 @@ def fit(rows: DataFrame, loss: Loss, d: int, lam: float = 0.0, x: str = "x", y:
     if loss.name in ("mean", "absolute"):
         value = rows.agg((F.avg("y") if loss.name == "mean" else F.expr("percentile(y, 0.5)")).alias("v")).first().v
         return Model(np.array([value if value is not None else 0.0]), loss)
-    rows = rows.persist()
-    try:
-        theta = np.zeros(d)
-        if loss.name == "hinge":
-            for width in (1.0, 0.3, 0.1, 0.03, 0.01):
-                theta = _newton(rows, *_smooth_hinge(width), theta, lam, 12, 1e-6)
-        elif loss.curvature is not None:
-            theta = _newton(rows, loss.slope, lambda z, y: loss.slope(z, y) * 0 + _logistic_curve(z), theta, lam, steps, tolerance)
-        else:
-            theta = gradient_descent(rows, loss, theta, Step.inv_sqrt(1.0), steps, lam)
-        g, n = total_gradient(rows, loss, theta)
-        return Model(theta, loss, float(np.linalg.norm(g / max(n, 1) + penalised(theta, lam))))
-    finally:
+    if loss.name != "hinge" and loss.curvature is None:
+        theta = gradient_descent(rows.persist(), loss, np.zeros(d), Step.inv_sqrt(1.0), steps, lam)
         rows.unpersist()
+        return Model(theta, loss)
+    n = rows.count()
+    held = rows.persist()
+    if n * d <= LOCAL_CELLS:
+        table = rows.toArrow()
+        x = table.column("x").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(n, d) if n else np.zeros((0, d))
+        held = (x, table.column("y").to_numpy())
+    theta = np.zeros(d)
+    if loss.name == "hinge":
+        for width in (1.0, 0.3, 0.1, 0.03, 0.01, 0.003):
+            theta = _newton(held, *_smooth_hinge(width), theta, lam, 20, tolerance)
+        slope = _smooth_hinge(0.003)[0]
+    else:
+        theta, slope = _newton(held, loss.np_slope, loss.curvature, loss.np_value, theta, lam, min(steps, 25), tolerance), loss.np_slope
+    g, _, n = _curvature_sums(held, slope, lambda z, y: 0 * z, theta)
+    rows.unpersist()
+    return Model(theta, loss, float(np.linalg.norm(g / max(n, 1) + penalised(theta, lam))))
 
 
-def _logistic_curve(z: Column) -> Column:
-    h = 1 / (1 + F.exp(-z))
-    return h * (1 - h)
+def _smooth_hinge(width: float):
+    """Slope, curvature and value of the hinge with its corner rounded over a margin of `width`."""
+    slope = lambda z, y: -y * np.clip((1 - y * z) / width, 0.0, 1.0)
+    curve = lambda z, y: np.where((y * z < 1) & (y * z > 1 - width), 1 / width, 0.0)
 
+    def value(z, y):
+        m = 1 - y * z
+        return np.where(m <= 0, 0.0, np.where(m < width, m * m / (2 * width), m - width / 2))
 
-def _smooth_hinge(width: float):
-    """The hinge with its corner rounded over a margin of `width`."""
-    slope = lambda z, y: -y * F.greatest(F.lit(0.0), F.least(F.lit(1.0), (1 - y * z) / width))
-    curve = lambda z, y: F.when((y * z < 1) & (y * z > 1 - width), 1 / width).otherwise(0.0)
-    return slope, curve
+    return slope, curve, value
 
 
-def _newton(rows: DataFrame, slope, curve, theta: np.ndarray, lam: float, steps: int, tolerance: float) -> np.ndarray:
-    d = len(theta)
-    cells = [(i, j) for i in range(d) for j in range(i, d)]
+def _newton(rows: DataFrame | tuple, np_slope, np_curve, np_value, theta: np.ndarray, lam: float, steps: int, tolerance: float) -> np.ndarray:
+    """Newton steps with step halving. rows: a frame, or arrays (x, y) on the driver. Two bounded passes a step."""
+    d, tries = len(theta), 0.25 ** np.arange(6)
     for _ in range(steps):
-        z = dot(F.col("x"), theta)
-        staged = rows.select("x", slope(z, F.col("y")).alias("s"), curve(z, F.col("y")).alias("c"))
-        at = lambda i: F.get("x", F.lit(i))
-        found = staged.agg(F.array(*[F.sum(F.col("s") * at(i)) for i in range(d)]).alias("g"), F.array(*[F.sum(F.col("c") * at(i) * at(j)) for i, j in cells]).alias("h"), F.count(F.lit(1)).alias("n")).first()
-        if not found.n:
+        g, h, n = _curvature_sums(rows, np_slope, np_curve, theta)
+        if not n:
             return theta
-        g, h = np.array(found.g) / found.n + penalised(theta, lam), np.zeros((d, d))
-        h[np.triu_indices(d)] = np.array(found.h) / found.n
-        h = h + np.triu(h, 1).T + max(lam, 1e-6) * np.eye(d)
+        g, h = g / n + penalised(theta, lam), h / n + max(lam, 1e-6) * np.eye(d)
         if np.linalg.norm(g) < tolerance:
             break
         move = np.linalg.solve(h, g)
-        theta = theta - move * min(1.0, 5.0 / max(np.linalg.norm(move), 1e-12))
+        thetas = np.stack([theta] + [theta - t * move for t in tries])
+        values = _value_sums(rows, np_value, thetas) / n + lam / 2 * (thetas[:, 1:] ** 2).sum(1)
+        if values[1:].min() >= values[0]:
+            break
+        theta = thetas[1 + int(np.argmin(values[1:]))]
     return theta
 
 
+def _value_sums(rows: DataFrame | tuple, np_value, thetas: np.ndarray) -> np.ndarray:
+    """The summed loss at several parameters in one pass."""
+    if isinstance(rows, tuple):
+        return np.array([np_value(rows[0] @ t, rows[1]).sum() for t in thetas])
+    d = thetas.shape[1]
+
+    def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(len(thetas))
+        for batch in batches:
+            if batch.num_rows:
+                x, y = batch.column(0).flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, d), batch.column(1).to_numpy(zero_copy_only=False)
+                total += [np_value(x @ t, y).sum() for t in thetas]
+        yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], ["sums"])
+
+    return sum((np.frombuffer(r.sums) for r in rows.select("x", "y").mapInArrow(partial, "sums binary").collect()), np.zeros(len(thetas)))
+
+
+def _curvature_sums(rows: DataFrame | tuple, np_slope, np_curve, theta: np.ndarray) -> tuple[np.ndarray, np.ndarray, int]:
+    if isinstance(rows, tuple):
+        z = rows[0] @ theta
+        return np_slope(z, rows[1]) @ rows[0], (rows[0] * np_curve(z, rows[1])[:, None]).T @ rows[0], len(z)
+    d = len(theta)
+
+    def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total, n = np.zeros((d + 1, d)), 0
+        for batch in batches:
+            if batch.num_rows:
+                x = batch.column(0).flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, d)
+                y = batch.column(1).to_numpy(zero_copy_only=False)
+                z = x @ theta
+                total[d] += np_slope(z, y) @ x
+                total[:d] += (x * np_curve(z, y)[:, None]).T @ x
+                n += batch.num_rows
+        yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary()), pa.array([n], pa.int64())], ["sums", "n"])
+
+    total, n = np.zeros((d + 1, d)), 0
+    for r in rows.select("x", "y").mapInArrow(partial, "sums binary, n long").collect():  # one row a task
+        total, n = total + np.frombuffer(r.sums).reshape(d + 1, d), n + r.n
+    return total[d], total[:d], n
+
+
 def gradient_descent(rows: DataFrame, loss: Loss, theta: np.ndarray, step, steps: int, lam: float = 0.0, x: str = "x", y: str = "y") -> np.ndarray:
     """Full-batch (sub)gradient steps from theta."""
     for t in range(1, steps + 1):
