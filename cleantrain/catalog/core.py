@@ -492,13 +492,14 @@ def rule_denial(spark, sf_dir):
 
 
 @query(
-    f"""with {NAMES}, v as (select distinct s_name as value from named), t as (select distinct value, unnest(list_filter(regexp_split_to_array(lower(value), '[^\\p{{L}}\\p{{N}}]+'), lambda x: x <> '')) as token from v),
+    f"""with {NAMES}, v as (select s_name as value from named union select clean from named), t as (select distinct value, unnest(list_filter(regexp_split_to_array(lower(value), '[^\\p{{L}}\\p{{N}}]+'), lambda x: x <> '')) as token from v),
 n as (select value, count(*) as n from t group by value), pairs as (select a.value as a, b.value as b, count(*) as s from t a join t b on a.token = b.token and a.value < b.value group by 1, 2)
 select a, b, {s6('s::double / (x.n + y.n - s)')} as similarity from pairs join n x on a = x.value join n y on b = y.value where s::double / (x.n + y.n - s) > 0.6"""
 )
 def rule_matching_pairs(spark, sf_dir):
     """Unit weights, so that six decimals agree in any order of summing."""
-    return detect.similar_values(_named(spark, sf_dir), "s_name", 0.6, weights="unit").select("a", "b", r6(F.col("similarity")).alias("similarity"))
+    names = _named(spark, sf_dir)
+    return detect.similar_values(names.select("s_name").union(names.select("s_name_c")), "s_name", 0.6, weights="unit").select("a", "b", r6(F.col("similarity")).alias("similarity"))
 
 
 @query("with t as (select l_returnflag, l_linestatus, case when l_quantity > 40 and l_returnflag = 'R' then 1 else 0 end as class_id from lineitem) select class_id, l_returnflag, null::varchar as l_linestatus, count(*) filter (where class_id = 1)::bigint as support from t where class_id = 1 group by 1, 2")
