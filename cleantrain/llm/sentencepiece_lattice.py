@@ -40,7 +40,7 @@ from .common import scratch_table
 
 MODEL_FILE = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE = "▁"
-CHUNK_DOCS = 8192
+CHUNK_DOCS = 2048
 LONG_UNIT = 96
 BYTE_PAIR = 2
 #: Pieces in the broadcast table; a larger one is joined by shuffle.
@@ -249,7 +249,7 @@ def chunk_units(docs: DataFrame, shared) -> DataFrame:
 
     def flush(table: PieceTable, chunk: int, own: set) -> Iterator[pa.RecordBatch]:
         units = {u for w in own for u in table.units(w) if 1 < len(u) <= LONG_UNIT}
-        yield pa.RecordBatch.from_arrays([pa.array([chunk] * len(units), pa.int64()), pa.array(list(units), pa.string())], ["chunk", "unit"])
+        yield pa.RecordBatch.from_arrays([pa.repeat(pa.scalar(chunk, pa.int64()), len(units)), pa.array(list(units), pa.string())], ["chunk", "unit"])
 
     return docs.select(_chunk(), "text").mapInArrow(run, "chunk long, unit string")
 
@@ -344,6 +344,8 @@ def encode(docs: DataFrame, model_file: str = MODEL_FILE) -> DataFrame:
                 found = [ids_of[u] if u in ids_of else np.array(table.fold(u) if len(u) > LONG_UNIT else [-1 - ord(c) for c in u], ">i4").tobytes() for u in table.units(word)]
                 value = table.finished(np.frombuffer(b"".join(found), ">i4").astype(np.int32)).tobytes()
                 if len(word) < 2 * LONG_UNIT:
+                    if len(self) > _FLUSH // 4:
+                        self.clear()
                     self[word] = value
                 return value
 
