@@ -227,21 +227,25 @@ def _chunk():
     return F.coalesce(F.floor(F.col("doc_id") / CHUNK_DOCS), F.lit(-1)).cast("long").alias("chunk")
 
 
-def chunk_units(docs: DataFrame, shared) -> DataFrame:
-    """chunk and unit: the units of each chunk's documents, nearly distinct (again for each task)."""
+def chunk_units(pressed: DataFrame, shared) -> DataFrame:
+    """chunk and unit: the distinct units of each chunk's documents.
+
+    Texts come compressed and gathered by chunk, so that a chunk's units are made distinct in one task however the
+    documents lie in their files; a very large chunk is let out in parts.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table, seen = piece_table(shared.value), {}
+        table, opener, seen = piece_table(shared.value), zstandard.ZstdDecompressor(), {}
         for batch in batches:
             for start in range(0, batch.num_rows, 256):
                 part = batch.slice(start, 256)
-                for chunk, text in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
+                for chunk, packed in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
                     own = seen.setdefault(chunk, set())
-                    if text:
-                        own.update(table.words(text))
+                    if packed:
+                        own.update(table.words(opener.decompress(packed).decode("utf-8", "surrogatepass")))
                     if len(own) > _FLUSH:
                         yield from flush(table, chunk, seen.pop(chunk))
-                while len(seen) > 4 or sum(map(len, seen.values())) > 2 * _FLUSH:
+                while sum(map(len, seen.values())) > 2 * _FLUSH:
                     chunk = max(seen, key=lambda c: len(seen[c]))
                     yield from flush(table, chunk, seen.pop(chunk))
         for chunk in list(seen):
@@ -251,7 +255,7 @@ def chunk_units(docs: DataFrame, shared) -> DataFrame:
         units = {u for w in own for u in table.units(w) if 1 < len(u) <= LONG_UNIT}
         yield pa.RecordBatch.from_arrays([pa.repeat(pa.scalar(chunk, pa.int64()), len(units)), pa.array(list(units), pa.string())], ["chunk", "unit"])
 
-    return docs.select(_chunk(), "text").mapInArrow(run, "chunk long, unit string")
+    return pressed.select("chunk", "text").repartition("chunk").sortWithinPartitions("chunk").mapInArrow(run, "chunk long, unit string")
 
 
 def unit_dictionary(units: DataFrame, table: PieceTable) -> DataFrame:
@@ -323,17 +327,16 @@ def encode(docs: DataFrame, model_file: str = MODEL_FILE) -> DataFrame:
     model = _read_model(spark, model_file)
     shared = spark.sparkContext.broadcast(model)  # the model file, about 0.5 MB
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    held = scratch_table(chunk_units(rows, shared))
-    dictionary = unit_dictionary(held.select("unit").distinct(), piece_table(model))
-    words = held.join(dictionary, "unit").select("chunk", "unit", "ids")
-
     def press(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         packer = zstandard.ZstdCompressor(level=3)
         for batch in batches:
-            packed = [None if t is None else packer.compress(t.encode("utf-8", "surrogatepass")) for start in range(0, batch.num_rows, 256) for t in batch.column(2).slice(start, 256).to_pylist()]
+            packed = [packer.compress(t.encode("utf-8", "surrogatepass")) if t else None for start in range(0, batch.num_rows, 256) for t in batch.column(2).slice(start, 256).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(packed, pa.binary())], ["chunk", "doc_id", "text"])
 
     pressed = rows.select(_chunk(), "doc_id", "text").mapInArrow(press, "chunk long, doc_id long, text binary")
+    held = scratch_table(chunk_units(pressed, shared))
+    dictionary = unit_dictionary(held.select("unit").distinct(), piece_table(model))
+    words = held.join(dictionary, "unit").select("chunk", "unit", "ids")
 
     def look_up(part: pd.DataFrame, known: pd.DataFrame) -> pd.DataFrame:
         table, opener = piece_table(shared.value), zstandard.ZstdDecompressor()
