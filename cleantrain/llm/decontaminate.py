@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import scratch_table, words_of
+from .common import release_memory, scratch_table, words_of
 
 #: Item words in one automaton (about 300 bytes a word on each executor); more items go to further automata in turn.
 AUTOMATON_WORDS = 2_000_000
@@ -220,7 +220,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = 10, max_c
     def cutter(shared, first: bool, last: bool):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             automaton = shared.value
-            for batch in batches:
+            for batch in (whole.slice(start, 128) for whole in batches for start in range(0, whole.num_rows, 128)):  # the words of a few texts at a time
                 texts = batch.column(place).to_pylist()
                 words = [words_of(t) for t in texts]
                 found = [automaton.scan(w)[:2] for w in words]
@@ -237,6 +237,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = 10, max_c
                 keep = pa.array([not w or sum(e) - sum(s) <= max_coverage * len(w) for w, (s, e) in zip(words, found, strict=True)])
                 fields = [batch.schema.field(i) if i != place else pa.field("text", pa.string()) for i in range(len(arrays))]
                 yield pa.RecordBatch.from_arrays(arrays, schema=pa.schema(fields)).filter(keep)
+            release_memory()
 
         return run
 

@@ -23,7 +23,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import scratch_table
+from .common import release_memory, scratch_table
 
 LANGUAGES = ("de", "en", "es", "fr")
 #: Labelled rows a language for training, in expectation; the rows with the smallest hashes are taken.
@@ -112,6 +112,7 @@ def text_scores(rows: DataFrame, model: np.ndarray | None, languages: tuple[str,
                 soft = np.exp(soft - soft.max(1, keepdims=True))
                 soft /= soft.sum(1, keepdims=True)
                 yield part[others].assign(n_letters=n, logs=list(logs), soft=list(np.where(some[:, None], soft, 0.0)))
+        release_memory()
 
     return rows.select(*others, "text").mapInPandas(run, kind)
 

@@ -30,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import scratch_table, words_of
+from .common import release_memory, scratch_table, words_of
 
 WORDS, SIMILARITY, BANDS, ROWS = 5, 0.8, 26, 5
 _STEP = np.uint64(0x9E3779B97F4A7C15)
@@ -153,6 +153,8 @@ def fingerprints(docs: DataFrame, size: int = WORDS, bands: int = BANDS, rows: i
                         yield from rows_of(part, hashes)
                         part, weight = [], 0
             yield from rows_of(part, hashes)
+        del hashes
+        release_memory()
 
     def rows_of(part: list, hashes: dict) -> Iterator[pa.RecordBatch]:
         part = [(k, w) for k, w in part if w]

@@ -36,7 +36,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import scratch_table
+from .common import release_memory, scratch_table
 
 MODEL_FILE = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE = "▁"
@@ -45,7 +45,7 @@ LONG_UNIT = 96
 BYTE_PAIR = 2
 #: Pieces in the broadcast table; a larger one is joined by shuffle.
 BROADCAST_PIECES = 500_000
-_FLUSH = 200_000
+_FLUSH = 100_000
 
 
 class PieceTable:
@@ -245,11 +245,11 @@ def chunk_units(pressed: DataFrame, shared) -> DataFrame:
                         own.update(table.words(opener.decompress(packed).decode("utf-8", "surrogatepass")))
                     if len(own) > _FLUSH:
                         yield from flush(table, chunk, seen.pop(chunk))
-                while sum(map(len, seen.values())) > 2 * _FLUSH:
-                    chunk = max(seen, key=lambda c: len(seen[c]))
+                for chunk in [c for c in seen if c != part.column(0)[-1].as_py()]:  # rows come by chunk
                     yield from flush(table, chunk, seen.pop(chunk))
         for chunk in list(seen):
             yield from flush(table, chunk, seen.pop(chunk))
+        release_memory()
 
     def flush(table: PieceTable, chunk: int, own: set) -> Iterator[pa.RecordBatch]:
         units = {u for w in own for u in table.units(w) if 1 < len(u) <= LONG_UNIT}
@@ -357,6 +357,8 @@ def encode(docs: DataFrame, model_file: str = MODEL_FILE) -> DataFrame:
         for packed in part["text"]:
             text = opener.decompress(packed).decode("utf-8", "surrogatepass") if packed is not None else ""
             out.append(np.frombuffer(b"".join(map(words.__getitem__, table.words(text))) if text else b"", np.int32))
+        del ids_of, words
+        release_memory()
         return pd.DataFrame({"doc_id": part["doc_id"], "n_tokens": [len(x) for x in out], "ids": out})
 
     return pressed.groupBy("chunk").cogroup(words.groupBy("chunk")).applyInPandas(look_up, "doc_id long, n_tokens long, ids array<int>")
