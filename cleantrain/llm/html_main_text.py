@@ -64,7 +64,8 @@ def _boilerplate(tag: str, attributes: str) -> bool:
         return True
     if tag in KEPT_TAGS or found.get("role") in ("main", "article"):
         return False
-    return any(w in DROPPED_WORDS for w in _WORD.findall(f"{found.get('class', '')} {found.get('id', '')}"))
+    names = f"{found.get('class', '')} {found.get('id', '')}"
+    return any(w in DROPPED_WORDS for w in _WORD.findall(names)) or any(w in DROPPED_WORDS for w in _WORD.findall(names.replace("-", "").replace("_", "")))  # side-bar, too
 
 
 def parse(page: str) -> Node:
