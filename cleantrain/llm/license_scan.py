@@ -7,8 +7,8 @@ class "unknown" included, are calibrated. A prediction stands only if the paragr
 sequences with one of the family's templates. On the corpus all work is done by DataFrame functions: grams are
 exploded, met with the weight table by an equi-join, and summed for each distinct paragraph.
 
-A paragraph is looked at if it holds one of the ANCHORS, as a licence notice must by definition here; others are
-"unknown" at once. Edge cases: null and empty texts have no licence; a paragraph may be of any length; equal
+A paragraph is scored if it shares a sequence with any template; without one it could not be confirmed, so nothing is
+lost by that. HITS, a word of every template sequence, spares most other paragraphs the making of sequences. Edge cases: null and empty texts have no licence; a paragraph may be of any length; equal
 paragraphs are judged once; every input row gets a row.
 """
 
@@ -23,8 +23,9 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .common import scratch_table
+
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
-ANCHORS = ("licen", "copyright", "warrant", "permission", "redistribut", "public domain", "spdx", "copyleft")
 UNKNOWN = "unknown"
 #: Probability from which, and shared part of three-word sequences from which, a family is reported.
 MIN_PROBABILITY, MIN_SHARED = 0.5, 0.4
@@ -86,6 +87,7 @@ TEMPLATES = {
     "proprietary": (
         "Copyright. All rights reserved. No part of this publication may be reproduced, distributed, or transmitted in any form or by any means without the prior written permission of the publisher.",
         "All rights reserved. Unauthorized copying of this file, via any medium, is strictly prohibited. Proprietary and confidential.",
+        "All rights reserved.",
         "This software is licensed, not sold, under a proprietary license agreement; redistribution is prohibited.",
     ),
 }
@@ -198,8 +200,7 @@ def classify(text: str) -> tuple[str, float, float]:
     k = int(np.argmax(p))
     three = grams(tokens, 3)
     shared = max((len(three & t) / min(len(three), len(t)) for t in _template_grams(classes[k]) if three and t), default=0.0)
-    low = text.translate(str.maketrans(UPPER, LOWER))
-    stands = any(a in low for a in ANCHORS) and classes[k] != UNKNOWN and p[k] >= MIN_PROBABILITY and shared >= MIN_SHARED
+    stands = classes[k] != UNKNOWN and p[k] >= MIN_PROBABILITY and shared >= MIN_SHARED
     return (classes[k] if stands else UNKNOWN), float(p[k]), shared
 
 
@@ -211,6 +212,11 @@ def _vocabulary() -> dict:
     return trained()[1]
 
 
+#: All sequences of the templates, and the longest word of each: a text without such a word holds no such sequence.
+SEQUENCES = sorted(set().union(*(t for f in TEMPLATES for t in _template_grams(f))))
+HITS = sorted({max(g.split(), key=lambda w: (len(w), w)) for g in SEQUENCES})
+
+
 def _table(spark: SparkSession, rows: list[Column]) -> DataFrame:
     return spark.range(1, numPartitions=1).select(F.inline(F.array(*rows)))
 
@@ -226,13 +232,19 @@ def _grams(tokens: Column, n: int) -> Column:
     return F.when(size >= n, F.transform(F.sequence(F.lit(1), F.greatest(size - n + 1, F.lit(1))), lambda i: F.array_join(F.slice(tokens, i, n), " "))).otherwise(F.array().cast("array<string>"))
 
 
+def _shares(tokens: Column) -> Column:
+    """Whether a paragraph shares a sequence with any template."""
+    # The array of one binds the tokens, so that they are cut once.
+    return F.coalesce(F.exists(F.array(tokens), lambda t: F.exists(t, lambda w: w.isin(HITS)) & F.exists(_grams(t, 3), lambda g: g.isin(SEQUENCES))), F.lit(False))
+
+
 def licence_paragraphs(docs: DataFrame) -> DataFrame:
     """doc_id, position, paragraph, family, probability and shared of every paragraph that carries a licence notice."""
     classes, weights, bias = trained()
     spark = docs.sparkSession
-    # One scan of the text for all anchors; (?i) folds A-Z only.
-    holds = lambda c: F.coalesce(c.rlike("(?i)" + "|".join(ANCHORS)), F.lit(False))
-    lines = docs.where(holds(F.col("text"))).select("doc_id", F.posexplode(F.split("text", "\n", -1)).alias("position", "paragraph")).where(holds(F.col("paragraph")))
+    lines = docs.select("doc_id", F.posexplode(F.split("text", "\n", -1)).alias("position", "paragraph"))
+    # Read once: what is left is met several times below.
+    lines = scratch_table(lines.where(_shares(_tokens(F.col("paragraph")))))
     # Equal paragraphs are judged once; copies combine before the shuffle.
     each = lines.select("paragraph").distinct().withColumn("tokens", _tokens(F.col("paragraph")))
     each = each.withColumn("three", F.array_distinct(_grams(F.col("tokens"), 3)))

@@ -57,6 +57,13 @@ def test_licence_classifier_is_accurate_on_held_out_copies():
     assert np.mean(found) > 0.97
 
 
+def test_no_licence_line_is_lost_before_it_is_scored(spark):
+    lines = ["All rights reserved.", *(t for ts in license_scan.TEMPLATES.values() for t in ts)]
+    got = license_scan.licence_paragraphs(docs_frame(spark, [(1, "\n".join(["some prose", *lines]))])).collect()
+    want = {i: license_scan.classify(x)[0] for i, x in enumerate(lines, 1)}
+    assert {r.position: r.family for r in got} == want and want[1] == "proprietary" and "unknown" not in want.values()
+
+
 def test_licences_of_an_empty_table(spark):
     assert license_scan.scan_licences(docs_frame(spark, [(1, "x")]).limit(0)).count() == 0
 
