@@ -14,6 +14,7 @@ paragraphs are judged once; every input row gets a row.
 
 from __future__ import annotations
 
+import json
 import math
 import random
 import re
@@ -29,6 +30,8 @@ UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 UNKNOWN = "unknown"
 #: Probability from which, and shared part of three-word sequences from which, a family is reported.
 MIN_PROBABILITY, MIN_SHARED = 0.5, 0.4
+#: Paragraphs of fewer words are confirmed by sequences of two words, as a short notice has few of three.
+SHORT = 8
 MAX_GRAM = 3
 FEATURES = 4000
 
@@ -77,6 +80,8 @@ TEMPLATES = {
         "Text is available under the Creative Commons Attribution-ShareAlike License; additional terms may apply.",
         "To view a copy of this license, visit http://creativecommons.org/licenses/by/4.0/",
         "SPDX-License-Identifier: CC-BY-4.0",
+        *(text for kind in ("BY", "BY-SA", "BY-NC", "BY-ND", "BY-NC-SA", "BY-NC-ND") for text in (f"Licensed under CC {kind} 4.0.", f"This work is licensed under CC {kind} 3.0.", f"SPDX-License-Identifier: CC-{kind}-4.0")),
+        *(f"This work is licensed under a Creative Commons Attribution-{kind} 4.0 International License." for kind in ("ShareAlike", "NonCommercial", "NoDerivatives", "NonCommercial-ShareAlike", "NonCommercial-NoDerivatives")),
     ),
     "public-domain": (
         "This is free and unencumbered software released into the public domain.",
@@ -198,14 +203,19 @@ def classify(text: str) -> tuple[str, float, float]:
     p = np.exp(logits - logits.max())
     p /= p.sum()
     k = int(np.argmax(p))
-    three = grams(tokens, 3)
-    shared = max((len(three & t) / min(len(three), len(t)) for t in _template_grams(classes[k]) if three and t), default=0.0)
+    n = _order(len(tokens))
+    own = grams(tokens, n)
+    shared = max((len(own & t) / min(len(own), len(t)) for t in _template_grams(classes[k], n) if own and t), default=0.0)
     stands = classes[k] != UNKNOWN and p[k] >= MIN_PROBABILITY and shared >= MIN_SHARED
     return (classes[k] if stands else UNKNOWN), float(p[k]), shared
 
 
-def _template_grams(family: str) -> list[set[str]]:
-    return [grams(words(t), 3) for t in TEMPLATES.get(family, ())]
+def _order(size: int) -> int:
+    return 2 if size < SHORT else 3
+
+
+def _template_grams(family: str, n: int) -> list[set[str]]:
+    return [grams(words(t), n) for t in TEMPLATES.get(family, ())]
 
 
 def _vocabulary() -> dict:
@@ -213,12 +223,13 @@ def _vocabulary() -> dict:
 
 
 #: All sequences of the templates, and the longest word of each: a text without such a word holds no such sequence.
-SEQUENCES = sorted(set().union(*(t for f in TEMPLATES for t in _template_grams(f))))
+SEQUENCES = sorted(set().union(*(t for f in TEMPLATES for n in (2, 3) for t in _template_grams(f, n))))
 HITS = sorted({max(g.split(), key=lambda w: (len(w), w)) for g in SEQUENCES})
 
 
-def _table(spark: SparkSession, rows: list[Column]) -> DataFrame:
-    return spark.range(1, numPartitions=1).select(F.inline(F.array(*rows)))
+def _table(spark: SparkSession, rows: list[dict], schema: str) -> DataFrame:
+    """As one literal: a call to the JVM for each value would take longer than the scan."""
+    return spark.range(1, numPartitions=1).select(F.inline(F.from_json(F.lit(json.dumps(rows)), f"array<struct<{schema}>>")))
 
 
 def _tokens(text: Column) -> Column:
@@ -232,10 +243,14 @@ def _grams(tokens: Column, n: int) -> Column:
     return F.when(size >= n, F.transform(F.sequence(F.lit(1), F.greatest(size - n + 1, F.lit(1))), lambda i: F.array_join(F.slice(tokens, i, n), " "))).otherwise(F.array().cast("array<string>"))
 
 
+def _sequences(tokens: Column) -> Column:
+    return F.when(F.size(tokens) < SHORT, _grams(tokens, 2)).otherwise(_grams(tokens, 3))
+
+
 def _shares(tokens: Column) -> Column:
     """Whether a paragraph shares a sequence with any template."""
     # The array of one binds the tokens, so that they are cut once.
-    return F.coalesce(F.exists(F.array(tokens), lambda t: F.exists(t, lambda w: w.isin(HITS)) & F.exists(_grams(t, 3), lambda g: g.isin(SEQUENCES))), F.lit(False))
+    return F.coalesce(F.exists(F.array(tokens), lambda t: F.exists(t, lambda w: w.isin(HITS)) & F.exists(_sequences(t), lambda g: g.isin(SEQUENCES))), F.lit(False))
 
 
 def licence_paragraphs(docs: DataFrame) -> DataFrame:
@@ -247,18 +262,18 @@ def licence_paragraphs(docs: DataFrame) -> DataFrame:
     lines = scratch_table(lines.where(_shares(_tokens(F.col("paragraph")))))
     # Equal paragraphs are judged once; copies combine before the shuffle.
     each = lines.select("paragraph").distinct().withColumn("tokens", _tokens(F.col("paragraph")))
-    each = each.withColumn("three", F.array_distinct(_grams(F.col("tokens"), 3)))
+    each = each.withColumn("sequences", F.array_distinct(_sequences(F.col("tokens"))))
     own = F.array_distinct(F.concat(*[_grams(F.col("tokens"), n) for n in range(1, MAX_GRAM + 1)]))
-    table = F.broadcast(_table(spark, [F.struct(F.lit(g).alias("gram"), F.array(*[F.lit(float(x)) for x in w]).alias("w")) for g, w in sorted(weights.items())]))  # at most FEATURES rows
+    table = F.broadcast(_table(spark, [{"gram": g, "w": [float(x) for x in w]} for g, w in sorted(weights.items())], "gram:string,w:array<double>"))  # at most FEATURES rows
     met = each.select("paragraph", F.explode(own).alias("gram")).join(table, "gram")
     sums = met.groupBy("paragraph").agg(F.count(F.lit(1)).alias("known"), *[F.sum(F.get("w", F.lit(k))).alias(f"s{k}") for k in range(len(classes))])
     logits = F.array(*[F.col(f"s{k}") / F.sqrt("known") + F.lit(float(bias[k])) for k in range(len(classes))])
     sums = sums.withColumn("logits", logits).withColumn("top", F.array_max("logits"))
     best = sums.select("paragraph", F.element_at(F.array(*[F.lit(c) for c in classes]), F.array_position("logits", F.col("top")).cast("int")).alias("family"), (1 / F.aggregate("logits", F.lit(0.0), lambda a, x: a + F.exp(x - F.col("top")))).alias("probability"))
-    templates = [(f, i, g) for f in TEMPLATES for i, t in enumerate(_template_grams(f)) for g in sorted(t)]
-    sizes = {(f, i): len(t) for f in TEMPLATES for i, t in enumerate(_template_grams(f))}
-    template = F.broadcast(_table(spark, [F.struct(F.lit(f).alias("t_family"), F.lit(i).alias("template"), F.lit(g).alias("gram"), F.lit(sizes[f, i]).alias("t_size")) for f, i, g in templates]))
-    shared = each.select("paragraph", F.explode("three").alias("gram"), F.size("three").alias("n3")).join(template, "gram").groupBy("paragraph", "t_family", "template").agg((F.count(F.lit(1)) / F.least(F.first("n3"), F.first("t_size"))).alias("part"))
+    # A paragraph meets the sequences of one length only.
+    templates = [(f, i, g, len(t)) for f in TEMPLATES for n in (2, 3) for i, t in enumerate(_template_grams(f, n)) for g in sorted(t)]
+    template = F.broadcast(_table(spark, [{"t_family": f, "template": i, "gram": g, "t_size": size} for f, i, g, size in templates], "t_family:string,template:int,gram:string,t_size:int"))
+    shared = each.select("paragraph", F.explode("sequences").alias("gram"), F.size("sequences").alias("n")).join(template, "gram").groupBy("paragraph", "t_family", "template").agg((F.count(F.lit(1)) / F.least(F.first("n"), F.first("t_size"))).alias("part"))
     shared = shared.groupBy("paragraph", "t_family").agg(F.max("part").alias("shared"))
     found = best.join(shared, (best["paragraph"] == shared["paragraph"]) & (F.col("family") == F.col("t_family"))).select(best["paragraph"], "family", "probability", "shared")
     found = found.where((F.col("family") != UNKNOWN) & (F.col("probability") >= MIN_PROBABILITY) & (F.col("shared") >= MIN_SHARED))

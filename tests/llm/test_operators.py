@@ -64,6 +64,15 @@ def test_no_licence_line_is_lost_before_it_is_scored(spark):
     assert {r.position: r.family for r in got} == want and want[1] == "proprietary" and "unknown" not in want.values()
 
 
+def test_notices_worded_unlike_the_templates_are_found():
+    kinds = {"creative-commons": ["Licensed under CC BY-NC 4.0.", "License: CC-BY-NC 3.0", "Licensed under CC BY-ND 2.0.", "CC BY-SA 4.0"], "proprietary": ["All rights reserved.", "Copyright 2020 Foo. All rights reserved."], "mit": ["Released under the MIT License."], "gpl": ["This work is licensed under the GNU General Public License, version 3."], "apache-2.0": ["Licensed under the Apache License, Version 2.0."]}
+    assert {t: license_scan.classify(t)[0] for ts in kinds.values() for t in ts} == {t: f for f, ts in kinds.items() for t in ts}
+    held = [(t, k) for t, k in license_scan._examples(random.Random(99), 2) if k < len(license_scan.TEMPLATES)]
+    names = list(license_scan.TEMPLATES)
+    assert np.mean([license_scan.classify(" ".join(t))[0] == names[k] for t, k in held]) > 0.9
+    assert license_scan.classify("He asked for two of the old things.")[0] == license_scan.classify("of the")[0] == "unknown"
+
+
 def test_licences_of_an_empty_table(spark):
     assert license_scan.scan_licences(docs_frame(spark, [(1, "x")]).limit(0)).count() == 0
 
