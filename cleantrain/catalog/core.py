@@ -479,14 +479,32 @@ def rules_exclusive_and_null(spark, sf_dir):
 
 @query("with k as (select p_name from part where p_size < 4 group by p_name having min(p_brand) <> max(p_brand)) select p_partkey, p_name in (select p_name from k) as broken from part where p_size < 4")
 def rule_functional(spark, sf_dir):
-    rows = read_table(spark, sf_dir, "part", ["p_partkey", "p_name", "p_brand", "p_size"]).where("p_size < 4")
+    return _functional(spark, sf_dir, "p_size < 4")
+
+
+@query("with k as (select p_name from part group by p_name having min(p_brand) <> max(p_brand)) select p_partkey, p_name in (select p_name from k) as broken from part")
+def rule_functional_all(spark, sf_dir):
+    return _functional(spark, sf_dir)
+
+
+def _functional(spark, sf_dir, where: str = "true") -> DataFrame:
+    rows = read_table(spark, sf_dir, "part", ["p_partkey", "p_name", "p_brand", "p_size"]).where(where)
     rule = detect.Rule.functional(["p_name"], "p_brand")
     return rule.mark(rows).select("p_partkey", F.col(rule.name).alias("broken"))
 
 
 @query("with r as (select o_orderkey, o_custkey, o_orderdate, o_totalprice from orders where o_orderkey < 3000) select distinct a.o_orderkey from r a join r b on a.o_custkey = b.o_custkey and a.o_orderkey <> b.o_orderkey and a.o_orderdate < b.o_orderdate and a.o_totalprice > 3 * b.o_totalprice")
 def rule_denial(spark, sf_dir):
-    rows = read_table(spark, sf_dir, "orders", ["o_orderkey", "o_custkey", "o_orderdate", "o_totalprice"], "o_orderkey < 3000")
+    return _denial(spark, sf_dir, "o_orderkey < 3000")
+
+
+@query("select distinct a.o_orderkey from orders a join orders b on a.o_custkey = b.o_custkey and a.o_orderkey <> b.o_orderkey and a.o_orderdate < b.o_orderdate and a.o_totalprice > 3 * b.o_totalprice")
+def rule_denial_all(spark, sf_dir):
+    return _denial(spark, sf_dir)
+
+
+def _denial(spark, sf_dir, where: str = "true") -> DataFrame:
+    rows = read_table(spark, sf_dir, "orders", ["o_orderkey", "o_custkey", "o_orderdate", "o_totalprice"]).where(where)
     rule = detect.Rule.denial("dear_before", ["o_custkey"], ("o_totalprice",), lambda a, b: f"{a}.o_orderdate < {b}.o_orderdate and {a}.o_totalprice > 3 * {b}.o_totalprice", "o_orderkey")
     return rule.mark(rows).where("dear_before").select("o_orderkey")
 

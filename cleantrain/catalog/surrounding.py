@@ -112,6 +112,12 @@ def set_operations(spark, sf_dir):
     return customer.where("c_custkey < 500").intersect(orders.select(F.col("o_custkey").alias("c_custkey"))).union(customer.where("c_custkey >= 1490"))
 
 
+@query("select c_custkey from (select c_custkey from customer intersect select o_custkey from orders) union all select c_custkey from customer")
+def set_operations_all(spark, sf_dir):
+    customer, orders = read_table(spark, sf_dir, "customer", ["c_custkey"]), read_table(spark, sf_dir, "orders", ["o_custkey"])
+    return customer.intersect(orders.select(F.col("o_custkey").alias("c_custkey"))).union(customer)
+
+
 @query("select 'p_name' as \"column\", count(*) filter (where p_name is null)::bigint as nulls, count(distinct p_name)::bigint as distinct_values from part union all select 'p_brand', count(*) filter (where p_brand is null)::bigint, count(distinct p_brand)::bigint from part")
 def profile_columns(spark, sf_dir):
     return joins.null_profile(read_table(spark, sf_dir, "part", ["p_name", "p_brand"]))

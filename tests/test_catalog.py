@@ -48,3 +48,16 @@ def test_entry_imports_without_the_operator_folder():
     spec.loader.exec_module(module)
     module._llm = lambda: None
     assert set(module.queries()) == set(QUERIES) and set(module.oracle_sql()) == set(ORACLES)
+
+
+def test_rules_see_rows_past_the_slices(spark, tmp_path):
+    rows = [(1, 1, 1, 9.0), (5000, 2, 1, 9.0), (5001, 2, 2, 1.0), (5002, 2, 3, 8.0)]
+    orders = spark.createDataFrame(rows, "o_orderkey long, o_custkey long, o_orderdate int, o_totalprice double")
+    orders.write.parquet(f"{tmp_path}/orders.parquet")
+    spark.createDataFrame([(1, "n", "a", 2), (2, "n", "b", 40), (3, "m", "a", 50)], "p_partkey long, p_name string, p_brand string, p_size int").write.parquet(f"{tmp_path}/part.parquet")
+    spark.createDataFrame([(2,), (700,)], "c_custkey long").write.parquet(f"{tmp_path}/customer.parquet")
+    brute = {a[0] for a in rows for b in rows if a[1] == b[1] and a[0] != b[0] and a[2] < b[2] and a[3] > 3 * b[3]}
+    run = lambda n: QUERIES[n](spark, str(tmp_path)).collect()
+    assert {r.o_orderkey for r in run("rule_denial_all")} == brute == {5000}
+    assert {r.p_partkey for r in run("rule_functional_all") if r.broken} == {1, 2}
+    assert sorted(r.c_custkey for r in run("set_operations_all")) == [2, 2, 700]
