@@ -5,6 +5,8 @@ Both sides round to six decimals (plus 0.0, so that no negative zero is left) an
 
 from __future__ import annotations
 
+from contextvars import ContextVar
+
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -112,12 +114,21 @@ def loss_values(spark, sf_dir):
     return rows.agg(*[r6(F.avg(f().value(F.col("z"), F.col(TARGET[n])))).alias(n) for n, f in losses.LOSSES.items()])
 
 
+#: Set while a query is built over all rows instead of the fold that its SQL names.
+ALL_ROWS: ContextVar[bool] = ContextVar("all_rows", default=False)
+
+
+def _fold(spark, sf_dir) -> DataFrame:
+    rows = regression(spark, sf_dir)
+    return rows if ALL_ROWS.get() else rows.where("split = 0")
+
+
 NORM2 = "(" + " + ".join(f"d{i} * d{i}" for i in range(D)) + ")"
 
 
 @query(f"with {FX} select row_id, {s6(f'abs({zdot(THETA)} - y) * sqrt({NORM2})')} as norm from fx where split = 0")
 def grad_norms_per_row(spark, sf_dir):
-    return regression(spark, sf_dir).where("split = 0").select("row_id", r6(Weight.dirty_gradient(losses.squared(), THETA)).alias("norm"))
+    return _fold(spark, sf_dir).select("row_id", r6(Weight.dirty_gradient(losses.squared(), THETA)).alias("norm"))
 
 
 def _line_sql(x: str, y: str, lam: float = 0.0) -> str:
@@ -192,7 +203,7 @@ def aggregates_as_losses(spark, sf_dir):
 
 
 def pool(spark, sf_dir, weight: str = "dirty") -> DataFrame:
-    rows = regression(spark, sf_dir).where("split = 0 and is_dirty")
+    rows = _fold(spark, sf_dir).where("is_dirty")
     return sampling.distribution(rows, Weight.uniform() if weight == "uniform" else Weight.dirty_gradient(losses.squared(), THETA))
 
 
@@ -251,7 +262,7 @@ def gradient_of_batch(spark, sf_dir):
 
 @query(f"with {FX}, {GC_SUMS} " + long_sql([f"m{i}" for i in range(D)], "gc"))
 def gradient_of_clean_part(spark, sf_dir):
-    state = gradient.GramState.of(regression(spark, sf_dir).where("split = 0 and not is_dirty"), D)
+    state = gradient.GramState.of(_fold(spark, sf_dir).where("not is_dirty"), D)
     return _vector_rows(spark, state.total_gradient(np.array(THETA)) / max(state.n, 1))
 
 
@@ -264,7 +275,7 @@ def gradient_combined(spark, sf_dir):
 
 
 def _combined(spark, sf_dir) -> np.ndarray:
-    rows = regression(spark, sf_dir).where("split = 0")
+    rows = _fold(spark, sf_dir)
     state = gradient.GramState.of(rows.where("not is_dirty"), D)
     n = rows.where("is_dirty").count()
     return combine(state.total_gradient(np.array(THETA)) / max(state.n, 1), state.n, _dirty_estimate(spark, sf_dir, losses.squared(), THETA), n)
@@ -317,7 +328,7 @@ def _taylor_sql(name: str, y: str) -> str:
 
 def _taylor_query(name: str):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        rows = regression(spark, sf_dir).where("split = 0 and is_dirty")
+        rows = _fold(spark, sf_dir).where("is_dirty")
         return rows.select("row_id", r6(Weight.taylor(losses.LOSSES[name](), THETA, DELTA, y=TARGET[name])).alias("norm"))
 
     run.__name__ = f"weight_taylor_{name}"
@@ -330,7 +341,7 @@ for _name in ("squared", "logistic", "hinge"):
 
 @query(f"with {FX} select row_id, {s6('abs(' + zdot(THETA, 'c') + ' - y) * sqrt(' + NORM2.replace('d', 'c') + ')')} as norm from fx where split = 0 and class_id > 0")
 def weight_oracle(spark, sf_dir):
-    return regression(spark, sf_dir).where("split = 0 and is_dirty").select("row_id", r6(Weight.oracle(losses.squared(), THETA)).alias("norm"))
+    return _fold(spark, sf_dir).where("is_dirty").select("row_id", r6(Weight.oracle(losses.squared(), THETA)).alias("norm"))
 
 
 MOVED = [f"(d{i} + case when class_id = {i} then {DELTA[i]!r}::double else 0::double end)" for i in range(D)]
@@ -338,22 +349,22 @@ MOVED = [f"(d{i} + case when class_id = {i} then {DELTA[i]!r}::double else 0::do
 
 @query(f"with {FX} select row_id, {s6('abs((' + ' + '.join(f'{m} * {THETA[i]!r}::double' for i, m in enumerate(MOVED)) + ') - y) * sqrt(' + ' + '.join(f'{m} * {m}' for m in MOVED) + ')')} as norm from fx where split = 0 and class_id > 0")
 def weight_feature_change(spark, sf_dir):
-    return regression(spark, sf_dir).where("split = 0 and is_dirty").select("row_id", r6(Weight.feature_change(losses.squared(), THETA, DELTA)).alias("norm"))
+    return _fold(spark, sf_dir).where("is_dirty").select("row_id", r6(Weight.feature_change(losses.squared(), THETA, DELTA)).alias("norm"))
 
 
 @query(f"with {FX} select row_id, {s6('sqrt(' + ' + '.join(f'pow(({zdot(THETA)} - y) * d{i} + 0.5::double, 2)' for i in range(D)) + ')')} as norm from fx where split = 0 and class_id > 0")
 def weight_average_gradient(spark, sf_dir):
-    return regression(spark, sf_dir).where("split = 0 and is_dirty").select("row_id", r6(Weight.average_gradient(losses.squared(), THETA, [0.5] * D)).alias("norm"))
+    return _fold(spark, sf_dir).where("is_dirty").select("row_id", r6(Weight.average_gradient(losses.squared(), THETA, [0.5] * D)).alias("norm"))
 
 
 @query(f"with {FX} select row_id, {s6(f'1 / (abs({zdot(THETA)}) / {float(np.linalg.norm(THETA))!r}::double + 1e-3::double)')} as weight from fx where split = 0 and class_id > 0")
 def weight_uncertainty(spark, sf_dir):
-    return regression(spark, sf_dir).where("split = 0 and is_dirty").select("row_id", r6(Weight.uncertainty(THETA)).alias("weight"))
+    return _fold(spark, sf_dir).where("is_dirty").select("row_id", r6(Weight.uncertainty(THETA)).alias("weight"))
 
 
 @query(f"with {FX} select row_id from fx where split = 0 order by abs({zdot(THETA)}), row_id limit {BATCH}")
 def uncertainty_top(spark, sf_dir):
-    return regression(spark, sf_dir).where("split = 0").select("row_id", F.abs(dot(F.col("x"), THETA)).alias("m")).orderBy("m", "row_id").limit(BATCH).select("row_id")
+    return _fold(spark, sf_dir).select("row_id", F.abs(dot(F.col("x"), THETA)).alias("m")).orderBy("m", "row_id").limit(BATCH).select("row_id")
 
 
 A = f"(abs({zdot(THETA, 'c')} - y) * sqrt({NORM2.replace('d', 'c')}))"
@@ -652,3 +663,26 @@ def progressive_loop(spark, sf_dir):
 def window_rank(spark, sf_dir):
     w = Window.partitionBy("split").orderBy("row_id")
     return pool(spark, sf_dir).select(F.row_number().over(w).alias("k"), "row_id").where("k <= 20")
+
+
+def _all_rows(name: str) -> None:
+    """Registers name_all: the same query on every dirty and clean row, with the same SQL less its fold."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        before = ALL_ROWS.set(True)
+        try:
+            return QUERIES[name](spark, sf_dir)
+        finally:
+            ALL_ROWS.reset(before)
+
+    run.__name__ = f"{name}_all"
+    sql = ORACLES.get(name)
+    query(sql and sql.replace("split = 0 and ", "").replace(" where split = 0", ""))(run)
+
+
+FOLDED = (
+    "grad_norms_per_row", "weights_floored", "draw_ordered", "draw_poisson", "draw_with_replacement", "gradient_of_batch", "gradient_of_clean_part", "gradient_combined", "one_update", "change_by_feature", "change_by_class",
+    "weight_taylor_squared", "weight_taylor_logistic", "weight_taylor_hinge", "weight_oracle", "weight_feature_change", "weight_average_gradient", "weight_uncertainty", "uncertainty_top", "variance_by_design", "lookup_clean",
+)
+for _name in FOLDED:
+    _all_rows(_name)

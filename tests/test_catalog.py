@@ -61,3 +61,11 @@ def test_rules_see_rows_past_the_slices(spark, tmp_path):
     assert {r.o_orderkey for r in run("rule_denial_all")} == brute == {5000}
     assert {r.p_partkey for r in run("rule_functional_all") if r.broken} == {1, 2}
     assert sorted(r.c_custkey for r in run("set_operations_all")) == [2, 2, 700]
+
+
+def test_all_rows_are_weighed(spark, small):
+    rows = core.regression(spark, small)
+    n, dirty = rows.count(), rows.where("is_dirty").count()
+    assert QUERIES["weights_floored_all"](spark, small).count() == dirty > QUERIES["weights_floored"](spark, small).count()
+    assert QUERIES["grad_norms_per_row_all"](spark, small).count() == n
+    assert all("split = 0" not in ORACLES[f"{name}_all"] for name in core.FOLDED if name in ORACLES)
