@@ -4,8 +4,8 @@ A page is read into a tree of elements. Boilerplate elements (menus, headers, fo
 adverts, forms, comments, hidden parts), known by tag, role or a whole word of class or id, are left out.
 Every paragraph earns one point, one for each comma and one for each hundred characters up to three, and passes
 them to its parent in full, to its grandparent by half and to further ancestors by shrinking shares. A container's points are
-discounted by its link density. The best container, or the article or main element that holds it, is kept with
-those siblings whose points come near.
+discounted by its link density. The best container is kept with all its siblings
+that are not mostly links, however short; an article or main element that holds it, with siblings whose points come near.
 
 Edge cases: null or empty html, or a page without text, gives the empty text; unclosed and stray tags are
 repaired; nothing is capped, so very long pages and deep nesting are read whole (the tree is walked with loops).
@@ -36,6 +36,9 @@ BARRIERS = {"li": "ul ol menu", "dt": "dl", "dd": "dl", "tr": "table", "td": "ta
 BONUS = {"article": 10.0, "main": 10.0, "section": 3.0, "div": 2.0, "td": 1.0, "blockquote": 1.0}
 PARAGRAPHS = frozenset("p pre td blockquote li dd h1 h2 h3 h4 h5 h6 figcaption".split())
 
+#: Part of its text in links from which a sibling of the best container is boilerplate.
+MAX_LINKS = 0.25
+
 _TAG = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|<[!?][^>]*>", re.S)
 _ATTRIBUTE = re.compile(r"([^\s=\"'/>]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
 _WORD = re.compile(r"[a-z0-9]+")
@@ -195,17 +198,20 @@ def main_text(page: str | None) -> str:
             best = up
         up = up.parent
     kept: list[Node | str] = [best]
-    if best.parent and best.parent.tag != "#root":
+    if best.parent and best.parent.tag != "#root" and best.tag not in ("article", "main"):
+        kept = [c for c in best.parent.children if c is best or isinstance(c, str) or _density(c) < MAX_LINKS]
+    elif best.parent and best.parent.tag != "#root":
         least = max(10.0, 0.2 * _worth(best))
-        kept = [c for c in best.parent.children if c is best or isinstance(c, Node) and _keeps(c, best, least)]
+        kept = [c for c in best.parent.children if c is best or isinstance(c, Node) and _keeps(c, least)]
     return "\n".join(_blocks(kept))
 
 
-def _keeps(node: Node, best: Node, least: float) -> bool:
+def _keeps(node: Node, least: float) -> bool:
+    """Beside an article or main element, which marks the main text itself."""
     if node.tag in ("h1", "h2"):
-        return best.tag not in ("article", "main")
+        return False
     if node.tag == "p":
-        return node.text_chars > 80 and _density(node) < 0.25
+        return node.text_chars > 80 and _density(node) < MAX_LINKS
     return node.points > 0 and _worth(node) >= least
 
 

@@ -389,3 +389,10 @@ def test_pipeline_equals_its_stages_by_hand(spark, small):
     final = corpus_pipeline.run(spark, small)
     assert sorted(r.doc_id for r in final.collect()) == sorted(r.doc_id for r in out.collect())
     assert set(final.columns) == {"doc_id", "n_tokens", "ids"}
+
+
+def test_main_text_of_several_sections_without_an_article():
+    long = "<p>" + "a, b, c, " + "x" * 291 + "</p>"
+    page = f"<html><body><div id=nav><a href=/>Home</a></div><div id=post><h3>Title</h3><div class=part>{long * 5}</div><div class=part><p>One short paragraph.</p></div><ul><li>An item</li></ul><div><a href=/n>Next page of links</a></div><p>Short end.</p>bare tail</div></body></html>"
+    got = html_main_text.main_text(page).split("\n")
+    assert got[0] == "Title" and got[6:] == ["One short paragraph.", "An item", "Short end.", "bare tail"] and len(got) == 10
