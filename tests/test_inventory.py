@@ -75,3 +75,9 @@ def test_constant_feature_and_empty_rows(spark):
     f = Featurizer(["a"], ["c"]).fit(rows)
     assert [list(r.x) for r in rows.select(f.vector().alias("x")).collect()] == [[1.0, 0.0], [1.0, 0.0]] and f.lineage()["a"] == [1]
     assert GramState.of(spark.createDataFrame([], "x array<double>, y double"), 3).n == 0
+
+
+def test_partly_done_items_are_marked():
+    from cleantrain.catalog.coverage import PARTLY
+
+    assert set(PARTLY) <= set(COVERAGE) and {"W-9", "W-10"} <= set(PARTLY)
