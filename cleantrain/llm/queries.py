@@ -36,7 +36,7 @@ def op4_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
-    coded = sentencepiece_lattice.decode(sentencepiece_lattice.encode(_read(spark, sf_dir, "documents")))
+    coded = sentencepiece_lattice.encode(_read(spark, sf_dir, "documents"), decoded=True)
     return coded.select("doc_id", "n_tokens", "ids", F.sha2("decoded", 256).alias("decoded_sha256"))
 
 

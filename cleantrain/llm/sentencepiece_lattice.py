@@ -1,30 +1,33 @@
 """SentencePiece encoding and decoding over a relational lattice.
 
 A text becomes a string in which the space is U+2581, with one in front. It is cut into units at places that no piece
-of the model spans (such places are found in the piece table itself), so units can be encoded apart. Encoding is done
-once for each distinct unit of the whole corpus: its substrings of at most the longest piece's length are exploded and
-meet the piece table in an equi-join; the edges are grouped by unit and folded with Spark's aggregate(). A character
-that no piece covers is an edge of its own and becomes its UTF-8 byte pieces. The dictionary of units goes back to
-chunks of documents (ranges of doc_id), where ids are looked up; only compressed texts and each chunk's distinct units
-are shuffled.
+of the model spans (such places are found in the piece table itself), so units can be encoded apart, and each distinct
+unit is encoded once: its substrings of at most the longest piece's length are exploded and meet the piece table in an
+equi-join; the edges are grouped by unit and folded with Spark's aggregate().
+
+The dictionary of units comes back to the texts by two ways that give the same ids. The HOT_UNITS most frequent units
+of the whole corpus, a table of bounded size, are broadcast. All others go by an equi-join: each row of documents sends
+its distinct other units, which meet the lattice's result in one exchange by unit and return to the row in another. A
+unit left out of the broadcast table holds at most about one HOT_UNITS-th of all places, so no join key is hot. Texts are
+shuffled once, compressed; no group is larger than one text's own units.
 
 The fold follows the model's kind. For unigram models it is Viterbi's: edges come by their end, and the best path to
 every position is kept. The scores of byte-pair models are merge ranks, of which no sum means anything, so a best path
-is not what such a model encodes to; there the fold keeps the piece boundaries and the edges that can still come
-about, and each step takes the best-ranked edge that joins two neighbours, which is the library's result.
+is not what such a model encodes to; there the fold goes over the edges by rank and keeps the piece boundaries as bits:
+an edge that spans just two pieces joins them. One pass is enough for pieces made of better-ranked parts; of others, which
+here are runs of spaces, the fold takes the best edge again and again.
 
 Edge cases: null and empty texts have no ids and decode to the empty text; U+2581 itself decodes to a space, as in
-the reference library; units longer than LONG_UNIT characters are folded in the task that holds them, since a fold by
-aggregate() copies its state; ties go to the edge that starts first. Every input row gets a row; a null doc_id is in a
-chunk of its own.
+the reference library; ties go to the edge that starts first. Every input row gets a row, whatever its doc_id, which
+may be null or repeated. Models that normalise characters, drop spaces or add no space in front raise ValueError.
 """
 
 from __future__ import annotations
 
-import heapq
 import re
 import sys
 import unicodedata
+from collections import Counter
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -40,12 +43,17 @@ from .common import release_memory, scratch_table
 
 MODEL_FILE = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE = "▁"
-CHUNK_DOCS = 2048
-LONG_UNIT = 96
 BYTE_PAIR = 2
+#: Units in the broadcast table, and the longest of them; the rest are joined by shuffle.
+HOT_UNITS, HOT_CHARS = 1 << 18, 64
 #: Pieces in the broadcast table; a larger one is joined by shuffle.
 BROADCAST_PIECES = 500_000
-_FLUSH = 100_000
+#: Longer units are cut wherever two neighbours occur in no piece.
+CUT_CHARS = 48
+#: Distinct words that a task counts at a time, and words that it keeps encoded.
+_FLUSH, _KEPT = 200_000, 50_000
+#: Bits of the boundary set in one number, and so the longest piece that the one-pass fold takes.
+_BITS = 32
 
 
 class PieceTable:
@@ -59,6 +67,10 @@ class PieceTable:
         self.fine = not any(_kind(a) != _kind(b) and _kind(a) != "S" for p, _, _ in pieces for a, b in zip(p, p[1:], strict=False))
         if any(a != SPACE and b == SPACE for p, _, _ in pieces for a, b in zip(p, p[1:], strict=False)):
             raise ValueError("a piece spans the start of a word")
+        if merges and self.longest > _BITS:
+            raise ValueError(f"byte-pair pieces of more than {_BITS} characters")
+        self.pairs = {a + b for p, _, _ in pieces for a, b in zip(p, p[1:], strict=False)}
+        self.pooled, self.run = self._unsteady() if merges else (None, 0)
         self.text_of = [b""] * (1 + max([unknown, *byte_ids.values(), *(i for _, i, _ in pieces)]))
         for p, i, _ in pieces:
             self.text_of[i] = p.replace(SPACE, " ").encode()
@@ -71,6 +83,7 @@ class PieceTable:
         """Reads a model file, which names its kind."""
         import sentencepiece
 
+        _check_settings(model)
         reader = sentencepiece.SentencePieceProcessor(model_proto=model)
         n = reader.get_piece_size()
         normal = [i for i in range(n) if not (reader.is_byte(i) or reader.is_control(i) or reader.is_unknown(i) or reader.is_unused(i))]
@@ -78,63 +91,39 @@ class PieceTable:
         byte_ids = {int(reader.id_to_piece(i)[1:-1], 16): i for i in range(n) if reader.is_byte(i)}
         return PieceTable([(reader.id_to_piece(i), i, float(s)) for i, s in zip(normal, scores, strict=True)], byte_ids, reader.unk_id(), _model_kind(model) == BYTE_PAIR)
 
+    def _unsteady(self) -> tuple[float | None, int]:
+        """The best score of a piece that has no two better-ranked parts, below which merges needn't come in the order of ranks.
+
+        And, if all such pieces are runs of U+2581, the length of the longest where it surely fills the start of a longer
+        run, so that a run may be cut behind it: the leftmost pair goes first, and nothing joins a longest piece.
+        """
+        part = lambda p, s: len(p) == 1 or p in self.find and self.find[p][1] > s
+        odd = [(p, s) for p, _, s in self.pieces if len(p) > 1 and not any(part(p[:k], s) and part(p[k:], s) for k in range(1, len(p)))]
+        if not odd:
+            return None, 0
+        pooled, runs = max(s for _, s in odd), {len(p): s for p, _, s in self.pieces if p == SPACE * len(p) and len(p) > 1}
+        if any(p != SPACE * len(p) for p, _ in odd) or len(set(runs.values())) > 1:
+            return pooled, 0
+        most, row = max(runs), [1] * max(runs)
+        while (at := next((i for i in range(len(row) - 1) if row[i] + row[i + 1] in runs), None)) is not None:
+            row[at : at + 2] = [row[at] + row[at + 1]]
+        return pooled, most if row == [most] else 0
+
     def words(self, text: str) -> list[str]:
         """Parts that hold whole units: cut at single spaces; a text with runs of spaces is one part."""
         return text.split(" ") if "  " not in text and text[0] != " " and text[-1] != " " else [text]
 
     def units(self, text: str | None) -> list[str]:
-        return _pattern(self.fine).findall(SPACE + text.replace(" ", SPACE)) if text else []
-
-    def viterbi(self, unit: str) -> list[int]:
-        """The fold in one process: for long units, and to test the relational one. Uncovered characters are -1 - code point."""
-        best: list[tuple[float, int, int]] = [(0.0, 0, 0)]
-        for end in range(1, len(unit) + 1):
-            top = None
-            for start in range(max(0, end - self.longest), end):
-                found = self.find.get(unit[start:end])
-                if found is None and start == end - 1:
-                    found = (-1 - ord(unit[start]), self.fallback)
-                if found and (top is None or best[start][0] + found[1] > top[0]):
-                    top = (best[start][0] + found[1], start, found[0])
-            best.append(top)
-        out, at = [], len(unit)
-        while at:
-            out.append(best[at][2])
-            at = best[at][1]
-        return out[::-1]
-
-    def merged(self, unit: str) -> list[int]:
-        """The byte-pair fold in one process: a heap of neighbours, best rank and then leftmost first."""
-        n = len(unit)
-        after, before = list(range(1, n + 1)), list(range(-1, n))
-        heap: list[tuple[float, int, int, int]] = []
-
-        def offer(a: int) -> None:
-            if a >= 0 and (m := after[a]) < n and (found := self.find.get(unit[a : after[m]])):
-                heapq.heappush(heap, (-found[1], a, m, after[m]))
-
-        for a in range(n):
-            offer(a)
-        while heap:
-            _, a, m, e = heapq.heappop(heap)
-            if after[a] != m or m >= n or after[m] != e:
-                continue
-            after[a] = e
-            if e < n:
-                before[e] = a
-            after[m] = -1
-            offer(a)
-            if a > 0:
-                offer(before[a])
-        out, a = [], 0
-        while a < n:
-            found = self.find.get(unit[a : after[a]])
-            out.append(found[0] if found else -1 - ord(unit[a]))
-            a = after[a]
-        return out
-
-    def fold(self, unit: str) -> list[int]:
-        return self.merged(unit) if self.merges else self.viterbi(unit)
+        found = _pattern(self.fine).findall(SPACE + text.replace(" ", SPACE)) if text else []
+        return found if not text or len(text) <= CUT_CHARS else [u for x in found for u in (self._cut(x) if len(x) > CUT_CHARS else [x])]
+
+    def _cut(self, unit: str) -> list[str]:
+        at = [0]
+        if self.run:
+            spaces = len(unit) - len(unit.lstrip(SPACE))
+            at += range(self.run, spaces - CUT_CHARS, self.run)
+        at += [*(i for i in range(at[-1] + 1, len(unit)) if unit[i - 1 : i + 1] not in self.pairs), len(unit)]
+        return [unit[a:b] for a, b in zip(at, at[1:], strict=False)]
 
     def finished(self, ids: np.ndarray) -> np.ndarray:
         """Characters that stand alone, written -1 - code point, as their piece, else as byte pieces or the unknown id."""
@@ -180,6 +169,14 @@ def _fields(message: bytes) -> Iterator[tuple[int, int | bytes]]:
             at += size
 
 
+def _check_settings(model: bytes) -> None:
+    """Fields 2 to 5 of the normaliser's settings, which are field 3 of the model: character map, space in front, drop spaces, write spaces as U+2581."""
+    rules = next((dict(_fields(v)) for k, v in _fields(model) if k == 3), {})
+    suffix = next((dict(_fields(v)).get(24, 0) for k, v in _fields(model) if k == 2), 0)
+    if rules.get(2) or not rules.get(3, 1) or rules.get(4, 1) or not rules.get(5, 1) or suffix:
+        raise ValueError("only models are read that leave characters and spaces as they are and put a space in front")
+
+
 def _model_kind(model: bytes) -> int:
     """Field 3 of the trainer's settings, which are field 2 of the model: 1 (also if absent) unigram, 2 byte-pair."""
     for number, value in _fields(model):
@@ -223,71 +220,91 @@ def _read_model(spark: SparkSession, model_file: str) -> bytes:
         return f.read()
 
 
-def _chunk():
-    return F.coalesce(F.floor(F.col("doc_id") / CHUNK_DOCS), F.lit(-1)).cast("long").alias("chunk")
-
+def frequent_units(docs: DataFrame, shared) -> DataFrame:
+    """unit: at most HOT_UNITS of the most frequent units of all texts, of 2 to HOT_CHARS characters.
 
-def chunk_units(pressed: DataFrame, shared) -> DataFrame:
-    """chunk and unit: the distinct units of each chunk's documents.
-
-    Texts come compressed and gathered by chunk, so that a chunk's units are made distinct in one task however the
-    documents lie in their files; a very large chunk is let out in parts.
+    Tasks count words, and let out the units that occur three times among _FLUSH distinct words; the sums are cut where
+    a histogram of their logarithms says that the bound is kept. Which units are in it changes no result.
     """
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table, opener, seen = piece_table(shared.value), zstandard.ZstdDecompressor(), {}
+        table, words, units = piece_table(shared.value), Counter(), Counter()
+
+        def flush() -> pa.RecordBatch:
+            for word, n in words.items():
+                for u in table.units(word):
+                    units[u] += n
+            kept = [(u, n) for u, n in units.items() if n > 2 and 1 < len(u) <= HOT_CHARS]
+            words.clear()
+            units.clear()
+            return pa.RecordBatch.from_arrays([pa.array([u for u, _ in kept], pa.string()), pa.array([n for _, n in kept], pa.int64())], ["unit", "n"])
+
         for batch in batches:
             for start in range(0, batch.num_rows, 256):
-                part = batch.slice(start, 256)
-                for chunk, packed in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
-                    own = seen.setdefault(chunk, set())
-                    if packed:
-                        own.update(table.words(opener.decompress(packed).decode("utf-8", "surrogatepass")))
-                    if len(own) > _FLUSH:
-                        yield from flush(table, chunk, seen.pop(chunk))
-                for chunk in [c for c in seen if c != part.column(0)[-1].as_py()]:  # rows come by chunk
-                    yield from flush(table, chunk, seen.pop(chunk))
-        for chunk in list(seen):
-            yield from flush(table, chunk, seen.pop(chunk))
+                for text in batch.column(0).slice(start, 256).to_pylist():
+                    if text:
+                        parts = table.words(text)
+                        if len(parts) > 1:
+                            words.update(parts)
+                        else:
+                            units.update(table.units(text))
+                if len(words) + len(units) > _FLUSH:
+                    yield flush()
+        yield flush()
         release_memory()
 
-    def flush(table: PieceTable, chunk: int, own: set) -> Iterator[pa.RecordBatch]:
-        units = {u for w in own for u in table.units(w) if 1 < len(u) <= LONG_UNIT}
-        yield pa.RecordBatch.from_arrays([pa.repeat(pa.scalar(chunk, pa.int64()), len(units)), pa.array(list(units), pa.string())], ["chunk", "unit"])
-
-    return pressed.select("chunk", "text").repartition("chunk").sortWithinPartitions("chunk").mapInArrow(run, "chunk long, unit string")
+    counts = scratch_table(docs.select("text").mapInArrow(run, "unit string, n long").groupBy("unit").agg(F.floor(F.log2(F.sum("n")) * 8).alias("size")))
+    room, least = HOT_UNITS, None
+    for r in sorted(counts.groupBy("size").count().collect(), reverse=True):
+        room -= r["count"]
+        if room < 0:
+            break
+        least = r["size"]
+    return counts.where(F.col("size") >= least if least is not None else F.lit(False)).select("unit")
 
 
 def unit_dictionary(units: DataFrame, table: PieceTable) -> DataFrame:
-    """unit and ids (packed, big-endian int32; lone characters as -1 - code point) of distinct units of two characters or more.
+    """unit and ids (lone characters as -1 - code point) of distinct units of two characters or more.
 
     A byte-pair fold needs no edges of one character, so units on which no longer piece lies have no row.
     """
     spark = units.sparkSession
-    pieces = spark.createDataFrame(pd.DataFrame(table.pieces, columns=["piece", "id", "score"]), "piece string, id int, score double")
+    order = {s: k for k, s in enumerate(sorted({s for _, _, s in table.pieces}, reverse=True))}
+    pieces = spark.createDataFrame(pd.DataFrame([(p, i, s, order[s]) for p, i, s in table.pieces], columns=["piece", "id", "score", "rank"]), "piece string, id int, score double, rank int")
     if len(table.pieces) <= BROADCAST_PIECES:
         pieces = F.broadcast(pieces)
-    size, least = F.length("unit"), 2 if table.merges else 1
-    starts = units.select("unit", F.explode(F.sequence(F.lit(0), size - least)).alias("start"))
-    spans = starts.select("unit", "start", F.explode(F.sequence(F.lit(least), F.least(F.lit(table.longest), size - F.col("start")))).alias("long"))
-    spans = spans.select("unit", "start", (F.col("start") + F.col("long")).alias("end"), F.col("unit").substr(F.col("start") + 1, F.col("long")).alias("piece"))
-    edges = spans.join(pieces, "piece") if table.merges else spans.join(pieces, "piece", "left").where("id is not null or end = start + 1")
-    edge = F.struct("end", "start", F.coalesce("id", -1 - F.ascii("piece")).alias("id"), F.coalesce("score", F.lit(table.fallback)).alias("score"))
-    lattice = edges.groupBy("unit").agg(F.array_sort(F.collect_list(edge)).alias("edges"))
+    size, start, long = F.length("unit"), F.col("start"), F.col("long")
+    cut = lambda spans: spans.select("unit", "start", "long", F.col("unit").substr(start + 1, long).alias("piece"))
+    if table.merges:
+        # Only lengths of pieces that begin with the substring's first two characters are exploded.
+        longs: dict[str, set[int]] = {}
+        for p, _, _ in table.pieces:
+            if len(p) > 1:
+                longs.setdefault(p[:2], set()).add(len(p))
+        heads = spark.createDataFrame([(h, sorted(x)) for h, x in longs.items()], "head string, longs array<int>")
+        heads = F.broadcast(heads) if len(longs) <= BROADCAST_PIECES else heads
+        starts = units.select("unit", F.explode(F.sequence(F.lit(0), size - 2)).alias("start")).select("unit", "start", F.col("unit").substr(start + 1, F.lit(2)).alias("head"))
+        spans = starts.join(heads, "head").select("unit", "start", F.explode("longs").alias("long")).where(start + long <= size)
+        edges = cut(spans).join(pieces, "piece").select("unit", F.struct("rank", "start", "long", "id", _Bits.ends_at(start, long).alias("ends"), _Bits.inside(start, long).alias("inner")).alias("edge"))
+        edges = edges.groupBy("unit").agg(F.sort_array(F.collect_list("edge")).alias("edges"))
+        return edges.select("unit", _merge_fold(F.col("edges"), order.get(table.pooled)).alias("ids"))
+    starts = units.select("unit", F.explode(F.sequence(F.lit(0), size - 1)).alias("start"))
+    spans = cut(starts.select("unit", "start", F.explode(F.sequence(F.lit(1), F.least(F.lit(table.longest), size - start))).alias("long")))
+    edges = spans.join(pieces, "piece", "left").where("id is not null or long = 1")
+    edge = F.struct((F.col("start") + F.col("long")).alias("end"), "start", F.coalesce("id", -1 - F.ascii("piece")).alias("id"), F.coalesce("score", F.lit(table.fallback)).alias("score"))
+    return edges.groupBy("unit").agg(F.sort_array(F.collect_list(edge)).alias("edges")).select("unit", _viterbi_fold(F.col("edges")).alias("ids"))
+
+
+def _viterbi_fold(edges: Column) -> Column:
+    """The ids of the best path over edges that come by end, then by start."""
 
     def relax(best, e):
-        """Paths by end position; edges come by end, so a path's end is either the last one known or the next."""
+        """Paths by end position; a path's end is either the last one known or the next."""
         path = F.struct((F.get(best, e["start"])["score"] + e["score"]).alias("score"), F.concat(F.get(best, e["start"])["ids"], F.array(e["id"])).alias("ids"))
         last = F.element_at(best, -1)
         return F.when(F.size(best) == e["end"], F.concat(best, F.array(path))).when(F.get(best, e["start"])["score"] + e["score"] > last["score"], F.concat(F.slice(best, F.lit(1), e["end"]), F.array(path))).otherwise(best)
 
-    if table.merges:
-        ids = _merge_fold(F.col("edges"))
-    else:
-        none = F.array(F.struct(F.lit(0.0).alias("score"), F.array().cast("array<int>").alias("ids")))
-        ids = F.element_at(F.aggregate("edges", none, relax), -1)["ids"]
-    packed = F.unhex(F.array_join(F.transform(ids, lambda i: F.right(F.concat(F.lit("0000000"), F.hex(i.cast("long"))), F.lit(8))), ""))
-    return lattice.select("unit", packed.alias("ids"))
+    none = F.array(F.struct(F.lit(0.0).alias("score"), F.array().cast("array<int>").alias("ids")))
+    return F.element_at(F.aggregate(edges, none, relax), -1)["ids"]
 
 
 def _let(value: Column, body) -> Column:
@@ -295,82 +312,233 @@ def _let(value: Column, body) -> Column:
     return F.get(F.transform(F.array(value), body), F.lit(0))
 
 
-def _merge_fold(edges: Column) -> Column:
-    """The ids of a unit under byte-pair merges, from its lattice's edges of two or more characters.
+def _merge_fold(edges: Column, pooled: int | None) -> Column:
+    """The ids of a unit under byte-pair merges, from its lattice's edges of two or more characters, best first.
 
-    State: the boundaries of the pieces so far, and the edges of two or more characters, best first, whose ends are
-    both boundaries. A step applies the first edge that spans just two pieces; without one the state stays.
+    The state is the set of piece boundaries as bits. Edges ranked before `pooled` are passed once; from there on, the
+    first of the others that spans two pieces is applied until none does.
     """
     size = F.length("unit")
-    longer = F.transform(edges, lambda e: F.struct((-e["score"]).alias("rank"), e["start"].alias("start"), e["end"].alias("end")))
-    first = F.struct(F.sequence(F.lit(0), size).alias("b"), F.array_sort(longer).alias("e"))
+    return F.when(size < 63, _folded(edges, pooled, _Bits())).otherwise(_folded(edges, pooled, _ManyBits()))
+
+
+def _shift(name: str, x, by) -> Column:
+    """F.shiftleft() and the like take no column as distance."""
+    return F.call_function(name, x, by)
+
+
+def _one() -> Column:
+    return F.lit(1).cast("long")
+
+
+def _from(place) -> Column:
+    """All bits from a place on; no sums here, which might overflow."""
+    return _shift("shiftleft", F.lit(-1).cast("long"), place)
+
+
+class _Bits:
+    """Boundaries 0 to 62 in one number; edges know the bits of their ends, and those in between."""
+
+    @staticmethod
+    def ends_at(start, long):
+        return _shift("shiftleft", _one(), start).bitwiseOR(_shift("shiftleft", _one(), start + long))
+
+    @staticmethod
+    def inside(start, long):
+        return _from(start + 1).bitwiseAND(F.bitwise_not(_from(start + long)))
+
+    def full(self, size):
+        return F.bitwise_not(_from(size + 1))
+
+    def spans_two(self, b, e):
+        return (b.bitwiseAND(e["ends"]) == e["ends"]) & (F.bit_count(b.bitwiseAND(e["inner"])) == 1)
+
+    def joined(self, b, e):
+        """The boundaries after an edge that spans two pieces, else as they are."""
+        return F.when(self.spans_two(b, e), b.bitwiseAND(F.bitwise_not(e["inner"]))).otherwise(b)
+
+    def whole(self, b, e):
+        return b.bitwiseAND(e["ends"].bitwiseOR(e["inner"])) == e["ends"]
+
+    def lone(self, b, size):
+        """Where characters stand alone."""
+        both = b.bitwiseAND(F.shiftright(b, 1))
+        return F.when(both == 0, F.array().cast("array<int>")).otherwise(_let(both, lambda x: F.filter(F.sequence(F.lit(0), size - 1), lambda s: _shift("shiftright", x, s).bitwiseAND(_one()) != 0)))
+
 
-    none = F.array().cast("array<struct<rank:double,start:int,end:int>>")
+class _ManyBits(_Bits):
+    """Any number of boundaries, _BITS in a number, with a zero behind: an edge touches two neighbours of the array."""
 
-    def step(state, _):
-        b, e = state["b"], state["e"]
-        ready = F.filter(e, lambda x: F.get(b, F.array_position(b, x["start"]).cast("int") + 1) == x["end"])
-        # Edges that start or end at the boundary that goes can't come about any more, nor again the one applied.
-        apply = lambda f, gone: F.struct(F.array_remove(b, gone).alias("b"), F.filter(e, lambda x: (x["start"] != gone) & (x["end"] != gone) & ((x["start"] != f["start"]) | (x["end"] != f["end"]))).alias("e"))
-        taken = _let(F.get(ready, F.lit(0)), lambda f: F.when(f.isNull(), F.struct(b.alias("b"), none.alias("e"))).otherwise(_let(F.get(b, F.array_position(b, f["start"]).cast("int")), lambda gone: apply(f, gone))))
-        return F.when(F.size(e) == 0, state).otherwise(taken)
+    word, off = staticmethod(lambda s: F.shiftright(s, 5)), staticmethod(lambda s: s.bitwiseAND(F.lit(_BITS - 1)))
 
-    bounds = F.aggregate(F.sequence(F.lit(1), size), first, step)["b"]
-    id_of = lambda p: F.when(p["e"] == p["s"] + 1, -1 - F.ascii(F.col("unit").substr(p["s"] + 1, F.lit(1)))).otherwise(F.get(F.filter(edges, lambda x: (x["start"] == p["s"]) & (x["end"] == p["e"])), F.lit(0))["id"])
-    pairs = _let(bounds, lambda b: F.transform(F.sequence(F.lit(0), F.size(b) - 2), lambda k: F.struct(F.get(b, k).alias("s"), F.get(b, k + 1).alias("e"))))
-    return F.transform(pairs, id_of)
+    def full(self, size):
+        return F.transform(F.sequence(F.lit(0), self.word(size) + 1), lambda k: _shift("shiftleft", _one(), F.greatest(F.lit(0), F.least(F.lit(_BITS), size + 1 - k * _BITS))) - 1)
 
+    def window(self, b, s):
+        """The boundaries from position s on."""
+        return _shift("shiftrightunsigned", F.get(b, self.word(s)).bitwiseOR(F.shiftleft(F.get(b, self.word(s) + 1), _BITS)), self.off(s))
 
-def encode(docs: DataFrame, model_file: str = MODEL_FILE) -> DataFrame:
-    """doc_id, n_tokens and ids of every document row."""
+    def gap(self, b, e):
+        """The boundaries inside an edge whose ends are both boundaries, else 0."""
+        ends, inner = self.ends_at(F.lit(0), e["long"]), self.inside(F.lit(0), e["long"])
+        return _let(self.window(b, e["start"]), lambda w: F.when(w.bitwiseAND(ends) == ends, w.bitwiseAND(inner)).otherwise(F.lit(0).cast("long")))
+
+    def spans_two(self, b, e):
+        return F.bit_count(self.gap(b, e)) == 1
+
+    def joined(self, b, e):
+        def without(gone):
+            k, moved = self.word(e["start"]), _shift("shiftleft", gone, self.off(e["start"]))
+            low, high = F.get(b, k).bitwiseAND(F.bitwise_not(moved.bitwiseAND(F.lit(2**32 - 1)))), F.get(b, k + 1).bitwiseAND(F.bitwise_not(F.shiftrightunsigned(moved, _BITS)))
+            return F.concat(F.slice(b, F.lit(1), k), F.array(low, high), F.slice(b, k + 3, F.size(b)))
+
+        return _let(self.gap(b, e), lambda g: F.when(F.bit_count(g) == 1, without(g)).otherwise(b))
+
+    def whole(self, b, e):
+        ends = self.ends_at(F.lit(0), e["long"])
+        return self.window(b, e["start"]).bitwiseAND(ends.bitwiseOR(self.inside(F.lit(0), e["long"]))) == ends
+
+    def lone(self, b, size):
+        here = lambda s: _shift("shiftright", F.get(b, self.word(s)), self.off(s)).bitwiseAND(_one()) != 0
+        return F.filter(F.sequence(F.lit(0), size - 1), lambda s: here(s) & here(s + 1))
+
+
+def _folded(edges: Column, pooled: int | None, bits: _Bits) -> Column:
+    size = F.length("unit")
+    bounds = F.aggregate(edges if pooled is None else F.filter(edges, lambda e: e["rank"] < pooled), bits.full(size), bits.joined)
+    if pooled is not None:
+        rest = F.filter(edges, lambda e: e["rank"] >= pooled)
+        step = lambda b, _: F.coalesce(_let(F.get(F.filter(rest, lambda e: bits.spans_two(b, e)), F.lit(0)), lambda e: F.when(e.isNotNull(), bits.joined(b, e))), b)
+        bounds = F.when(F.element_at(edges, -1)["rank"] < pooled, bounds).otherwise(F.aggregate(F.sequence(F.lit(1), size), bounds, step))
+
+    def pieces(b):
+        whole = F.transform(F.filter(edges, lambda e: bits.whole(b, e)), lambda e: F.struct(e["start"].alias("start"), e["id"].alias("id")))
+        return F.concat(whole, F.transform(bits.lone(b, size), lambda s: F.struct(s.alias("start"), (-1 - F.ascii(F.col("unit").substr(s + 1, F.lit(1)))).alias("id"))))
+
+    return F.transform(F.sort_array(_let(bounds, pieces)), lambda p: p["id"])
+
+
+class _Coder:
+    """Texts to ids, given the ids of frequent units and, for each text, those of its other units in the order they come."""
+
+    def __init__(self, table: PieceTable, hot: tuple[list[str], bytes, list[int]]):
+        units, ids, ends = hot
+        whole = np.frombuffer(ids, np.int32)
+        self.table, self.kept = table, {}
+        self.hot = {u: table.finished(whole[a:b]).tobytes() for u, a, b in zip(units, [0, *ends], ends, strict=False)}
+
+    def _lone(self, unit: str) -> bytes:
+        return self.table.finished(np.array([-1 - ord(c) for c in unit], np.int32)).tobytes()
+
+    def encoded(self, text: str, known: list | None) -> tuple[bytes, list[str]]:
+        """The ids, where known has those of the other units; and the other units."""
+        hot, kept, units, others, own = self.hot, self.kept, self.table.units, {}, {}
+        words = self.table.words(text)
+        for word in dict.fromkeys(words):
+            if word in kept:
+                continue
+            found, rare = [], False
+            for u in units(word):
+                if (ids := hot.get(u)) is None:
+                    if len(u) == 1:
+                        ids = hot[u] = self._lone(u)
+                    else:
+                        rare = True
+                        if u not in others:
+                            ids = b"" if known is None else known[len(others)]
+                            others[u] = self._lone(u) if ids is None else ids
+                        ids = others[u]
+                found.append(ids)
+            if rare:
+                own[word] = b"".join(found)
+            elif len(word) <= HOT_CHARS:
+                kept[word] = b"".join(found)
+            else:
+                own[word] = b"".join(found)
+        out = b"" if known is None else b"".join([own[w] if w in own else kept[w] for w in words])
+        if len(kept) > _KEPT:
+            kept.clear()
+        return out, list(others)
+
+
+def encode(docs: DataFrame, model_file: str = MODEL_FILE, decoded: bool = False) -> DataFrame:
+    """doc_id, n_tokens and ids of every document row; with `decoded`, also the text that the ids decode to."""
     spark = docs.sparkSession
     model = _read_model(spark, model_file)
-    shared = spark.sparkContext.broadcast(model)  # the model file, about 0.5 MB
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    table, shared = piece_table(model), spark.sparkContext.broadcast(model)  # the model file, about 0.5 MB
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    listed = unit_dictionary(frequent_units(rows, shared), table).toArrow()
+    ids = listed.column("ids").combine_chunks()
+    ids = ids if isinstance(ids, pa.ListArray) else pa.concat_arrays(ids.chunks)
+    hot = spark.sparkContext.broadcast((listed.column("unit").to_pylist(), ids.flatten().to_numpy().astype(np.int32).tobytes(), np.cumsum(ids.value_lengths().to_numpy()).tolist()))  # at most HOT_UNITS units
+
     def press(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         packer = zstandard.ZstdCompressor(level=3)
         for batch in batches:
             packed = [packer.compress(t.encode("utf-8", "surrogatepass")) if t else None for start in range(0, batch.num_rows, 256) for t in batch.column(2).slice(start, 256).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(packed, pa.binary())], ["chunk", "doc_id", "text"])
-
-    pressed = rows.select(_chunk(), "doc_id", "text").mapInArrow(press, "chunk long, doc_id long, text binary")
-    held = scratch_table(chunk_units(pressed, shared))
-    dictionary = unit_dictionary(held.select("unit").distinct(), piece_table(model))
-    words = held.join(dictionary, "unit").select("chunk", "unit", "ids")
-
-    def look_up(part: pd.DataFrame, known: pd.DataFrame) -> pd.DataFrame:
-        table, opener = piece_table(shared.value), zstandard.ZstdDecompressor()
-        ids_of = dict(zip(known["unit"], known["ids"], strict=True))
-
-        class Words(dict):
-            def __missing__(self, word: str) -> bytes:
-                found = [ids_of[u] if u in ids_of else np.array(table.fold(u) if len(u) > LONG_UNIT else [-1 - ord(c) for c in u], ">i4").tobytes() for u in table.units(word)]
-                value = table.finished(np.frombuffer(b"".join(found), ">i4").astype(np.int32)).tobytes()
-                if len(word) < 2 * LONG_UNIT:
-                    if len(self) > _FLUSH // 4:
-                        self.clear()
-                    self[word] = value
-                return value
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(packed, pa.binary())], ["row", "doc_id", "text"])
+
+    def others(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        coder, opener = _Coder(piece_table(shared.value), hot.value), zstandard.ZstdDecompressor()
+        for batch in batches:
+            for start in range(0, batch.num_rows, 256):
+                part, found = batch.slice(start, 256), []
+                for packed in part.column(2).to_pylist():
+                    found.append(coder.encoded(opener.decompress(packed).decode("utf-8", "surrogatepass"), None)[1] if packed else [])
+                sizes = [len(x) for x in found]
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(part.column(0).to_numpy(), sizes)), pa.array(np.concatenate([np.arange(n, dtype=np.int32) for n in sizes])), pa.array([u for x in found for u in x], pa.string())], ["row", "place", "unit"])
+        del coder
+        release_memory()
 
-        # A word in the middle of a text may be empty only where spaces meet, and such texts are one part.
-        words, out = Words(), []
-        for packed in part["text"]:
-            text = opener.decompress(packed).decode("utf-8", "surrogatepass") if packed is not None else ""
-            out.append(np.frombuffer(b"".join(map(words.__getitem__, table.words(text))) if text else b"", np.int32))
-        del ids_of, words
+    def finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        coder, opener = _Coder(piece_table(shared.value), hot.value), zstandard.ZstdDecompressor()
+        own = coder.table
+        for batch in batches:
+            for start in range(0, batch.num_rows, 128):
+                part, out, texts = batch.slice(start, 128), [], []
+                for packed, places, found in zip(part.column(1).to_pylist(), part.column(2), part.column(3), strict=True):
+                    coded = b""
+                    if packed:
+                        known = _Known({p: own.finished(np.array(x, np.int32)).tobytes() for p, x in zip(places.as_py() or (), found.as_py() or (), strict=True)})
+                        coded = coder.encoded(opener.decompress(packed).decode("utf-8", "surrogatepass"), known)[0]
+                    out.append(np.frombuffer(coded, np.int32))
+                    if decoded:
+                        texts.append(own.decode(out[-1].tolist()))
+                sizes = np.array([len(x) for x in out], np.int32)
+                columns = [part.column(0), pa.array(sizes, pa.int64()), pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)), pa.array(np.concatenate(out)))]
+                yield pa.RecordBatch.from_arrays([*columns, pa.array(texts, pa.string())][: len(names)], names)
+        del coder
         release_memory()
-        return pd.DataFrame({"doc_id": part["doc_id"], "n_tokens": [len(x) for x in out], "ids": out})
 
-    return pressed.groupBy("chunk").cogroup(words.groupBy("chunk")).applyInPandas(look_up, "doc_id long, n_tokens long, ids array<int>")
+    names = ["doc_id", "n_tokens", "ids", "decoded"][: 3 + decoded]
+    pressed = rows.select(F.monotonically_increasing_id().alias("row"), "doc_id", "text").mapInArrow(press, "row long, doc_id long, text binary").repartition("row")
+    # The filter and the greatest place are there only so that both sides of the join ask for the same rows and columns, and so share one exchange.
+    other = pressed.mapInArrow(others, "row long, place int, unit string").where("unit is not null and row is not null").repartition("unit")
+    lone = other.groupBy("unit").agg(F.max(F.struct("row", "place")).alias("last")).where("last is not null").select("unit")
+    found = other.join(unit_dictionary(lone, table), "unit").select("row", "place", "ids").repartition("row")
+    found = found.groupBy("row").agg(F.collect_list(F.struct("place", "ids")).alias("found"))
+    whole = pressed.join(found, "row", "left").select("doc_id", "text", F.col("found.place").alias("place"), F.col("found.ids").alias("ids"))
+    return whole.mapInArrow(finish, "doc_id long, n_tokens long, ids array<int>" + ", decoded string" * decoded)
+
+
+class _Known(dict):
+    """Ids by place; a unit on which no piece lies has none."""
+
+    def __missing__(self, place: int) -> None:
+        return None
 
 
 def decode(rows: DataFrame, model_file: str = MODEL_FILE) -> DataFrame:
     """The rows with the text of their ids in the column `decoded`."""
     shared = rows.sparkSession.sparkContext.broadcast(_read_model(rows.sparkSession, model_file))
+    at = rows.columns.index("ids")
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = piece_table(shared.value)
         for batch in batches:
-            yield batch.assign(decoded=["" if x is None else table.decode(x.tolist()) for x in batch["ids"]])
+            for start in range(0, batch.num_rows, 256):
+                part = batch.slice(start, 256)
+                texts = ["" if x is None else table.decode(x) for x in part.column(at).to_pylist()]
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(texts, pa.string())], [*part.schema.names, "decoded"])
 
-    return rows.mapInPandas(run, T.StructType([*rows.schema.fields, T.StructField("decoded", T.StringType())]))
+    return rows.mapInArrow(run, T.StructType([*rows.schema.fields, T.StructField("decoded", T.StringType())]))
