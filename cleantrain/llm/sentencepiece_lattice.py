@@ -6,10 +6,10 @@ unit is encoded once: its substrings of at most the longest piece's length are e
 equi-join; the edges are grouped by unit and folded with Spark's aggregate().
 
 The dictionary of units comes back to the texts by two ways that give the same ids. The HOT_UNITS most frequent units
-of the whole corpus, a table of bounded size, are broadcast. All others go by an equi-join: each row of documents sends
+of the whole corpus, a table of bounded size, are broadcast. All others go by an equi-join: each row of texts sends
 its distinct other units, which meet the lattice's result in one exchange by unit and return to the row in another. A
 unit left out of the broadcast table holds at most about one HOT_UNITS-th of all places, so no join key is hot. Texts are
-shuffled once, compressed; no group is larger than one text's own units.
+shuffled once, compressed, some of them in a row; no group is larger than one row's own units.
 
 The fold follows the model's kind. For unigram models it is Viterbi's: edges come by their end, and the best path to
 every position is kept. The scores of byte-pair models are merge ranks, of which no sum means anything, so a best path
@@ -30,6 +30,7 @@ import unicodedata
 from collections import Counter
 from collections.abc import Iterator
 from functools import lru_cache
+from itertools import accumulate, chain
 
 import numpy as np
 import pandas as pd
@@ -45,13 +46,13 @@ MODEL_FILE = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE = "▁"
 BYTE_PAIR = 2
 #: Units in the broadcast table, and the longest of them; the rest are joined by shuffle.
-HOT_UNITS, HOT_CHARS = 1 << 18, 64
+HOT_UNITS, HOT_CHARS = 1 << 19, 64
 #: Pieces in the broadcast table; a larger one is joined by shuffle.
 BROADCAST_PIECES = 500_000
 #: Longer units are cut wherever two neighbours occur in no piece.
 CUT_CHARS = 48
-#: Distinct words that a task counts at a time, and words that it keeps encoded.
-_FLUSH, _KEPT = 200_000, 50_000
+#: Distinct words that a task counts at a time, words that it keeps encoded, and characters of texts in one row.
+_FLUSH, _KEPT, _ROW_CHARS = 200_000, 200_000, 1 << 18
 #: Bits of the boundary set in one number, and so the longest piece that the one-pass fold takes.
 _BITS = 32
 
@@ -114,8 +115,15 @@ class PieceTable:
         return text.split(" ") if "  " not in text and text[0] != " " and text[-1] != " " else [text]
 
     def units(self, text: str | None) -> list[str]:
-        found = _pattern(self.fine).findall(SPACE + text.replace(" ", SPACE)) if text else []
-        return found if not text or len(text) <= CUT_CHARS else [u for x in found for u in (self._cut(x) if len(x) > CUT_CHARS else [x])]
+        if not text:
+            return []
+        if self.fine and len(text) < CUT_CHARS:
+            if text.isalpha():
+                return [SPACE + text]
+            if text[-1] in ",.;:!?" and text[:-1].isalpha():
+                return [SPACE + text[:-1], text[-1]]
+        found = _pattern(self.fine).findall(SPACE + text.replace(" ", SPACE))
+        return found if len(text) <= CUT_CHARS else [u for x in found for u in (self._cut(x) if len(x) > CUT_CHARS else [x])]
 
     def _cut(self, unit: str) -> list[str]:
         at = [0]
@@ -419,7 +427,7 @@ def _folded(edges: Column, pooled: int | None, bits: _Bits) -> Column:
 
 
 class _Coder:
-    """Texts to ids, given the ids of frequent units and, for each text, those of its other units in the order they come."""
+    """Groups of texts to ids, given the ids of frequent units and, for each group, those of its other units in the order they come."""
 
     def __init__(self, table: PieceTable, hot: tuple[list[str], bytes, list[int]]):
         units, ids, ends = hot
@@ -430,35 +438,71 @@ class _Coder:
     def _lone(self, unit: str) -> bytes:
         return self.table.finished(np.array([-1 - ord(c) for c in unit], np.int32)).tobytes()
 
-    def encoded(self, text: str, known: list | None) -> tuple[bytes, list[str]]:
-        """The ids, where known has those of the other units; and the other units."""
-        hot, kept, units, others, own = self.hot, self.kept, self.table.units, {}, {}
-        words = self.table.words(text)
-        for word in dict.fromkeys(words):
-            if word in kept:
-                continue
-            found, rare = [], False
-            for u in units(word):
-                if (ids := hot.get(u)) is None:
-                    if len(u) == 1:
-                        ids = hot[u] = self._lone(u)
-                    else:
-                        rare = True
-                        if u not in others:
-                            ids = b"" if known is None else known[len(others)]
-                            others[u] = self._lone(u) if ids is None else ids
-                        ids = others[u]
-                found.append(ids)
-            if rare:
-                own[word] = b"".join(found)
-            elif len(word) <= HOT_CHARS:
-                kept[word] = b"".join(found)
-            else:
-                own[word] = b"".join(found)
-        out = b"" if known is None else b"".join([own[w] if w in own else kept[w] for w in words])
-        if len(kept) > _KEPT:
-            kept.clear()
-        return out, list(others)
+    def _room(self) -> dict:
+        if len(self.kept) > _KEPT:
+            self.kept.clear()
+        return self.kept
+
+    def others(self, texts: list[str]) -> list[str]:
+        kept, found = self._room(), {}
+        for word in dict.fromkeys(chain.from_iterable(self.table.words(t) for t in texts if t)):
+            if (rare := kept.get(word)) is None:
+                rare = tuple(u for u in self.table.units(word) if len(u) > 1 and u not in self.hot)
+                if len(word) <= HOT_CHARS:
+                    kept[word] = rare
+            for u in rare:
+                found.setdefault(u)
+        return list(found)
+
+    def encoded(self, texts: list[str], known: dict[int, bytes]) -> list[bytes]:
+        """known: by place among others(texts); those without a piece of two characters have none."""
+        kept, hot, found, own = self._room(), self.hot, {}, {}
+        lists = [self.table.words(t) if t else [] for t in texts]
+        for word in dict.fromkeys(chain.from_iterable(lists)):
+            if (ids := kept.get(word)) is None:
+                parts, rare = [], False
+                for u in self.table.units(word):
+                    if (part := hot.get(u)) is None:
+                        if len(u) == 1:
+                            part = hot[u] = self._lone(u)
+                        else:
+                            rare = True
+                            if u not in found:
+                                part = known.get(len(found))
+                                found[u] = self._lone(u) if part is None else part
+                            part = found[u]
+                    parts.append(part)
+                ids = b"".join(parts)
+                if not rare and len(word) <= HOT_CHARS:
+                    kept[word] = ids
+            own[word] = ids
+        return [b"".join(map(own.__getitem__, words)) for words in lists]
+
+
+def _gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Texts in rows of about _ROW_CHARS characters, compressed."""
+    packer, names, ids, texts, held = zstandard.ZstdCompressor(level=6), ["doc_id", "size", "text"], [], [], 0
+
+    def flush() -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array([ids], pa.list_(pa.int64())), pa.array([[len(t) for t in texts]], pa.list_(pa.int32())), pa.array([packer.compress(b"".join(texts))], pa.binary())], names)
+
+    for batch in batches:
+        for start in range(0, batch.num_rows, 64):
+            part = batch.slice(start, 64)
+            for i, text in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
+                ids.append(i)
+                texts.append(text.encode("utf-8", "surrogatepass") if text else b"")
+                held += len(texts[-1]) + 8
+                if held > _ROW_CHARS:
+                    yield flush()
+                    ids, texts, held = [], [], 0
+    if ids:
+        yield flush()
+
+
+def _spread(opener: zstandard.ZstdDecompressor, sizes: list[int], packed: bytes) -> list[str]:
+    whole, ends = opener.decompress(packed), list(accumulate(sizes))
+    return [whole[a:b].decode("utf-8", "surrogatepass") for a, b in zip([0, *ends], ends, strict=False)]
 
 
 def encode(docs: DataFrame, model_file: str = MODEL_FILE, decoded: bool = False) -> DataFrame:
@@ -472,21 +516,13 @@ def encode(docs: DataFrame, model_file: str = MODEL_FILE, decoded: bool = False)
     ids = ids if isinstance(ids, pa.ListArray) else pa.concat_arrays(ids.chunks)
     hot = spark.sparkContext.broadcast((listed.column("unit").to_pylist(), ids.flatten().to_numpy().astype(np.int32).tobytes(), np.cumsum(ids.value_lengths().to_numpy()).tolist()))  # at most HOT_UNITS units
 
-    def press(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        packer = zstandard.ZstdCompressor(level=3)
-        for batch in batches:
-            packed = [packer.compress(t.encode("utf-8", "surrogatepass")) if t else None for start in range(0, batch.num_rows, 256) for t in batch.column(2).slice(start, 256).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(packed, pa.binary())], ["row", "doc_id", "text"])
-
     def others(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder, opener = _Coder(piece_table(shared.value), hot.value), zstandard.ZstdDecompressor()
         for batch in batches:
-            for start in range(0, batch.num_rows, 256):
-                part, found = batch.slice(start, 256), []
-                for packed in part.column(2).to_pylist():
-                    found.append(coder.encoded(opener.decompress(packed).decode("utf-8", "surrogatepass"), None)[1] if packed else [])
-                sizes = [len(x) for x in found]
-                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(part.column(0).to_numpy(), sizes)), pa.array(np.concatenate([np.arange(n, dtype=np.int32) for n in sizes])), pa.array([u for x in found for u in x], pa.string())], ["row", "place", "unit"])
+            for at in range(batch.num_rows):
+                row, _, size, packed = (c[at].as_py() for c in batch.columns)
+                found = coder.others(_spread(opener, size, packed))
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(found), row, np.int64)), pa.array(np.arange(len(found), dtype=np.int32)), pa.array(found, pa.string())], ["row", "place", "unit"])
         del coder
         release_memory()
 
@@ -494,40 +530,30 @@ def encode(docs: DataFrame, model_file: str = MODEL_FILE, decoded: bool = False)
         coder, opener = _Coder(piece_table(shared.value), hot.value), zstandard.ZstdDecompressor()
         own = coder.table
         for batch in batches:
-            for start in range(0, batch.num_rows, 128):
-                part, out, texts = batch.slice(start, 128), [], []
-                for packed, places, found in zip(part.column(1).to_pylist(), part.column(2), part.column(3), strict=True):
-                    coded = b""
-                    if packed:
-                        known = _Known({p: own.finished(np.array(x, np.int32)).tobytes() for p, x in zip(places.as_py() or (), found.as_py() or (), strict=True)})
-                        coded = coder.encoded(opener.decompress(packed).decode("utf-8", "surrogatepass"), known)[0]
-                    out.append(np.frombuffer(coded, np.int32))
-                    if decoded:
-                        texts.append(own.decode(out[-1].tolist()))
+            for at in range(batch.num_rows):
+                doc_ids, size, packed, places, found = (c[at].as_py() for c in batch.columns)
+                known = {p: own.finished(np.array(x, np.int32)).tobytes() for p, x in zip(places or (), found or (), strict=True)}
+                out = [np.frombuffer(x, np.int32) for x in coder.encoded(_spread(opener, size, packed), known)]
                 sizes = np.array([len(x) for x in out], np.int32)
-                columns = [part.column(0), pa.array(sizes, pa.int64()), pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)), pa.array(np.concatenate(out)))]
-                yield pa.RecordBatch.from_arrays([*columns, pa.array(texts, pa.string())][: len(names)], names)
+                columns = [pa.array(doc_ids, pa.int64()), pa.array(sizes, pa.int64()), pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)), pa.array(np.concatenate(out)))]
+                if decoded:
+                    columns.append(pa.array([own.decode(x.tolist()) for x in out], pa.string()))
+                yield pa.RecordBatch.from_arrays(columns, names)
         del coder
         release_memory()
 
     names = ["doc_id", "n_tokens", "ids", "decoded"][: 3 + decoded]
-    pressed = rows.select(F.monotonically_increasing_id().alias("row"), "doc_id", "text").mapInArrow(press, "row long, doc_id long, text binary").repartition("row")
+    gathered = rows.mapInArrow(_gather, "doc_id array<long>, size array<int>, text binary")
+    gathered = gathered.select(F.monotonically_increasing_id().alias("row"), "doc_id", "size", "text").repartition("row")
     # The filter and the greatest place are there only so that both sides of the join ask for the same rows and columns, and so share one exchange.
-    other = pressed.mapInArrow(others, "row long, place int, unit string").where("unit is not null and row is not null").repartition("unit")
+    other = gathered.mapInArrow(others, "row long, place int, unit string").where("unit is not null and row is not null").repartition("unit")
     lone = other.groupBy("unit").agg(F.max(F.struct("row", "place")).alias("last")).where("last is not null").select("unit")
     found = other.join(unit_dictionary(lone, table), "unit").select("row", "place", "ids").repartition("row")
     found = found.groupBy("row").agg(F.collect_list(F.struct("place", "ids")).alias("found"))
-    whole = pressed.join(found, "row", "left").select("doc_id", "text", F.col("found.place").alias("place"), F.col("found.ids").alias("ids"))
+    whole = gathered.join(found, "row", "left").select("doc_id", "size", "text", F.col("found.place").alias("place"), F.col("found.ids").alias("ids"))
     return whole.mapInArrow(finish, "doc_id long, n_tokens long, ids array<int>" + ", decoded string" * decoded)
 
 
-class _Known(dict):
-    """Ids by place; a unit on which no piece lies has none."""
-
-    def __missing__(self, place: int) -> None:
-        return None
-
-
 def decode(rows: DataFrame, model_file: str = MODEL_FILE) -> DataFrame:
     """The rows with the text of their ids in the column `decoded`."""
     shared = rows.sparkSession.sparkContext.broadcast(_read_model(rows.sparkSession, model_file))
