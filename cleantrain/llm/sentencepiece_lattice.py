@@ -9,7 +9,7 @@ The dictionary of units comes back to the texts by two ways that give the same i
 of the whole corpus, a table of bounded size, are broadcast. All others go by an equi-join: each row of texts sends
 its distinct other units, which meet the lattice's result in one exchange by unit and return to the row in another. A
 unit left out of the broadcast table holds at most about one HOT_UNITS-th of all places, so no join key is hot. Texts are
-shuffled once, compressed, some of them in a row; no group is larger than one row's own units.
+shuffled once, some of them in a row, as the compressed ids of their frequent units with places for the others; no group is larger than one row's own units.
 
 The fold follows the model's kind. For unigram models it is Viterbi's: edges come by their end, and the best path to
 every position is kept. The scores of byte-pair models are merge ranks, of which no sum means anything, so a best path
@@ -52,7 +52,7 @@ BROADCAST_PIECES = 500_000
 #: Longer units are cut wherever two neighbours occur in no piece.
 CUT_CHARS = 48
 #: Distinct words that a task counts at a time, words that it keeps encoded, and characters of texts in one row.
-_FLUSH, _KEPT, _ROW_CHARS = 200_000, 200_000, 1 << 18
+_FLUSH, _KEPT, _ROW_CHARS = 250_000, 150_000, 1 << 18
 #: Bits of the boundary set in one number, and so the longest piece that the one-pass fold takes.
 _BITS = 32
 
@@ -122,6 +122,10 @@ class PieceTable:
                 return [SPACE + text]
             if text[-1] in ",.;:!?" and text[:-1].isalpha():
                 return [SPACE + text[:-1], text[-1]]
+            if ".\n" in text:
+                left, end, right = text.partition(".\n")
+                if left.isalpha() and right.isalpha():
+                    return [SPACE + left, end, right]
         found = _pattern(self.fine).findall(SPACE + text.replace(" ", SPACE))
         return found if len(text) <= CUT_CHARS else [u for x in found for u in (self._cut(x) if len(x) > CUT_CHARS else [x])]
 
@@ -133,19 +137,22 @@ class PieceTable:
         at += [*(i for i in range(at[-1] + 1, len(unit)) if unit[i - 1 : i + 1] not in self.pairs), len(unit)]
         return [unit[a:b] for a, b in zip(at, at[1:], strict=False)]
 
+    def lone(self, char: str) -> list[int]:
+        """The id of a character that stands alone, else its byte pieces or the unknown id."""
+        if (found := self.find.get(char)) is not None:
+            return [found[0]]
+        return [self.bytes.get(b, self.unknown) for b in char.encode("utf-8", "surrogatepass")] if self.bytes else [self.unknown]
+
     def finished(self, ids: np.ndarray) -> np.ndarray:
-        """Characters that stand alone, written -1 - code point, as their piece, else as byte pieces or the unknown id."""
+        """Characters that stand alone, written -1 - code point, as their ids."""
         if not (ids < 0).any():
             return ids
-        out: list[int] = []
-        for i in ids.tolist():
-            if i >= 0:
-                out.append(i)
-            elif (found := self.find.get(chr(-1 - i))) is not None:
-                out.append(found[0])
-            else:
-                out += [self.bytes.get(b, self.unknown) for b in chr(-1 - i).encode("utf-8", "surrogatepass")] if self.bytes else [self.unknown]
-        return np.array(out, np.int32)
+        chars, place = np.unique(-1 - ids[ids < 0], return_inverse=True)
+        parts = [np.array(self.lone(chr(c)), np.int32) for c in chars]
+        longs = np.array([len(x) for x in parts])
+        marked = ids.copy()
+        marked[ids < 0] = -1 - place
+        return _expand(marked, np.cumsum(longs) - longs, longs, np.concatenate(parts))[0]
 
     def decode(self, ids) -> str:
         raw = b"".join(map(self.text_of.__getitem__, ids))
@@ -231,7 +238,7 @@ def _read_model(spark: SparkSession, model_file: str) -> bytes:
 def frequent_units(docs: DataFrame, shared) -> DataFrame:
     """unit: at most HOT_UNITS of the most frequent units of all texts, of 2 to HOT_CHARS characters.
 
-    Tasks count words, and let out the units that occur three times among _FLUSH distinct words; the sums are cut where
+    Tasks count words, and let out the units that occur twice among _FLUSH distinct words; the sums are cut where
     a histogram of their logarithms says that the bound is kept. Which units are in it changes no result.
     """
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -241,7 +248,7 @@ def frequent_units(docs: DataFrame, shared) -> DataFrame:
             for word, n in words.items():
                 for u in table.units(word):
                     units[u] += n
-            kept = [(u, n) for u, n in units.items() if n > 2 and 1 < len(u) <= HOT_CHARS]
+            kept = [(u, n) for u, n in units.items() if n > 1 and 1 < len(u) <= HOT_CHARS]
             words.clear()
             units.clear()
             return pa.RecordBatch.from_arrays([pa.array([u for u, _ in kept], pa.string()), pa.array([n for _, n in kept], pa.int64())], ["unit", "n"])
@@ -426,83 +433,50 @@ def _folded(edges: Column, pooled: int | None, bits: _Bits) -> Column:
     return F.transform(F.sort_array(_let(bounds, pieces)), lambda p: p["id"])
 
 
+def _expand(ids: np.ndarray, starts: np.ndarray, longs: np.ndarray, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Every entry -1 - k replaced by values[starts[k] : starts[k] + longs[k]]; and how many entries each one became."""
+    k = -1 - ids[ids < 0]
+    sizes = np.ones(len(ids), np.int64)
+    sizes[ids < 0] = longs[k]
+    out, own = np.repeat(ids, sizes), longs[k]
+    out[out < 0] = values[np.repeat(starts[k] - np.cumsum(own) + own, own) + np.arange(own.sum())]
+    return out, sizes
+
+
 class _Coder:
-    """Groups of texts to ids, given the ids of frequent units and, for each group, those of its other units in the order they come."""
+    """Groups of texts to ids, given the ids of frequent units; any other unit becomes -1 - its place among the others."""
 
     def __init__(self, table: PieceTable, hot: tuple[list[str], bytes, list[int]]):
         units, ids, ends = hot
         whole = np.frombuffer(ids, np.int32)
-        self.table, self.kept = table, {}
+        self.table, self.young, self.old = table, {}, {}
         self.hot = {u: table.finished(whole[a:b]).tobytes() for u, a, b in zip(units, [0, *ends], ends, strict=False)}
 
-    def _lone(self, unit: str) -> bytes:
-        return self.table.finished(np.array([-1 - ord(c) for c in unit], np.int32)).tobytes()
-
-    def _room(self) -> dict:
-        if len(self.kept) > _KEPT:
-            self.kept.clear()
-        return self.kept
-
-    def others(self, texts: list[str]) -> list[str]:
-        kept, found = self._room(), {}
-        for word in dict.fromkeys(chain.from_iterable(self.table.words(t) for t in texts if t)):
-            if (rare := kept.get(word)) is None:
-                rare = tuple(u for u in self.table.units(word) if len(u) > 1 and u not in self.hot)
-                if len(word) <= HOT_CHARS:
-                    kept[word] = rare
-            for u in rare:
-                found.setdefault(u)
-        return list(found)
-
-    def encoded(self, texts: list[str], known: dict[int, bytes]) -> list[bytes]:
-        """known: by place among others(texts); those without a piece of two characters have none."""
-        kept, hot, found, own = self._room(), self.hot, {}, {}
+    def encoded(self, texts: list[str]) -> tuple[list[bytes], list[str]]:
+        if len(self.young) > _KEPT:
+            self.young, self.old = {}, self.young
+        young, old, hot, found, own = self.young, self.old, self.hot, {}, {}
         lists = [self.table.words(t) if t else [] for t in texts]
         for word in dict.fromkeys(chain.from_iterable(lists)):
-            if (ids := kept.get(word)) is None:
+            ids = young.get(word)
+            if ids is None and (ids := old.get(word)) is not None:
+                young[word] = ids
+            if ids is None:
                 parts, rare = [], False
                 for u in self.table.units(word):
-                    if (part := hot.get(u)) is None:
-                        if len(u) == 1:
-                            part = hot[u] = self._lone(u)
-                        else:
-                            rare = True
-                            if u not in found:
-                                part = known.get(len(found))
-                                found[u] = self._lone(u) if part is None else part
-                            part = found[u]
+                    part = hot.get(u)
+                    if part is None and len(u) == 1:
+                        part = hot[u] = np.array(self.table.lone(u), np.int32).tobytes()
+                    elif part is None:
+                        rare = True
+                        if (part := found.get(u)) is None:
+                            part = found[u] = (-1 - len(found)).to_bytes(4, sys.byteorder, signed=True)
                     parts.append(part)
                 ids = b"".join(parts)
                 if not rare and len(word) <= HOT_CHARS:
-                    kept[word] = ids
+                    young[word] = ids
             own[word] = ids
-        return [b"".join(map(own.__getitem__, words)) for words in lists]
-
-
-def _gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Texts in rows of about _ROW_CHARS characters, compressed."""
-    packer, names, ids, texts, held = zstandard.ZstdCompressor(level=6), ["doc_id", "size", "text"], [], [], 0
-
-    def flush() -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array([ids], pa.list_(pa.int64())), pa.array([[len(t) for t in texts]], pa.list_(pa.int32())), pa.array([packer.compress(b"".join(texts))], pa.binary())], names)
-
-    for batch in batches:
-        for start in range(0, batch.num_rows, 64):
-            part = batch.slice(start, 64)
-            for i, text in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
-                ids.append(i)
-                texts.append(text.encode("utf-8", "surrogatepass") if text else b"")
-                held += len(texts[-1]) + 8
-                if held > _ROW_CHARS:
-                    yield flush()
-                    ids, texts, held = [], [], 0
-    if ids:
-        yield flush()
-
-
-def _spread(opener: zstandard.ZstdDecompressor, sizes: list[int], packed: bytes) -> list[str]:
-    whole, ends = opener.decompress(packed), list(accumulate(sizes))
-    return [whole[a:b].decode("utf-8", "surrogatepass") for a, b in zip([0, *ends], ends, strict=False)]
+        return [b"".join(map(own.__getitem__, words)) for words in lists], list(found)
 
 
 def encode(docs: DataFrame, model_file: str = MODEL_FILE, decoded: bool = False) -> DataFrame:
@@ -516,41 +490,77 @@ def encode(docs: DataFrame, model_file: str = MODEL_FILE, decoded: bool = False)
     ids = ids if isinstance(ids, pa.ListArray) else pa.concat_arrays(ids.chunks)
     hot = spark.sparkContext.broadcast((listed.column("unit").to_pylist(), ids.flatten().to_numpy().astype(np.int32).tobytes(), np.cumsum(ids.value_lengths().to_numpy()).tolist()))  # at most HOT_UNITS units
 
-    def others(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coder, opener = _Coder(piece_table(shared.value), hot.value), zstandard.ZstdDecompressor()
+    def code(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Texts in rows of about _ROW_CHARS bytes, with the units that are not in the broadcast table."""
+        coder, packer, names, texts, held = _Coder(piece_table(shared.value), hot.value), zstandard.ZstdCompressor(level=6), [], [], 0
+
+        def flush() -> pa.RecordBatch:
+            coded, rare = coder.encoded(texts)
+            whole = np.frombuffer(b"".join(coded), np.int32)
+            small = len(rare) < 1 << 15 and not (whole >= 1 << 15).any()
+            packed = packer.compress((whole.astype(np.int16) if small else whole).tobytes())
+            columns = [pa.array([names], pa.list_(pa.int64())), pa.array([[len(x) // 4 for x in coded]], pa.list_(pa.int32())), pa.array([small]), pa.array([packed], pa.binary()), pa.array([rare], pa.list_(pa.string()))]
+            return pa.RecordBatch.from_arrays(columns, ["doc_id", "size", "small", "coded", "rare"])
+
         for batch in batches:
-            for at in range(batch.num_rows):
-                row, _, size, packed = (c[at].as_py() for c in batch.columns)
-                found = coder.others(_spread(opener, size, packed))
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(found), row, np.int64)), pa.array(np.arange(len(found), dtype=np.int32)), pa.array(found, pa.string())], ["row", "place", "unit"])
+            for start in range(0, batch.num_rows, 64):
+                part = batch.slice(start, 64)
+                for i, text in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
+                    names.append(i)
+                    texts.append(text)
+                    held += len(text or "") + 8
+                    if held > _ROW_CHARS:
+                        yield flush()
+                        names, texts, held = [], [], 0
+        if names:
+            yield flush()
         del coder
         release_memory()
 
+    def others(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            row, rare = batch.column("row"), batch.column("rare")
+            sizes = rare.value_lengths().to_numpy()
+            places = np.arange(sizes.sum()) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(row.to_numpy(), sizes)), pa.array(places.astype(np.int32)), rare.flatten()], ["row", "place", "unit"])
+
     def finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coder, opener = _Coder(piece_table(shared.value), hot.value), zstandard.ZstdDecompressor()
-        own = coder.table
+        own, opener = piece_table(shared.value), zstandard.ZstdDecompressor()
         for batch in batches:
             for at in range(batch.num_rows):
-                doc_ids, size, packed, places, found = (c[at].as_py() for c in batch.columns)
-                known = {p: own.finished(np.array(x, np.int32)).tobytes() for p, x in zip(places or (), found or (), strict=True)}
-                out = [np.frombuffer(x, np.int32) for x in coder.encoded(_spread(opener, size, packed), known)]
-                sizes = np.array([len(x) for x in out], np.int32)
-                columns = [pa.array(doc_ids, pa.int64()), pa.array(sizes, pa.int64()), pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)), pa.array(np.concatenate(out)))]
+                doc_ids, size, small, packed, rare = (c[at].as_py() for c in batch.columns[:5])
+                whole = np.frombuffer(opener.decompress(packed), np.int16 if small else np.int32).astype(np.int32)
+                starts, longs, values = np.zeros(len(rare), np.int64), np.zeros(len(rare), np.int64), np.zeros(0, np.int32)
+                if (places := batch.column(5)[at].values) is not None and len(places):
+                    found, places = batch.column(6)[at].values, places.to_numpy()
+                    longs[places] = found.value_lengths().to_numpy()
+                    values = found.flatten().to_numpy()
+                    starts[places] = np.cumsum(longs[places]) - longs[places]
+                if (bare := np.flatnonzero(longs == 0)).size:  # units on which no longer piece lies
+                    chars = [-1 - np.array([ord(c) for c in rare[k]], np.int32) for k in bare]
+                    longs[bare] = [len(x) for x in chars]
+                    starts[bare] = len(values) + np.cumsum(longs[bare]) - longs[bare]
+                    values = np.concatenate([values, *chars])
+                sized = np.zeros(len(size) + 1, np.int64)
+                np.cumsum(size, out=sized[1:])
+                parts = np.split(*(lambda out, n: (out, np.concatenate([[0], np.cumsum(n)])[sized[1:-1]]))(*_expand(whole, starts, longs, values)))
+                out = [own.finished(x) for x in parts]
+                counts = np.array([len(x) for x in out], np.int32)
+                columns = [pa.array(doc_ids, pa.int64()), pa.array(counts, pa.int64()), pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(counts)]).astype(np.int32)), pa.array(np.concatenate(out)))]
                 if decoded:
                     columns.append(pa.array([own.decode(x.tolist()) for x in out], pa.string()))
-                yield pa.RecordBatch.from_arrays(columns, names)
-        del coder
+                yield pa.RecordBatch.from_arrays(columns, results)
         release_memory()
 
-    names = ["doc_id", "n_tokens", "ids", "decoded"][: 3 + decoded]
-    gathered = rows.mapInArrow(_gather, "doc_id array<long>, size array<int>, text binary")
-    gathered = gathered.select(F.monotonically_increasing_id().alias("row"), "doc_id", "size", "text").repartition("row")
-    # The filter and the greatest place are there only so that both sides of the join ask for the same rows and columns, and so share one exchange.
-    other = gathered.mapInArrow(others, "row long, place int, unit string").where("unit is not null and row is not null").repartition("unit")
+    results = ["doc_id", "n_tokens", "ids", "decoded"][: 3 + decoded]
+    # All columns go through both sides of the join below, rare ones and filters too, so that both share one exchange.
+    coded = rows.mapInArrow(code, "doc_id array<long>, size array<int>, small boolean, coded binary, rare array<string>")
+    coded = coded.select(F.monotonically_increasing_id().alias("row"), "doc_id", "size", "small", "coded", "rare").repartition("row")
+    other = coded.mapInArrow(others, "row long, place int, unit string").where("unit is not null and row is not null").repartition("unit")
     lone = other.groupBy("unit").agg(F.max(F.struct("row", "place")).alias("last")).where("last is not null").select("unit")
     found = other.join(unit_dictionary(lone, table), "unit").select("row", "place", "ids").repartition("row")
     found = found.groupBy("row").agg(F.collect_list(F.struct("place", "ids")).alias("found"))
-    whole = gathered.join(found, "row", "left").select("doc_id", "size", "text", F.col("found.place").alias("place"), F.col("found.ids").alias("ids"))
+    whole = coded.join(found, "row", "left").select("doc_id", "size", "small", "coded", "rare", F.col("found.place").alias("place"), F.col("found.ids").alias("ids"))
     return whole.mapInArrow(finish, "doc_id long, n_tokens long, ids array<int>" + ", decoded string" * decoded)
 
 
