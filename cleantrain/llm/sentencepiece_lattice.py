@@ -27,6 +27,7 @@ from __future__ import annotations
 import re
 import sys
 import unicodedata
+from array import array
 from collections import Counter
 from collections.abc import Iterator
 from functools import lru_cache
@@ -46,13 +47,13 @@ MODEL_FILE = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE = "▁"
 BYTE_PAIR = 2
 #: Units in the broadcast table, and the longest of them; the rest are joined by shuffle.
-HOT_UNITS, HOT_CHARS = 1 << 19, 64
+HOT_UNITS, HOT_CHARS = 3 << 18, 64
 #: Pieces in the broadcast table; a larger one is joined by shuffle.
 BROADCAST_PIECES = 500_000
 #: Longer units are cut wherever two neighbours occur in no piece.
 CUT_CHARS = 48
 #: Distinct words that a task counts at a time, words that it keeps encoded, and characters of texts in one row.
-_FLUSH, _KEPT, _ROW_CHARS = 250_000, 150_000, 1 << 18
+_FLUSH, _KEPT, _ROW_CHARS = 250_000, 150_000, 1 << 19
 #: Bits of the boundary set in one number, and so the longest piece that the one-pass fold takes.
 _BITS = 32
 
@@ -143,16 +144,16 @@ class PieceTable:
             return [found[0]]
         return [self.bytes.get(b, self.unknown) for b in char.encode("utf-8", "surrogatepass")] if self.bytes else [self.unknown]
 
-    def finished(self, ids: np.ndarray) -> np.ndarray:
-        """Characters that stand alone, written -1 - code point, as their ids."""
+    def finished(self, ids: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Characters that stand alone, written -1 - code point, as their ids; ends of parts move along."""
         if not (ids < 0).any():
-            return ids
+            return ids, ends
         chars, place = np.unique(-1 - ids[ids < 0], return_inverse=True)
         parts = [np.array(self.lone(chr(c)), np.int32) for c in chars]
         longs = np.array([len(x) for x in parts])
         marked = ids.copy()
         marked[ids < 0] = -1 - place
-        return _expand(marked, np.cumsum(longs) - longs, longs, np.concatenate(parts))[0]
+        return _expand(marked, ends, np.cumsum(longs) - longs, longs, np.concatenate(parts))
 
     def decode(self, ids) -> str:
         raw = b"".join(map(self.text_of.__getitem__, ids))
@@ -433,24 +434,23 @@ def _folded(edges: Column, pooled: int | None, bits: _Bits) -> Column:
     return F.transform(F.sort_array(_let(bounds, pieces)), lambda p: p["id"])
 
 
-def _expand(ids: np.ndarray, starts: np.ndarray, longs: np.ndarray, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Every entry -1 - k replaced by values[starts[k] : starts[k] + longs[k]]; and how many entries each one became."""
+def _expand(ids: np.ndarray, ends: np.ndarray, starts: np.ndarray, longs: np.ndarray, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Every entry -1 - k replaced by values[starts[k] : starts[k] + longs[k]]; ends of parts move along."""
     k = -1 - ids[ids < 0]
     sizes = np.ones(len(ids), np.int64)
     sizes[ids < 0] = longs[k]
     out, own = np.repeat(ids, sizes), longs[k]
-    out[out < 0] = values[np.repeat(starts[k] - np.cumsum(own) + own, own) + np.arange(own.sum())]
-    return out, sizes
+    out[np.repeat(ids < 0, sizes)] = values[np.repeat(starts[k] - np.cumsum(own) + own, own) + np.arange(own.sum())]
+    return out, np.concatenate([[0], np.cumsum(sizes)])[ends]
 
 
 class _Coder:
     """Groups of texts to ids, given the ids of frequent units; any other unit becomes -1 - its place among the others."""
 
-    def __init__(self, table: PieceTable, hot: tuple[list[str], bytes, list[int]]):
+    def __init__(self, table: PieceTable, hot: tuple[list[str], bytes, array]):
         units, ids, ends = hot
-        whole = np.frombuffer(ids, np.int32)
         self.table, self.young, self.old = table, {}, {}
-        self.hot = {u: table.finished(whole[a:b]).tobytes() for u, a, b in zip(units, [0, *ends], ends, strict=False)}
+        self.hot = {u: ids[a:b] for u, a, b in zip(units, chain([0], ends), ends, strict=False)}
 
     def encoded(self, texts: list[str]) -> tuple[list[bytes], list[str]]:
         if len(self.young) > _KEPT:
@@ -479,6 +479,11 @@ class _Coder:
         return [b"".join(map(own.__getitem__, words)) for words in lists], list(found)
 
 
+def _spread(opener: zstandard.ZstdDecompressor, sizes: list[int], packed: bytes) -> list[str]:
+    whole, ends = opener.decompress(packed), list(accumulate(sizes))
+    return [whole[a:b].decode("utf-8", "surrogatepass") for a, b in zip([0, *ends], ends, strict=False)]
+
+
 def encode(docs: DataFrame, model_file: str = MODEL_FILE, decoded: bool = False) -> DataFrame:
     """doc_id, n_tokens and ids of every document row; with `decoded`, also the text that the ids decode to."""
     spark = docs.sparkSession
@@ -488,7 +493,8 @@ def encode(docs: DataFrame, model_file: str = MODEL_FILE, decoded: bool = False)
     listed = unit_dictionary(frequent_units(rows, shared), table).toArrow()
     ids = listed.column("ids").combine_chunks()
     ids = ids if isinstance(ids, pa.ListArray) else pa.concat_arrays(ids.chunks)
-    hot = spark.sparkContext.broadcast((listed.column("unit").to_pylist(), ids.flatten().to_numpy().astype(np.int32).tobytes(), np.cumsum(ids.value_lengths().to_numpy()).tolist()))  # at most HOT_UNITS units
+    flat, ends = table.finished(ids.flatten().to_numpy().astype(np.int32), np.cumsum(ids.value_lengths().to_numpy()))
+    hot = spark.sparkContext.broadcast((listed.column("unit").to_pylist(), flat.tobytes(), array("l", 4 * ends)))  # at most HOT_UNITS units
 
     def code(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Texts in rows of about _ROW_CHARS bytes, with the units that are not in the broadcast table."""
@@ -499,8 +505,10 @@ def encode(docs: DataFrame, model_file: str = MODEL_FILE, decoded: bool = False)
             whole = np.frombuffer(b"".join(coded), np.int32)
             small = len(rare) < 1 << 15 and not (whole >= 1 << 15).any()
             packed = packer.compress((whole.astype(np.int16) if small else whole).tobytes())
-            columns = [pa.array([names], pa.list_(pa.int64())), pa.array([[len(x) // 4 for x in coded]], pa.list_(pa.int32())), pa.array([small]), pa.array([packed], pa.binary()), pa.array([rare], pa.list_(pa.string()))]
-            return pa.RecordBatch.from_arrays(columns, ["doc_id", "size", "small", "coded", "rare"])
+            columns = [pa.array([names], pa.list_(pa.int64())), pa.array([[len(x) // 4 for x in coded]], pa.list_(pa.int32())), pa.array([small]), pa.array([packed], pa.binary())]
+            rare = [u.encode("utf-8", "surrogatepass") for u in rare]
+            columns += [pa.array([[len(u) for u in rare]], pa.list_(pa.int32())), pa.array([packer.compress(b"".join(rare))], pa.binary())]
+            return pa.RecordBatch.from_arrays(columns, ["doc_id", "size", "small", "coded", "long", "rare"])
 
         for batch in batches:
             for start in range(0, batch.num_rows, 64):
@@ -518,49 +526,46 @@ def encode(docs: DataFrame, model_file: str = MODEL_FILE, decoded: bool = False)
         release_memory()
 
     def others(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        opener = zstandard.ZstdDecompressor()
         for batch in batches:
-            row, rare = batch.column("row"), batch.column("rare")
-            sizes = rare.value_lengths().to_numpy()
-            places = np.arange(sizes.sum()) - np.repeat(np.cumsum(sizes) - sizes, sizes)
-            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(row.to_numpy(), sizes)), pa.array(places.astype(np.int32)), rare.flatten()], ["row", "place", "unit"])
+            for row, long, rare in zip(*(batch.column(c).to_pylist() for c in ("row", "long", "rare")), strict=True):
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(long), row, np.int64)), pa.array(np.arange(len(long), dtype=np.int32)), pa.array(_spread(opener, long, rare), pa.string())], ["row", "place", "unit"])
 
     def finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own, opener = piece_table(shared.value), zstandard.ZstdDecompressor()
         for batch in batches:
             for at in range(batch.num_rows):
-                doc_ids, size, small, packed, rare = (c[at].as_py() for c in batch.columns[:5])
+                doc_ids, size, small, packed, long, rare = (c[at].as_py() for c in batch.columns[:6])
                 whole = np.frombuffer(opener.decompress(packed), np.int16 if small else np.int32).astype(np.int32)
-                starts, longs, values = np.zeros(len(rare), np.int64), np.zeros(len(rare), np.int64), np.zeros(0, np.int32)
-                if (places := batch.column(5)[at].values) is not None and len(places):
-                    found, places = batch.column(6)[at].values, places.to_numpy()
+                starts, longs, values = np.zeros(len(long), np.int64), np.zeros(len(long), np.int64), np.zeros(0, np.int32)
+                if (places := batch.column(6)[at].values) is not None and len(places):
+                    found, places = batch.column(7)[at].values, places.to_numpy()
                     longs[places] = found.value_lengths().to_numpy()
                     values = found.flatten().to_numpy()
                     starts[places] = np.cumsum(longs[places]) - longs[places]
                 if (bare := np.flatnonzero(longs == 0)).size:  # units on which no longer piece lies
+                    rare = _spread(opener, long, rare)
                     chars = [-1 - np.array([ord(c) for c in rare[k]], np.int32) for k in bare]
                     longs[bare] = [len(x) for x in chars]
                     starts[bare] = len(values) + np.cumsum(longs[bare]) - longs[bare]
                     values = np.concatenate([values, *chars])
-                sized = np.zeros(len(size) + 1, np.int64)
-                np.cumsum(size, out=sized[1:])
-                parts = np.split(*(lambda out, n: (out, np.concatenate([[0], np.cumsum(n)])[sized[1:-1]]))(*_expand(whole, starts, longs, values)))
-                out = [own.finished(x) for x in parts]
-                counts = np.array([len(x) for x in out], np.int32)
-                columns = [pa.array(doc_ids, pa.int64()), pa.array(counts, pa.int64()), pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(counts)]).astype(np.int32)), pa.array(np.concatenate(out)))]
+                flat, ends = own.finished(*_expand(whole, np.cumsum(size), starts, longs, values))
+                ends = np.concatenate([[0], ends]).astype(np.int32)
+                columns = [pa.array(doc_ids, pa.int64()), pa.array(np.diff(ends), pa.int64()), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))]
                 if decoded:
-                    columns.append(pa.array([own.decode(x.tolist()) for x in out], pa.string()))
+                    columns.append(pa.array([own.decode(x.tolist()) for x in np.split(flat, ends[1:-1])], pa.string()))
                 yield pa.RecordBatch.from_arrays(columns, results)
         release_memory()
 
     results = ["doc_id", "n_tokens", "ids", "decoded"][: 3 + decoded]
     # All columns go through both sides of the join below, rare ones and filters too, so that both share one exchange.
-    coded = rows.mapInArrow(code, "doc_id array<long>, size array<int>, small boolean, coded binary, rare array<string>")
-    coded = coded.select(F.monotonically_increasing_id().alias("row"), "doc_id", "size", "small", "coded", "rare").repartition("row")
+    coded = rows.mapInArrow(code, "doc_id array<long>, size array<int>, small boolean, coded binary, long array<int>, rare binary")
+    coded = coded.select(F.monotonically_increasing_id().alias("row"), "doc_id", "size", "small", "coded", "long", "rare").repartition("row")
     other = coded.mapInArrow(others, "row long, place int, unit string").where("unit is not null and row is not null").repartition("unit")
     lone = other.groupBy("unit").agg(F.max(F.struct("row", "place")).alias("last")).where("last is not null").select("unit")
     found = other.join(unit_dictionary(lone, table), "unit").select("row", "place", "ids").repartition("row")
     found = found.groupBy("row").agg(F.collect_list(F.struct("place", "ids")).alias("found"))
-    whole = coded.join(found, "row", "left").select("doc_id", "size", "small", "coded", "rare", F.col("found.place").alias("place"), F.col("found.ids").alias("ids"))
+    whole = coded.join(found, "row", "left").select("doc_id", "size", "small", "coded", "long", "rare", F.col("found.place").alias("place"), F.col("found.ids").alias("ids"))
     return whole.mapInArrow(finish, "doc_id long, n_tokens long, ids array<int>" + ", decoded string" * decoded)
 
 
