@@ -5,8 +5,9 @@ occurrence, by (doc_id, line), stays; every later one covers its three lines, an
 line always has an equal line in an earlier occurrence, so no wording is lost from the corpus.
 
 Edge cases: documents of fewer than three lines have no window and stay; windows of three blank lines don't count;
-a null text stays null; a null doc_id takes no part; rows that repeat a doc_id count as one document, so their
-equal windows are one occurrence. Extra columns are carried along.
+a null text stays null; a null doc_id takes no part. A document is a doc_id with its text: rows that repeat both count
+as one, so their equal windows are one occurrence; rows that share a doc_id with other texts are documents of their
+own, in the order of a hash of their texts. Extra columns are carried along.
 """
 
 from __future__ import annotations
@@ -22,30 +23,30 @@ def _lines(text: Column) -> Column:
 
 
 def line_windows(docs: DataFrame, size: int = SIZE) -> DataFrame:
-    """doc_id, start, h1, h2: the windows of every document."""
-    lines = docs.where("doc_id is not null and text is not null").select("doc_id", F.transform(_lines(F.col("text")), lambda x: F.btrim(x, F.lit(" \t\r"))).alias("l"))
+    """doc_id, own (a hash of the text), start, h1, h2: the windows of every document."""
+    lines = docs.where("doc_id is not null and text is not null").select("doc_id", F.xxhash64("text").alias("own"), F.transform(_lines(F.col("text")), lambda x: F.btrim(x, F.lit(" \t\r"))).alias("l"))
     # One hash a line, then one a window: each line's text is read once, not once a window.
-    hashes = lines.select("doc_id", F.transform("l", lambda x: F.struct(F.xxhash64(x).alias("a"), F.xxhash64(x, F.lit(size)).alias("b"), (x == "").alias("blank"))).alias("h"))
-    each = hashes.where(F.size("h") >= size).select("doc_id", "h", F.explode(F.sequence(F.lit(0), F.size("h") - size)).alias("start"))
+    hashes = lines.select("doc_id", "own", F.transform("l", lambda x: F.struct(F.xxhash64(x).alias("a"), F.xxhash64(x, F.lit(size)).alias("b"), (x == "").alias("blank"))).alias("h"))
+    each = hashes.where(F.size("h") >= size).select("doc_id", "own", "h", F.explode(F.sequence(F.lit(0), F.size("h") - size)).alias("start"))
     part = lambda k, field: F.col("h")[F.col("start") + k][field]
     some = ~F.lit(True)
     for k in range(size):
         some = some | ~part(k, "blank")
-    return each.where(some).select("doc_id", "start", F.xxhash64(*[part(k, "a") for k in range(size)]).alias("h1"), F.xxhash64(*[part(k, "b") for k in range(size)]).alias("h2"))
+    return each.where(some).select("doc_id", "own", "start", F.xxhash64(*[part(k, "a") for k in range(size)]).alias("h1"), F.xxhash64(*[part(k, "b") for k in range(size)]).alias("h2"))
 
 
 def covered_lines(docs: DataFrame, size: int = SIZE) -> DataFrame:
-    """doc_id and the start lines of its later occurrences."""
+    """doc_id, own and the start lines of its later occurrences."""
     windows = line_windows(docs, size)
     # The minimum combines before the shuffle, so a window that a third of all documents hold costs a row for each task.
-    first = windows.groupBy("h1", "h2").agg(F.min(F.struct("doc_id", "start")).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").select("h1", "h2", "first")
-    later = windows.join(first, ["h1", "h2"]).where(F.struct("doc_id", "start") > F.col("first"))
-    return later.groupBy("doc_id").agg(F.collect_set("start").alias("starts"))
+    first = windows.groupBy("h1", "h2").agg(F.min(F.struct("doc_id", "own", "start")).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").select("h1", "h2", "first")
+    later = windows.join(first, ["h1", "h2"]).where(F.struct("doc_id", "own", "start") > F.col("first"))
+    return later.groupBy("doc_id", "own").agg(F.collect_set("start").alias("starts"))
 
 
 def _marked(docs: DataFrame, size: int) -> DataFrame:
-    covered = covered_lines(docs, size).withColumnRenamed("doc_id", "__doc").withColumnRenamed("starts", "__starts").hint("shuffle_hash")
-    out = docs.join(covered, F.col("doc_id") == F.col("__doc"), "left")
+    covered = covered_lines(docs, size).withColumnsRenamed({"doc_id": "__doc", "own": "__own", "starts": "__starts"}).hint("shuffle_hash")
+    out = docs.join(covered, (F.col("doc_id") == F.col("__doc")) & (F.xxhash64("text") == F.col("__own")), "left")
     lines = _lines(F.col("text"))
     # array_except hashes: merging covered positions stays linear in the lines of a document.
     gone = F.flatten(F.transform("__starts", lambda s: F.sequence(s, s + (size - 1))))
