@@ -28,6 +28,7 @@ TOKENIZER_FILE = "/opt/tokenizers/byte_bpe_50k.tiktoken"
 PATTERN = r"'(?:[sdmt]|ll|ve|re)| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 LEDGER = "doc_id long, source string, lang string, tokenizer string, sign int, n_tokens long, n_bytes long"
 KEYS = ("source", "lang", "tokenizer")
+SCHEMAS = {"ledger": f"{LEDGER}, bucket int, batch string", "totals": "source string, lang string, tokenizer string, n_docs long, n_tokens long, n_bytes long, batch string"}
 BUCKETS = 16
 _ENCODINGS: dict = {}
 
@@ -60,7 +61,9 @@ def count_tokens(docs: DataFrame, tokenizer_file: str = TOKENIZER_FILE) -> DataF
             for name, counts in ((version, [count(t) for t in texts]), ("words@1", [len(words_of(t)) for t in texts])):
                 yield pd.DataFrame(shared | {"tokenizer": name, "n_tokens": counts}, columns=[x.split()[0] for x in LEDGER.split(", ")])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "source", "lang", "text").mapInPandas(run, LEDGER)
+    # Ids go through pandas as strings: beside nulls it would read them as floats.
+    rows = docs.select(F.col("doc_id").cast("long").cast("string").alias("doc_id"), "source", "lang", "text").mapInPandas(run, LEDGER.replace("doc_id long", "doc_id string"))
+    return rows.withColumn("doc_id", F.col("doc_id").cast("long"))
 
 
 class TokenRollup:
@@ -78,11 +81,12 @@ class TokenRollup:
 
     def _read(self, kind: str) -> DataFrame | None:
         """Rows of committed batches only."""
-        if not self._exists(f"{self.path}/commits"):
+        if not self._exists(f"{self.path}/commits") or not self._exists(f"{self.path}/{kind}"):
             return None
-        rows = self.spark.read.option("basePath", f"{self.path}/{kind}").parquet(f"{self.path}/{kind}")
-        marks = self.spark.read.parquet(f"{self.path}/commits").select(F.col("batch").cast("string").alias("batch"))
-        return rows.withColumn("batch", F.col("batch").cast("string")).join(marks, "batch", "left_semi")
+        # With the schemas given, batch names stay strings and a folder without rows can be read.
+        rows = self.spark.read.schema(SCHEMAS[kind]).option("basePath", f"{self.path}/{kind}").parquet(f"{self.path}/{kind}")
+        marks = self.spark.read.schema("id long, batch string").parquet(f"{self.path}/commits").select("batch")
+        return rows.join(marks, "batch", "left_semi")
 
     def commit(self, batch: str, upserts: DataFrame | None = None, deletes: DataFrame | None = None) -> bool:
         """Inserts or revises the documents of `upserts` and withdraws the doc_ids of `deletes`; False if done before."""
@@ -100,7 +104,7 @@ class TokenRollup:
             signed = parts[0] if len(parts) == 1 else parts[0].unionByName(parts[1])
             # Buckets by doc_id let a later small batch read only the parts that can hold its documents.
             signed.withColumn("bucket", self._bucket()).repartition(F.col("bucket"), F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(8))).write.mode("overwrite").partitionBy("bucket").parquet(f"{self.path}/ledger/batch={batch}")
-            written = self.spark.read.parquet(f"{self.path}/ledger/batch={batch}")
+            written = self.spark.read.schema(f"{LEDGER}, bucket int").parquet(f"{self.path}/ledger/batch={batch}")
             written.groupBy(*KEYS).agg(F.sum("sign").alias("n_docs"), F.sum(F.col("sign") * F.col("n_tokens")).alias("n_tokens"), F.sum(F.col("sign") * F.col("n_bytes")).alias("n_bytes")).coalesce(1).write.mode("overwrite").parquet(f"{self.path}/totals/batch={batch}")
         self.spark.range(1, numPartitions=1).write.mode("overwrite").parquet(f"{self.path}/commits/batch={batch}")
         return True
