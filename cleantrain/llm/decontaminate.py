@@ -151,7 +151,9 @@ def _apply(docs: DataFrame, benchmark: DataFrame, window: int, finish, schema: s
     """Streams (doc_id, text) through each automaton; finish(doc_id, text, words, starts, ends, names) makes the row."""
     sc = docs.sparkSession.sparkContext
     automata = [sc.broadcast(a) for a in _blocks(benchmark, window)]
-    fields = f"doc_id long, text string, {SPAN_SCHEMA.split(', ', 2)[2]}"
+    # Ids go through pandas as strings: beside nulls it would read them as floats.
+    docs, schema = docs.withColumn("doc_id", F.col("doc_id").cast("long").cast("string")), schema.replace("doc_id long", "doc_id string")
+    fields = f"doc_id string, text string, {SPAN_SCHEMA.split(', ', 2)[2]}"
 
     def scanner(shared, last: bool, first: bool):
         def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -176,7 +178,7 @@ def _apply(docs: DataFrame, benchmark: DataFrame, window: int, finish, schema: s
         frame = frame.mapInPandas(scanner(shared, last, k == 0), schema if last else fields)
         if not last:
             frame = scratch_table(frame)  # one automaton at a time in an executor's memory
-    return frame
+    return frame.withColumn("doc_id", F.col("doc_id").cast("long"))
 
 
 def scan_documents(docs: DataFrame, benchmark: DataFrame, window: int = 10) -> DataFrame:
