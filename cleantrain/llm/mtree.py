@@ -15,7 +15,8 @@ k rows leave a unit.
 
 Edge cases: vectors that are null, empty, or hold null or non-finite components take no part; so do rows without a
 vec_id. Vectors of different lengths are never compared. Fewer than k candidates give all of them. Rows that repeat
-a query's vec_id are the query's own. Repeated identical query rows are asked once. An empty table gives no rows.
+a query's vec_id are the query's own. Repeated identical query rows are asked once. A vector whose squared length reaches 2**63 takes no part: it
+has no 64-bit score (two others' score is below, by Cauchy and Schwarz). An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -44,12 +45,14 @@ def quantised(table: DataFrame, scale: float = 64.0) -> DataFrame:
                 if vector is None or not len(vector) or key is None or pd.isna(key):
                     continue
                 x = np.array([np.nan if v is None else v for v in vector], dtype=np.float64)
-                if np.isfinite(x).all():
+                with np.errstate(over="ignore"):
                     x = np.floor(scale * x)
+                    fits = float(x @ x) < 2.0**63  # false for NaN, too
+                if fits:
                     rows.append((int(key), len(x), (x.astype("<i2") if np.abs(x).max() < 2**15 else x.astype("<f8")).tobytes()))
             yield pd.DataFrame(rows, columns=["vec_id", "dim", "packed"])
 
-    return table.select("vec_id", F.col("embedding").cast("array<double>").alias("embedding")).mapInPandas(run, "vec_id long, dim int, packed binary")
+    return table.where("vec_id is not null").select("vec_id", F.col("embedding").cast("array<double>").alias("embedding")).mapInPandas(run, "vec_id long, dim int, packed binary")
 
 
 def unpacked(packed, dim: int) -> np.ndarray:
