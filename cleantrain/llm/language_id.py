@@ -167,10 +167,10 @@ def identify(rows: DataFrame, model: np.ndarray | None, languages: tuple[str, ..
     return out.select(*keys, name.alias("language"), F.when(F.col("n_letters") > 0, 1 / total).otherwise(1.0).alias("probability"), "n_letters", (name == "und").alias("rejected"))
 
 
-def document_evidence(docs: DataFrame) -> DataFrame:
-    """Documents declare `lang`; their host is the source, and they have no address."""
+def document_evidence(docs: DataFrame, *keys: Column) -> DataFrame:
+    """Documents declare `lang`; their host is the source, and they have no address. The doc_id is a string here: pandas reads numbers beside nulls as floats."""
     none = F.lit(None).cast("string")
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.lower("lang").alias("declared"), none.alias("suffix"), F.col("source").alias("host"), none.alias("parent"))
+    return docs.select(F.col("doc_id").cast("long").cast("string").alias("doc_id"), "text", F.lower("lang").alias("declared"), none.alias("suffix"), F.col("source").alias("host"), none.alias("parent"), *keys)
 
 
 def page_evidence(pages: DataFrame) -> DataFrame:
@@ -184,15 +184,19 @@ def page_evidence(pages: DataFrame) -> DataFrame:
         page = F.regexp_replace(page, pattern, by)
     declared = F.nullif(F.lower(F.regexp_extract("html", r"(?is)<html\b[^>]*?\blang\s*=\s*[\"']?([A-Za-z]{2,3})", 1)), F.lit(""))
     suffix = F.nullif(F.regexp_extract(host, r"\.([^.]+)$", 1), F.lit(""))
-    return pages.select("page_id", page.alias("text"), declared.alias("declared"), suffix.alias("suffix"), host.alias("host"), F.nullif(F.regexp_extract(host, r"([^.]+\.[^.]+)$", 1), F.lit("")).alias("parent"))
+    return pages.select(F.col("page_id").cast("string").alias("page_id"), page.alias("text"), declared.alias("declared"), suffix.alias("suffix"), host.alias("host"), F.nullif(F.regexp_extract(host, r"([^.]+\.[^.]+)$", 1), F.lit("")).alias("parent"))
 
 
 def identify_documents(docs: DataFrame, languages: tuple[str, ...] = LANGUAGES) -> DataFrame:
     """doc_id, language, probability, n_letters, rejected for every row; the model is trained on the table's own labels."""
-    return identify(document_evidence(docs), train(docs.select("text", "lang"), languages), languages)
+    out = identify(document_evidence(docs), train(docs.select("text", "lang"), languages), languages)
+    return out.withColumn("doc_id", F.col("doc_id").cast("long"))
 
 
 def keep_identified(docs: DataFrame, languages: tuple[str, ...] = LANGUAGES) -> DataFrame:
-    """Documents that are not rejected; rows without a doc_id are not judged and stay."""
-    gone = scratch_table(identify_documents(docs.where("doc_id is not null"), languages).where("rejected").select(F.col("doc_id").alias("__gone")).distinct())
-    return docs.join(gone, F.col("doc_id") == F.col("__gone"), "left_anti")
+    """Documents that are not rejected, row by row where rows share a doc_id; rows without a doc_id are not judged and stay."""
+    own, judged = F.xxhash64("text", "lang", "source"), docs.where("doc_id is not null")
+    rows = document_evidence(judged, own.alias("own"))
+    found = identify(rows, train(judged.select("text", "lang"), languages), languages)
+    gone = scratch_table(found.where("rejected").select(F.col("doc_id").cast("long").alias("__gone"), F.col("own").alias("__own")).distinct())
+    return docs.join(gone, (F.col("doc_id") == F.col("__gone")) & (own == F.col("__own")), "left_anti")
