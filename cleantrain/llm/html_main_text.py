@@ -15,20 +15,24 @@ from __future__ import annotations
 
 import html as entities
 import re
+from collections import Counter
 from collections.abc import Iterator
 
 import pandas as pd
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-RAW = frozenset("script style textarea title noscript template iframe noembed noframes xmp svg math object audio video canvas select".split())
+RAW = frozenset("script style textarea title noscript template iframe noembed noframes xmp svg object audio video canvas select".split())
 BLOCK = frozenset("address article aside blockquote body caption center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol p pre search section summary table tbody td tfoot th thead tr ul head".split())
-DROPPED = frozenset("nav header footer aside form menu dialog search button label head hgroup-nav fieldset datalist output progress meter".split())
+DROPPED = frozenset("nav header footer aside form menu dialog search head fieldset datalist".split())
 DROPPED_ROLES = frozenset("navigation banner contentinfo complementary search dialog alert alertdialog form menu menubar toolbar tablist".split())
 #: Whole words of class or id that mark boilerplate.
 DROPPED_WORDS = frozenset(
     "ad ads adv advert adverts advertisement advertising adsense sponsor sponsored sponsors promo promotion promoted banner banners breadcrumb breadcrumbs comment comments commentlist disqus replies cookie cookies consent gdpr notice notices alert footer foot header masthead topbar menu menus nav navbar navigation navigator pager pagination popup modal overlay related recommended recommendations outbrain taboola share sharing social sidebar sidebars sidenav rail widget widgets toolbar subscribe subscription newsletter signup login search form hidden skip tags meta-nav".split()
 )
+#: Of these, words that may also name the main text.
+VAGUE_WORDS = frozenset("share sharing related widget widgets tags promo promoted promotion".split())
 KEPT_TAGS = frozenset("html body article main".split())
 #: A new start tag of the key closes an open element of the values, no further than the barrier elements.
 CLOSES = {"li": "li", "dt": "dt dd", "dd": "dt dd", "tr": "tr td th", "td": "td th", "th": "td th", "thead": "tr td th", "tbody": "thead tbody tr td th", "tfoot": "tbody tr td th", "option": "option"}
@@ -39,7 +43,7 @@ PARAGRAPHS = frozenset("p pre td blockquote li dd h1 h2 h3 h4 h5 h6 figcaption".
 #: Part of its text in links from which a sibling of the best container is boilerplate.
 MAX_LINKS = 0.25
 
-_TAG = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|<[!?][^>]*>", re.S)
+_TAG = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^<>\"']|\"[^\"]*\"|'[^']*')*)>|<[!?][^<>]*>", re.S)
 _ATTRIBUTE = re.compile(r"([^\s=\"'/>]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
 _WORD = re.compile(r"[a-z0-9]+")
 _HIDDEN = re.compile(r"display\s*:\s*none|visibility\s*:\s*hidden")
@@ -55,7 +59,7 @@ class Node:
         self.points, self.text_chars, self.link_chars = 0.0, 0, 0
 
 
-def _boilerplate(tag: str, attributes: str) -> bool:
+def _boilerplate(tag: str, attributes: str, names: frozenset[str]) -> bool:
     if tag in DROPPED:
         return True
     if not attributes or attributes.isspace():
@@ -67,13 +71,23 @@ def _boilerplate(tag: str, attributes: str) -> bool:
         return True
     if tag in KEPT_TAGS or found.get("role") in ("main", "article"):
         return False
-    names = f"{found.get('class', '')} {found.get('id', '')}"
-    return any(w in DROPPED_WORDS for w in _WORD.findall(names)) or any(w in DROPPED_WORDS for w in _WORD.findall(names.replace("-", "").replace("_", "")))  # side-bar, too
+    own = f"{found.get('class', '')} {found.get('id', '')}"
+    return not names.isdisjoint(_WORD.findall(own)) or not names.isdisjoint(_WORD.findall(own.replace("-", "").replace("_", "")))  # side-bar, too
 
 
-def parse(page: str) -> Node:
-    """The element tree; text of dropped elements is not kept."""
+def parse(page: str, names: frozenset[str] = DROPPED_WORDS) -> Node:
+    """The element tree; text of dropped elements is not kept. names: words of class or id that make an element boilerplate."""
     root = at = Node("#root", None)
+    opened: Counter = Counter()  # so that a stray tag need not look for its element
+
+    def leave(node: Node) -> Node:
+        """The parent of an open element, which ends here with all that is open in it."""
+        up = at
+        while up is not node.parent:
+            opened[up.tag] -= 1
+            up = up.parent
+        return up
+
     place, found = 0, _TAG.search(page)
     while found:
         if found.start() > place and not at.dropped:
@@ -83,10 +97,10 @@ def parse(page: str) -> Node:
             pass
         elif found[1]:
             node = at
-            while node.parent and node.tag != tag and not (tag not in BLOCK and node.tag in BLOCK):
+            while opened[tag] and node.parent and node.tag != tag and not (tag not in BLOCK and node.tag in BLOCK):
                 node = node.parent
             if node.parent and node.tag == tag:
-                at = node.parent
+                at = leave(node)
         elif tag in RAW:
             if not found[3].endswith("/"):
                 end = re.compile(rf"</{re.escape(tag)}\s*>", re.I).search(page, place)
@@ -95,24 +109,25 @@ def parse(page: str) -> Node:
             if not at.dropped:
                 at.children.append(Node(tag, at))
         else:
-            if tag in BLOCK:  # ends an open paragraph, with what is open in it
+            if tag in BLOCK and opened["p"]:  # ends an open paragraph, with what is open in it
                 node = at
                 while node.parent and (node.tag not in BLOCK or node.tag == "p"):
                     if node.tag == "p":
-                        at = node.parent
+                        at = leave(node)
                         break
                     node = node.parent
-            if tag in CLOSES:
+            if tag in CLOSES and any(opened[x] for x in CLOSES[tag].split()):
                 node, ends, stops = at, CLOSES[tag].split(), BARRIERS[tag].split()
                 while node.parent and node.tag not in stops:
                     if node.tag in ends:
-                        at = node.parent
+                        at = leave(node)
                     node = node.parent
-            child = Node(tag, at, at.dropped or _boilerplate(tag, found[3]))
+            child = Node(tag, at, at.dropped or _boilerplate(tag, found[3], names))
             if not child.dropped:
                 at.children.append(child)
             if not found[3].endswith("/") or tag in BLOCK:
                 at = child
+                opened[tag] += 1
         found = _TAG.search(page, place)
     if place < len(page) and not at.dropped:
         at.children.append(page[place:])
@@ -184,10 +199,12 @@ def _blocks(nodes: list["Node | str"]) -> list[str]:
 
 
 def main_text(page: str | None) -> str:
-    """The page's main text, its blocks joined by one newline."""
-    if not page:
-        return ""
-    root = parse(page)
+    """The page's main text, its blocks joined by one newline; a page whose only text has one of VAGUE_WORDS for a name keeps it."""
+    return _main_text(page, DROPPED_WORDS) or _main_text(page, DROPPED_WORDS - VAGUE_WORDS) if page else ""
+
+
+def _main_text(page: str, names: frozenset[str]) -> str:
+    root = parse(page, names)
     candidates = _score(root)
     if not candidates:
         return "\n".join(_blocks(root.children))
@@ -223,5 +240,6 @@ def extract_main_text(pages: DataFrame) -> DataFrame:
             texts = [main_text(x) for x in batch["html"]]
             yield pd.DataFrame({"page_id": batch["page_id"], "url": batch["url"], "text": texts, "n_chars": [len(t) for t in texts]})
 
-    rows = pages.select("page_id", "url", "html")
-    return rows.mapInPandas(run, f"page_id {rows.schema['page_id'].dataType.simpleString()}, url string, text string, n_chars long")
+    # Ids go through pandas as strings: beside nulls it would read them as floats.
+    rows = pages.select(F.col("page_id").cast("string").alias("page_id"), "url", "html").mapInPandas(run, "page_id string, url string, text string, n_chars long")
+    return rows.withColumn("page_id", F.col("page_id").cast(pages.schema["page_id"].dataType))
