@@ -24,7 +24,7 @@ def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 def language_id_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Pages by all four kinds of evidence, with the text model trained on the labelled documents."""
     model = language_id.train(_read(spark, sf_dir, "documents").select("text", "lang"))
-    return language_id.identify(language_id.page_evidence(_read(spark, sf_dir, "pages")), model)
+    return language_id.identify(language_id.page_evidence(_read(spark, sf_dir, "pages")), model).withColumn("page_id", F.col("page_id").cast("long"))
 
 
 def op3_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:

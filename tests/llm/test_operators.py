@@ -117,7 +117,7 @@ def test_host_evidence_decides_short_texts(spark):
 def test_urls_equal_every_rule_tried(spark):
     import re
 
-    urls = [None, "", "nourl", "http://example.com/en/7", "HTTP://A.EXAMPLE.COM/en/77?x", "http://a.com/en/", "http://com/en/x", "http://notexample.net/de/8", "https://x.example.net/de/8/9#y", "ftp://b.org/es/q", "http://a.org/ads/x", "http://a.b/ads/policy", "http://q.casino.z/", "http://a.com:80/en/", "x://://y/login", "http://a.b/poker", "http://É.org/es/"]
+    urls = [None, "", "nourl", "http://a\nb.com/en/1", "http://a.com\n/en/1", "http://com\n/en/", "http://example.com/en/7", "HTTP://A.EXAMPLE.COM/en/77?x", "http://a.com/en/", "http://com/en/x", "http://notexample.net/de/8", "https://x.example.net/de/8/9#y", "ftp://b.org/es/q", "http://a.org/ads/x", "http://a.b/ads/policy", "http://q.casino.z/", "http://a.com:80/en/", "x://://y/login", "http://a.b/poker", "http://É.org/es/"]
     pages = spark.createDataFrame(list(enumerate(urls)) + [(3, urls[3])], "page_id long, url string").withColumn("host", F.lit(1))
     got = sorted(url_filter.judge_urls(pages).collect())
     assert len(got) == len(urls) + 1
@@ -190,21 +190,80 @@ def test_viterbi_fold_equals_all_paths(spark):
     rng = random.Random(3)
     names = sorted({"".join(rng.choice("abc") for _ in range(rng.randint(1, 4))) for _ in range(25)} | {"▁", "▁a", "a", "b"})
     table = sentencepiece_lattice.PieceTable([(p, i + 300, -rng.random() * 5 - 1) for i, p in enumerate(names)], {}, 0, False)
-    units = ["▁" + "".join(rng.choice("abcd") for _ in range(rng.randint(1, 7))) for _ in range(30)]
-    frame = spark.createDataFrame([(u,) for u in sorted(set(units))], "unit string")
-    got = {r.unit: np.frombuffer(bytes(r.ids), ">i4").tolist() for r in sentencepiece_lattice.unit_dictionary(frame, table).collect()}
+    units = sorted({"▁" + "".join(rng.choice("abcd") for _ in range(rng.randint(1, 7))) for _ in range(30)})
+    got = {r.unit: r.ids for r in sentencepiece_lattice.unit_dictionary(spark.createDataFrame([(u,) for u in units], "unit string"), table).collect()}
     score = {i: s for _, i, s in table.pieces}
-    for u in set(units):
+    for u in units:
         best = -math.inf
         for mask in range(2 ** (len(u) - 1)):
             cuts = [0, *[i + 1 for i in range(len(u) - 1) if mask >> i & 1], len(u)]
             parts = [u[a:b] for a, b in zip(cuts, cuts[1:], strict=False)]
             if all(p in table.find or len(p) == 1 for p in parts):
                 best = max(best, sum(table.find[p][1] if p in table.find else table.fallback for p in parts))
-        assert got[u] == table.viterbi(u)
         assert math.isclose(sum(score.get(i, table.fallback) for i in got[u]), best)
 
 
+def _merged(table, unit):
+    """Byte-pair merges one by one: the best score first, then the leftmost."""
+    parts = list(unit)
+    while True:
+        ready = [(-table.find[a + b][1], i) for i, (a, b) in enumerate(zip(parts, parts[1:], strict=False)) if a + b in table.find]
+        if not ready:
+            return [table.find[p][0] if len(p) > 1 else -1 - ord(p) for p in parts]
+        i = min(ready)[1]
+        parts[i : i + 2] = [parts[i] + parts[i + 1]]
+
+
+@pytest.mark.parametrize("seed", [1, 2, 3])
+def test_merge_fold_equals_merges_one_by_one(spark, seed):
+    rng = random.Random(seed)
+    names = sorted({"".join(rng.choice("abc") for _ in range(rng.randint(2, 5))) for _ in range(30)} | {"▁▁", "▁▁▁", "▁a"})
+    rng.shuffle(names)
+    pieces = [(p, i + 300, -1e9 if set(p) == {"▁"} else -float(i // (3 if seed == 3 else 1))) for i, p in enumerate(names)]  # not made of better parts, and with ties
+    table = sentencepiece_lattice.PieceTable(pieces, {}, 0, True)
+    units = sorted({"▁" * rng.randint(1, 6) + "".join(rng.choice("abcd") for _ in range(rng.choice([3, 9, 20, 61, 62, 63, 64, 65, 130]))) for _ in range(60)})
+    got = {r.unit: r.ids for r in sentencepiece_lattice.unit_dictionary(spark.createDataFrame([(u,) for u in units], "unit string"), table).collect()}
+    for u in units:
+        assert got.get(u, [-1 - ord(c) for c in u]) == _merged(table, u), u
+
+
+def test_unigram_models_equal_the_library(spark):
+    import struct
+
+    import sentencepiece
+
+    def varint(n):
+        return bytes([n]) if n < 128 else bytes([n & 127 | 128]) + varint(n >> 7)
+
+    def field(k, body):
+        return varint(k << 3 | 2) + varint(len(body)) + body
+
+    rng = random.Random(8)
+    words = sorted({"".join(rng.choice("abcde") for _ in range(rng.randint(2, 5))) for _ in range(60)})
+    pieces = [("<unk>", 0.0, 2), ("▁", -3.0, 1), *((c, -4.0 - k / 7, 1) for k, c in enumerate("abcde")), *((p, -5 - rng.random() * 4, 1) for w in words for p in dict.fromkeys((w, "▁" + w)))]
+    body = b"".join(field(1, field(1, p.encode()) + varint(2 << 3 | 5) + struct.pack("<f", s) + varint(3 << 3) + varint(kind)) for p, s, kind in pieces)
+    model = body + field(2, varint(3 << 3) + varint(1)) + field(3, field(1, b"identity") + varint(3 << 3) + varint(1) + varint(4 << 3) + varint(0) + varint(5 << 3) + varint(1))
+    library, table = sentencepiece.SentencePieceProcessor(model_proto=model), sentencepiece_lattice.PieceTable.of_model(model)
+    assert not table.merges
+    units = sorted({"".join(rng.choice("abcde") for _ in range(rng.randint(1, 14))) for _ in range(50)})
+    got = {r.unit: r.ids for r in sentencepiece_lattice.unit_dictionary(spark.createDataFrame([("▁" + u,) for u in units], "unit string"), table).collect()}
+    ids = lambda u: [table.find[chr(-1 - i)][0] if i < 0 else i for i in got["▁" + u]]
+    assert {u: ids(u) for u in units} == {u: library.encode(u) for u in units}
+    with pytest.raises(ValueError):
+        sentencepiece_lattice.PieceTable.of_model(body + field(3, varint(4 << 3) + varint(1)))
+
+
+def test_long_units_and_odd_rows_round_trip(spark):
+    import sentencepiece
+
+    library = sentencepiece.SentencePieceProcessor(model_file=sentencepiece_lattice.MODEL_FILE)
+    big = 1234567890123456789
+    rows = [(None, "word" * 200), (None, " " * 300 + "x"), (big, "ACGT" * 40), (big, "😀😀a𝒳 ▁ b"), (7, None), (7, ""), (8, "again"), (8, "again")]
+    got = sentencepiece_lattice.encode(spark.createDataFrame(rows, "doc_id long, text string"), decoded=True).collect()
+    want = [(i, library.encode(t) if t else [], (t or "").replace("▁", " ")) for i, t in rows]
+    assert sorted(map(repr, ((r.doc_id, r.ids, r.decoded) for r in got))) == sorted(map(repr, want))
+
+
 # 6
 
 
@@ -315,9 +374,24 @@ def test_later_windows_go_and_nothing_is_lost(spark):
     assert out.count() == len(rows) - 1 and line_windows.dedup_lines(frame.limit(0)).count() == 0
 
 
+def test_rows_that_share_a_doc_id_keep_their_own_lines(spark):
+    rows = [(5, "zz\na1\na2\na3"), (5, "only\nunique one\nunique two\nunique three"), (1, "a1\na2\na3")]
+    assert sorted(r.text for r in line_windows.dedup_lines(docs_frame(spark, rows)).collect()) == ["a1\na2\na3", rows[1][1], "zz"]
+
+
 # 9
 
 
+def test_rollup_of_nothing_and_of_deletes_first(spark, tmp_path):
+    rollup = token_rollup.TokenRollup(spark, f"file://{tmp_path}/rollup")
+    big = 1234567890123456789
+    assert rollup.commit("01", deletes=spark.createDataFrame([(1,)], "doc_id long")) and not rollup.committed("1")
+    assert rollup.commit("1", upserts=docs_frame(spark, [(1, "x")]).limit(0)) and rollup.totals().count() == 0
+    assert rollup.commit("2", upserts=docs_frame(spark, [(big, "one two"), (None, "three")]))
+    assert rollup.commit("3", deletes=spark.createDataFrame([(big,)], "doc_id long"))
+    assert {r.n_docs for r in rollup.totals().collect()} == {1}
+
+
 def test_rollup_follows_changes_and_batches_commit_once(spark, tmp_path):
     rollup = token_rollup.TokenRollup(spark, f"file://{tmp_path}/rollup")
     assert rollup.totals().count() == 0
@@ -372,6 +446,18 @@ def test_bounds_spare_work_in_clustered_data():
     assert work["rows"] < 0.75 * 100 * 2000
 
 
+def test_ids_beside_nulls_and_values_too_large(spark):
+    big = 1234567890123456789
+    vectors = spark.createDataFrame([(None, [1.0, 2.0]), (big, [1.0, 2.0]), (20, [1.0, 1.0]), (21, [1e17, 1.0]), (22, [1e307, 1.0]), (23, [1e7, 1.0])], "vec_id long, embedding array<double>")
+    assert sorted((r.query_id, r.vec_id, r.score) for r in mtree.top_k(vectors).collect()) == [(20, 23, 640000000 * 64 + 4096), (20, big, 64 * 64 * 3)]
+    docs = docs_frame(spark, [(None, "the end of it"), (big, "the end of it")])
+    bench = spark.createDataFrame([("i", "the end of it")], "item_id string, text string")
+    assert {r.doc_id for r in decontaminate.contamination_report(docs, bench).collect()} == {None, big}
+    assert {r.doc_id for r in language_id.identify_documents(docs).collect()} == {None, big}
+    pages = spark.createDataFrame([(None, "u", "<p>x</p>"), (big, "u", "<p>y</p>")], "page_id long, url string, html string")
+    assert {r.page_id for r in html_main_text.extract_main_text(pages).collect()} == {None, big}
+
+
 # the pipeline
 
 
@@ -391,6 +477,17 @@ def test_pipeline_equals_its_stages_by_hand(spark, small):
     assert set(final.columns) == {"doc_id", "n_tokens", "ids"}
 
 
+def test_main_text_keeps_inline_words_and_reads_malformed_pages_fast():
+    import time
+
+    assert html_main_text.main_text("<article><p>The mass is <math><mi>m</mi></math> grams, and <label>so</label> on.</p></article>") == "The mass is m grams, and so on."
+    assert html_main_text.main_text("<body><div class='widget'><p>The only text, of this page.</p></div></body>") == "The only text, of this page."
+    for page in ("<a " * 100_000, "<b>" * 50_000 + "</i>" * 50_000, "<!" * 100_000, "<li>" * 50_000):
+        began = time.process_time()
+        html_main_text.main_text(page)
+        assert time.process_time() - began < 20, page[:8]
+
+
 def test_main_text_of_several_sections_without_an_article():
     long = "<p>" + "a, b, c, " + "x" * 291 + "</p>"
     page = f"<html><body><div id=nav><a href=/>Home</a></div><div id=post><h3>Title</h3><div class=part>{long * 5}</div><div class=part><p>One short paragraph.</p></div><ul><li>An item</li></ul><div><a href=/n>Next page of links</a></div><p>Short end.</p>bare tail</div></body></html>"
