@@ -397,7 +397,11 @@ def corrupt_random_magnitude(spark, sf_dir):
     return out.groupBy("class_id").agg(F.count(F.lit(1)).alias("n"), r6(F.avg(changed)).alias("mean_value"))
 
 
-@query()
+SYSTEMATIC = sorted(sorted(range(1, D), key=lambda i: (-abs(THETA[i]), i))[:3])
+TAKEN = ", ".join(f"row_number() over (order by c{i} desc, {uniform_sql('row_id', 1, 'tie', i)}) <= floor({0.05 / 3!r}::double * count(*) over ()) as f{i}" for i in SYSTEMATIC)
+
+
+@query(f"with {FX}, taken as (select row_id, {TAKEN} from fx) select ({' + '.join(f'case when f{i} then {1 << k} else 0 end' for k, i in enumerate(SYSTEMATIC))})::int as class_id, count(*)::bigint as n from taken group by 1")
 def corrupt_systematic(spark, sf_dir):
     rows = regression(spark, sf_dir).select("row_id", F.col("x_c").alias("x"))
     return corrupt.systematic(rows, D, THETA).groupBy("class_id").agg(F.count(F.lit(1)).alias("n"))

@@ -29,18 +29,32 @@ def systematic(rows: DataFrame, d: int, theta, rate: float = 0.05, features: int
     """The highest values of the features with the largest |theta| become the feature's mean.
 
     Each feature takes rate / features of the rows; overlaps may happen. With probability `mix` a random row is taken
-    instead of a top one. Cut-offs come from one pass of quantile sketches; no global sort. A row at the cut-off stays.
+    instead of a top one. Of the rows at the cut-off, which may be many, those with the smallest uniform numbers are
+    taken until the share is full. Cut-offs, for values and for these numbers, come from quantile sketches of one part
+    in 100,000; no sort of the rows.
     """
     top = sorted(range(first, d), key=lambda i: (-abs(theta[i]), i))[:features]
     share = rate / len(top)
-    found = rows.agg(F.array(*[F.percentile_approx(F.get("x", F.lit(i)), 1 - share * (1 - mix), 100_000) for i in top]).alias("q"), F.array(*[F.avg(F.get("x", F.lit(i))) for i in top]).alias("m")).first()
+    value, tie = (lambda i: F.get("x", F.lit(i))), (lambda i: uniform("row_id", seed, "tie", i))
+    whole = rows.agg(F.count(F.lit(1)).alias("n"), F.array(*[F.avg(value(i)) for i in top]).alias("m")).first()
+    quota = int(share * (1 - mix) * whole.n)
     flags: list = [None] * d
     values = [F.lit(0.0)] * d
+    cuts, part = [], {}
+    if quota:
+        # The half keeps the rank from the next one's rounding.
+        cuts = rows.agg(F.array(*[F.percentile_approx(value(i), (whole.n - quota + 0.5) / whole.n, 100_000) for i in top]).alias("q")).first().q
+        counts = rows.agg(*[F.count(F.when(value(i) > q, 1)).alias(f"above{i}") for i, q in zip(top, cuts, strict=True)], *[F.count(F.when(value(i) == q, 1)).alias(f"ties{i}") for i, q in zip(top, cuts, strict=True)]).first()
+        wanted = {i: min(max(quota - counts[f"above{i}"], 0), counts[f"ties{i}"]) for i in top}
+        ranks = [F.percentile_approx(F.when(value(i) == q, tie(i)), (wanted[i] - 0.5) / counts[f"ties{i}"], 100_000).alias(f"tie{i}") for i, q in zip(top, cuts, strict=True) if wanted[i]]
+        part = rows.agg(*ranks).first().asDict() if ranks else {}
     for k, i in enumerate(top):
-        high = F.get("x", F.lit(i)) > float(found.q[k])
+        high = F.lit(False)
+        if quota:
+            high = (value(i) > float(cuts[k])) | ((value(i) == float(cuts[k])) & (tie(i) <= float(part.get(f"tie{i}", -1.0))))
         if mix:
             high = high | (uniform("row_id", seed, "mix", i) < share * mix)
-        flags[i], values[i] = high, F.lit(float(found.m[k]))
+        flags[i], values[i] = high, F.lit(float(whole.m[k] or 0.0))
     return _finish(rows, flags, values, d)
 
 

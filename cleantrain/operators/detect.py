@@ -127,11 +127,21 @@ class ConstraintDetector:
         self.rules, self.lineage, self.labels = rules, lineage or {}, labels
 
     def detect(self, rows: DataFrame) -> DataFrame:
-        for rule in self.rules:
-            rows = rule.mark(rows) if rule.mark else rows.withColumn(rule.name, rule.predicate())
-        named = F.array(*[F.when(F.col(r.name), F.lit(r.name)) for r in self.rules])
-        columns = F.flatten(F.filter(F.array(*[F.when(F.col(r.name), F.array(*[F.lit(c) for c in r.columns])) for r in self.rules]), lambda a: a.isNotNull()))
-        rows = rows.withColumn("violated", F.filter(named, lambda a: a.isNotNull())).withColumn("err_cols", F.array_sort(F.array_distinct(columns))).drop(*[r.name for r in self.rules])
+        # Marks have names of their own: two rules may share one, or have a column's.
+        marks, seen, labels = [f"__rule{k}" for k in range(len(self.rules))], {}, []
+        for mark, rule in zip(marks, self.rules, strict=True):
+            seen[rule.name] = seen.get(rule.name, 0) + 1
+            labels.append(rule.name if seen[rule.name] == 1 else f"{rule.name}_{seen[rule.name]}")
+            if rule.mark:
+                held = f"__held_{rule.name}"
+                own = rule.name in rows.columns
+                rows = rule.mark(rows.withColumn(held, F.col(rule.name)) if own else rows).withColumnRenamed(rule.name, mark)
+                rows = rows.withColumnRenamed(held, rule.name) if own else rows
+            else:
+                rows = rows.withColumn(mark, rule.predicate())
+        named = F.array(*[F.when(F.col(m), F.lit(label)) for m, label in zip(marks, labels, strict=True)])
+        columns = F.flatten(F.filter(F.array(*[F.when(F.col(m), F.array(*[F.lit(c) for c in r.columns])) for m, r in zip(marks, self.rules, strict=True)]), lambda a: a.isNotNull()))
+        rows = rows.withColumn("violated", F.filter(named, lambda a: a.isNotNull())).withColumn("err_cols", F.array_sort(F.array_distinct(columns))).drop(*marks)
         features = [F.when(F.array_contains("err_cols", c), F.array(*[F.lit(i) for i in at])).otherwise(F.array().cast("array<int>")) for c, at in self.lineage.items() if c not in self.labels]
         rows = rows.withColumn("is_dirty", F.size("err_cols") > 0)
         return rows.withColumn("err_features", F.array_sort(F.array_distinct(F.flatten(F.array(*features)))) if features else F.array().cast("array<int>")).withColumn("err_labels", F.filter("err_cols", lambda c: c.isin(*self.labels)) if self.labels else F.array().cast("array<string>"))

@@ -147,6 +147,13 @@ def estimate(gradients: np.ndarray, p: np.ndarray, n: float, design: str = "orde
     raise ValueError(design)
 
 
+def estimate_part(gradients: np.ndarray, p: np.ndarray, n: float, start: int) -> np.ndarray:
+    """The pool's mean gradient from the draws from `start` on, given all draws up to the last of them: each draw's own term is unbiased."""
+    before = np.cumsum(gradients, axis=0) - gradients
+    left = 1 - (np.cumsum(p) - p)
+    return (before + gradients * (left / p)[:, None])[start:].mean(0) / n
+
+
 def design_variance(rows: DataFrame, p: str, size: str, k: int = 1) -> DataFrame:
     """variance of the mean of k independent draws: (sum a^2/p / n^2 - mean^2) / k, least where p follows |a|."""
     out = rows.agg(F.sum(F.col(size) * F.col(size) / F.col(p)).alias("s"), F.avg(size).alias("m"), F.count(F.lit(1)).alias("n"))

@@ -21,7 +21,7 @@ from ..operators import sampling
 from ..operators.detect import ClassifierDetector
 from ..operators.estimators import ChangeStats
 from ..operators.gradient import GramState
-from ..operators.sampling import Weight, draw_key, estimate
+from ..operators.sampling import Weight, draw_key, estimate, estimate_part
 from ..operators.train import Model, Step, fit, penalised
 
 #: Drawn ids that an anti-join may broadcast; the budget is checked against it.
@@ -69,6 +69,8 @@ class ProgressiveCleaner:
         self, rows: DataFrame, cleaner, loss: Loss, d: int, *, detector=None, weight: str = "dirty", budget: int = 500, batch: int = 50, step: Callable | None = None, lam: float = 0.0, seed: int = 0, floor: float = sampling.FLOOR,
         method: str = "progressive", init: str | np.ndarray = "dirty", predicted_clean: str = "floor", design: str = "ordered", update_every: int | None = None, target: Callable | None = None, tolerance: float | None = None, on_commit: Callable | None = None,
     ):
+        if design not in ("ordered", "literal"):
+            raise ValueError("the loop draws in order; other designs have estimators of their own")
         if budget > MAX_BUDGET:
             raise ValueError(f"a budget above {MAX_BUDGET} needs a ledger table joined by shuffle")
         self.rows, self.cleaner, self.loss, self.d = rows, cleaner, loss, d
@@ -144,7 +146,7 @@ class ProgressiveCleaner:
             size = self.update_every or len(drawn)
             clean_n, clean_sum = self._clean_part(step, gram, seen, theta)
             for start in range(0, len(drawn), size):
-                # Several steps on one draw: each takes the batch's mean estimate over its own part.
+                # Several steps on one draw: each takes the mean of its own draws' terms, at the present model.
                 part = slice(start, start + size)
                 g = np.where(kept[part][:, None], loss.np_gradients(x_c[part], y_c[part], theta), 0.0)
                 if self.weight == "top_uncertain":
@@ -152,7 +154,8 @@ class ProgressiveCleaner:
                 elif size == len(drawn):
                     g_s = estimate(g, p[part], n_dirty, self.design)
                 else:
-                    g_s = estimate(g, p[part], n_dirty, "with_replacement")
+                    end = start + len(p[part])
+                    g_s = estimate_part(np.where(kept[:end, None], loss.np_gradients(x_c[:end], y_c[:end], theta), 0.0), p[:end], n_dirty, start)
                 if gram is not None:
                     clean_n, clean_sum = gram.n, gram.total_gradient(theta)
                 elif start:

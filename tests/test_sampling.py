@@ -73,3 +73,35 @@ def test_pool_smaller_than_batch(spark):
 def test_with_replacement_counts_every_draw(spark):
     rows = spark.range(200).select(F.col("id").alias("row_id"), F.lit(1 / 200).alias("p"))
     assert sampling.draw_with_replacement(rows, 64, 1, 1).agg(F.sum("times")).first()[0] == 64
+
+
+def test_each_part_of_an_ordered_draw_is_unbiased():
+    from cleantrain.operators.sampling import estimate_part
+
+    rng = np.random.default_rng(5)
+    values, p = rng.normal(2, 1, 40), rng.random(40) + 0.2
+    p /= p.sum()
+    parts = []
+    for _ in range(4000):
+        order = np.argsort(rng.exponential(size=40) / p)[:20]
+        parts.append([estimate_part(values[order[:end], None], p[order[:end]], 40, end - 5)[0] for end in (5, 10, 15, 20)])
+    parts = np.array(parts)
+    assert (abs(parts.mean(0) - values.mean()) < 4 * parts.std(0) / 4000**0.5).all()
+
+
+def test_systematic_corruption_fills_its_share_under_ties(spark):
+    from pyspark.sql import functions as F
+
+    from cleantrain.operators import corrupt
+
+    rows = spark.range(3000).select(F.col("id").alias("row_id"), F.array(F.lit(1.0), (F.col("id") % 4).cast("double"), (F.col("id") % 1000).cast("double"), F.lit(7.0)).alias("x"))
+    out = corrupt.systematic(rows, 4, [0.0, 3.0, 2.0, 1.0], rate=0.06).select(F.explode("err_features").alias("f")).groupBy("f").count().collect()
+    assert {r.f: r["count"] for r in out} == {1: 60, 2: 60, 3: 60}
+
+
+def test_rules_of_one_name_and_columns_named_like_rules(spark):
+    from cleantrain.operators.detect import ConstraintDetector, Rule
+
+    rows = spark.createDataFrame([(1, -5.0, "own"), (2, 20.0, "own"), (3, 5.0, "own")], "row_id long, a double, range_a string")
+    got = {r.row_id: r for r in ConstraintDetector([Rule.range("a", low=0), Rule.range("a", high=10)]).detect(rows).collect()}
+    assert [got[k].violated for k in (1, 2, 3)] == [["range_a"], ["range_a_2"], []] and all(r.range_a == "own" for r in got.values())
