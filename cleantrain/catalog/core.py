@@ -5,8 +5,6 @@ Both sides round to six decimals (plus 0.0, so that no negative zero is left) an
 
 from __future__ import annotations
 
-from contextvars import ContextVar
-
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -25,6 +23,8 @@ QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
 FX = regression_sql()
 BATCH, SEED = 50, 3
+#: Rows that classifier_detector is fitted on, at most.
+FITTED = 2000
 
 
 def query(sql: str | None = None):
@@ -114,21 +114,12 @@ def loss_values(spark, sf_dir):
     return rows.agg(*[r6(F.avg(f().value(F.col("z"), F.col(TARGET[n])))).alias(n) for n, f in losses.LOSSES.items()])
 
 
-#: Set while a query is built over all rows instead of the fold that its SQL names.
-ALL_ROWS: ContextVar[bool] = ContextVar("all_rows", default=False)
-
-
-def _fold(spark, sf_dir) -> DataFrame:
-    rows = regression(spark, sf_dir)
-    return rows if ALL_ROWS.get() else rows.where("split = 0")
-
-
 NORM2 = "(" + " + ".join(f"d{i} * d{i}" for i in range(D)) + ")"
 
 
-@query(f"with {FX} select row_id, {s6(f'abs({zdot(THETA)} - y) * sqrt({NORM2})')} as norm from fx where split = 0")
+@query(f"with {FX} select row_id, {s6(f'abs({zdot(THETA)} - y) * sqrt({NORM2})')} as norm from fx")
 def grad_norms_per_row(spark, sf_dir):
-    return _fold(spark, sf_dir).select("row_id", r6(Weight.dirty_gradient(losses.squared(), THETA)).alias("norm"))
+    return regression(spark, sf_dir).select("row_id", r6(Weight.dirty_gradient(losses.squared(), THETA)).alias("norm"))
 
 
 def _line_sql(x: str, y: str, lam: float = 0.0) -> str:
@@ -199,15 +190,15 @@ def aggregates_as_losses(spark, sf_dir):
     return parts[0].union(parts[1]).union(parts[2])
 
 
-# ---- draws and updates: the pool is the dirty rows of split 0; weights are dirty gradient norms
+# ---- draws and updates: the pool is all dirty rows; weights are dirty gradient norms
 
 
 def pool(spark, sf_dir, weight: str = "dirty") -> DataFrame:
-    rows = _fold(spark, sf_dir).where("is_dirty")
+    rows = regression(spark, sf_dir).where("is_dirty")
     return sampling.distribution(rows, Weight.uniform() if weight == "uniform" else Weight.dirty_gradient(losses.squared(), THETA))
 
 
-POOL = f"""{FX}, w as (select *, abs({zdot(THETA)} - y) * sqrt({NORM2}) as w from fx where split = 0 and class_id > 0),
+POOL = f"""{FX}, w as (select *, abs({zdot(THETA)} - y) * sqrt({NORM2}) as w from fx where class_id > 0),
 pool as (select w.*, 0.9::double * w / (select sum(w) from w) + 0.1::double / (select count(*) from w) as p, (select count(*) from w) as n from w),
 drawn as (select *, row_number() over (order by -ln({uniform_sql('row_id', SEED, 1)}) / p, row_id) as draw_order from pool qualify draw_order <= {BATCH})"""
 
@@ -251,7 +242,7 @@ GC = f"({zdot(THETA, 'c')} - y)"
 G_SUMS = f"""before as (select draw_order, p, n, {', '.join(f'{GC} * c{i} as g{i}' for i in range(D))} from drawn),
 run as (select *, 1 - (sum(p) over o - p) as rest, {', '.join(f'sum(g{i}) over o - g{i} as b{i}' for i in range(D))} from before window o as (order by draw_order)),
 gs as (select {', '.join(f'sum(b{i} + g{i} * rest / p) / (count(*) * any_value(n)) as e{i}' for i in range(D))} from run)"""
-GC_SUMS = f"gc as (select count(*) as n, {', '.join(f'avg({GC} * c{i}) as m{i}' for i in range(D))} from fx where split = 0 and class_id = 0)"
+GC_SUMS = f"gc as (select count(*) as n, {', '.join(f'avg({GC} * c{i}) as m{i}' for i in range(D))} from fx where class_id = 0)"
 NPOOL = "(select count(*) from pool)"
 
 
@@ -262,7 +253,7 @@ def gradient_of_batch(spark, sf_dir):
 
 @query(f"with {FX}, {GC_SUMS} " + long_sql([f"m{i}" for i in range(D)], "gc"))
 def gradient_of_clean_part(spark, sf_dir):
-    state = gradient.GramState.of(_fold(spark, sf_dir).where("not is_dirty"), D)
+    state = gradient.GramState.of(regression(spark, sf_dir).where("not is_dirty"), D)
     return _vector_rows(spark, state.total_gradient(np.array(THETA)) / max(state.n, 1))
 
 
@@ -275,7 +266,7 @@ def gradient_combined(spark, sf_dir):
 
 
 def _combined(spark, sf_dir) -> np.ndarray:
-    rows = _fold(spark, sf_dir)
+    rows = regression(spark, sf_dir)
     state = gradient.GramState.of(rows.where("not is_dirty"), D)
     n = rows.where("is_dirty").count()
     return combine(state.total_gradient(np.array(THETA)) / max(state.n, 1), state.n, _dirty_estimate(spark, sf_dir, losses.squared(), THETA), n)
@@ -323,12 +314,12 @@ def _taylor_sql(name: str, y: str) -> str:
     else:
         alpha = beta = SLOPE_SQL["hinge"](z, y)
     parts = " + ".join(f"pow({alpha} * d{i} + {beta} * (case when class_id = {i} then {DELTA[i]!r}::double else 0::double end), 2)" for i in range(D))
-    return f"with {FX} select row_id, {s6(f'sqrt({parts})')} as norm from fx where split = 0 and class_id > 0"
+    return f"with {FX} select row_id, {s6(f'sqrt({parts})')} as norm from fx where class_id > 0"
 
 
 def _taylor_query(name: str):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        rows = _fold(spark, sf_dir).where("is_dirty")
+        rows = regression(spark, sf_dir).where("is_dirty")
         return rows.select("row_id", r6(Weight.taylor(losses.LOSSES[name](), THETA, DELTA, y=TARGET[name])).alias("norm"))
 
     run.__name__ = f"weight_taylor_{name}"
@@ -339,32 +330,32 @@ for _name in ("squared", "logistic", "hinge"):
     _taylor_query(_name)
 
 
-@query(f"with {FX} select row_id, {s6('abs(' + zdot(THETA, 'c') + ' - y) * sqrt(' + NORM2.replace('d', 'c') + ')')} as norm from fx where split = 0 and class_id > 0")
+@query(f"with {FX} select row_id, {s6('abs(' + zdot(THETA, 'c') + ' - y) * sqrt(' + NORM2.replace('d', 'c') + ')')} as norm from fx where class_id > 0")
 def weight_oracle(spark, sf_dir):
-    return _fold(spark, sf_dir).where("is_dirty").select("row_id", r6(Weight.oracle(losses.squared(), THETA)).alias("norm"))
+    return regression(spark, sf_dir).where("is_dirty").select("row_id", r6(Weight.oracle(losses.squared(), THETA)).alias("norm"))
 
 
 MOVED = [f"(d{i} + case when class_id = {i} then {DELTA[i]!r}::double else 0::double end)" for i in range(D)]
 
 
-@query(f"with {FX} select row_id, {s6('abs((' + ' + '.join(f'{m} * {THETA[i]!r}::double' for i, m in enumerate(MOVED)) + ') - y) * sqrt(' + ' + '.join(f'{m} * {m}' for m in MOVED) + ')')} as norm from fx where split = 0 and class_id > 0")
+@query(f"with {FX} select row_id, {s6('abs((' + ' + '.join(f'{m} * {THETA[i]!r}::double' for i, m in enumerate(MOVED)) + ') - y) * sqrt(' + ' + '.join(f'{m} * {m}' for m in MOVED) + ')')} as norm from fx where class_id > 0")
 def weight_feature_change(spark, sf_dir):
-    return _fold(spark, sf_dir).where("is_dirty").select("row_id", r6(Weight.feature_change(losses.squared(), THETA, DELTA)).alias("norm"))
+    return regression(spark, sf_dir).where("is_dirty").select("row_id", r6(Weight.feature_change(losses.squared(), THETA, DELTA)).alias("norm"))
 
 
-@query(f"with {FX} select row_id, {s6('sqrt(' + ' + '.join(f'pow(({zdot(THETA)} - y) * d{i} + 0.5::double, 2)' for i in range(D)) + ')')} as norm from fx where split = 0 and class_id > 0")
+@query(f"with {FX} select row_id, {s6('sqrt(' + ' + '.join(f'pow(({zdot(THETA)} - y) * d{i} + 0.5::double, 2)' for i in range(D)) + ')')} as norm from fx where class_id > 0")
 def weight_average_gradient(spark, sf_dir):
-    return _fold(spark, sf_dir).where("is_dirty").select("row_id", r6(Weight.average_gradient(losses.squared(), THETA, [0.5] * D)).alias("norm"))
+    return regression(spark, sf_dir).where("is_dirty").select("row_id", r6(Weight.average_gradient(losses.squared(), THETA, [0.5] * D)).alias("norm"))
 
 
-@query(f"with {FX} select row_id, {s6(f'1 / (abs({zdot(THETA)}) / {float(np.linalg.norm(THETA))!r}::double + 1e-3::double)')} as weight from fx where split = 0 and class_id > 0")
+@query(f"with {FX} select row_id, {s6(f'1 / (abs({zdot(THETA)}) / {float(np.linalg.norm(THETA))!r}::double + 1e-3::double)')} as weight from fx where class_id > 0")
 def weight_uncertainty(spark, sf_dir):
-    return _fold(spark, sf_dir).where("is_dirty").select("row_id", r6(Weight.uncertainty(THETA)).alias("weight"))
+    return regression(spark, sf_dir).where("is_dirty").select("row_id", r6(Weight.uncertainty(THETA)).alias("weight"))
 
 
-@query(f"with {FX} select row_id from fx where split = 0 order by abs({zdot(THETA)}), row_id limit {BATCH}")
+@query(f"with {FX} select row_id from fx order by abs({zdot(THETA)}), row_id limit {BATCH}")
 def uncertainty_top(spark, sf_dir):
-    return _fold(spark, sf_dir).select("row_id", F.abs(dot(F.col("x"), THETA)).alias("m")).orderBy("m", "row_id").limit(BATCH).select("row_id")
+    return regression(spark, sf_dir).select("row_id", F.abs(dot(F.col("x"), THETA)).alias("m")).orderBy("m", "row_id").limit(BATCH).select("row_id")
 
 
 A = f"(abs({zdot(THETA, 'c')} - y) * sqrt({NORM2.replace('d', 'c')}))"
@@ -492,34 +483,16 @@ def rules_exclusive_and_null(spark, sf_dir):
     return rows.select("p_partkey", a.predicate().alias("exactly_one"), b.predicate().alias("at_most_one"), c.predicate().alias("missing"))
 
 
-@query("with k as (select p_name from part where p_size < 4 group by p_name having min(p_brand) <> max(p_brand)) select p_partkey, p_name in (select p_name from k) as broken from part where p_size < 4")
-def rule_functional(spark, sf_dir):
-    return _functional(spark, sf_dir, "p_size < 4")
-
-
 @query("with k as (select p_name from part group by p_name having min(p_brand) <> max(p_brand)) select p_partkey, p_name in (select p_name from k) as broken from part")
-def rule_functional_all(spark, sf_dir):
-    return _functional(spark, sf_dir)
-
-
-def _functional(spark, sf_dir, where: str = "true") -> DataFrame:
-    rows = read_table(spark, sf_dir, "part", ["p_partkey", "p_name", "p_brand", "p_size"]).where(where)
+def rule_functional(spark, sf_dir):
+    rows = read_table(spark, sf_dir, "part", ["p_partkey", "p_name", "p_brand"])
     rule = detect.Rule.functional(["p_name"], "p_brand")
     return rule.mark(rows).select("p_partkey", F.col(rule.name).alias("broken"))
 
 
-@query("with r as (select o_orderkey, o_custkey, o_orderdate, o_totalprice from orders where o_orderkey < 3000) select distinct a.o_orderkey from r a join r b on a.o_custkey = b.o_custkey and a.o_orderkey <> b.o_orderkey and a.o_orderdate < b.o_orderdate and a.o_totalprice > 3 * b.o_totalprice")
-def rule_denial(spark, sf_dir):
-    return _denial(spark, sf_dir, "o_orderkey < 3000")
-
-
 @query("select distinct a.o_orderkey from orders a join orders b on a.o_custkey = b.o_custkey and a.o_orderkey <> b.o_orderkey and a.o_orderdate < b.o_orderdate and a.o_totalprice > 3 * b.o_totalprice")
-def rule_denial_all(spark, sf_dir):
-    return _denial(spark, sf_dir)
-
-
-def _denial(spark, sf_dir, where: str = "true") -> DataFrame:
-    rows = read_table(spark, sf_dir, "orders", ["o_orderkey", "o_custkey", "o_orderdate", "o_totalprice"]).where(where)
+def rule_denial(spark, sf_dir):
+    rows = read_table(spark, sf_dir, "orders", ["o_orderkey", "o_custkey", "o_orderdate", "o_totalprice"])
     rule = detect.Rule.denial("dear_before", ["o_custkey"], ("o_totalprice",), lambda a, b: f"{a}.o_orderdate < {b}.o_orderdate and {a}.o_totalprice > 3 * {b}.o_totalprice", "o_orderkey")
     return rule.mark(rows).where("dear_before").select("o_orderkey")
 
@@ -545,7 +518,8 @@ def pattern_support(spark, sf_dir):
 @query()
 def classifier_detector(spark, sf_dir):
     rows = regression(spark, sf_dir)
-    seen = rows.where(uniform("row_id", 4) < 0.03).select("x", "class_id").limit(2000).collect()
+    # A fitted classifier's sample: the FITTED rows of the least hashes, the same rows in any partitioning.
+    seen = rows.select("x", "class_id", uniform("row_id", 4).alias("u"), "row_id").orderBy("u", "row_id").limit(FITTED).collect()
     fitted = detect.ClassifierDetector().fit(np.array([r.x for r in seen]), np.array([r.class_id for r in seen]))
     return metrics.confusion_by(rows.withColumn("found", fitted.class_column()), "class_id", "found")
 
@@ -663,30 +637,7 @@ def progressive_loop(spark, sf_dir):
     return metrics.relative_error_rows(run.history_rows(spark), clean)
 
 
-@query(f"with {POOL}, b as (select row_number() over (order by row_id) as k, row_id from pool) select k::int as k, row_id from b where k <= 20")
+@query(f"with {POOL}, b as (select row_number() over (partition by split order by row_id) as k, row_id from pool) select k::int as k, row_id from b where k <= 20")
 def window_rank(spark, sf_dir):
     w = Window.partitionBy("split").orderBy("row_id")
     return pool(spark, sf_dir).select(F.row_number().over(w).alias("k"), "row_id").where("k <= 20")
-
-
-def _all_rows(name: str) -> None:
-    """Registers name_all: the same query on every dirty and clean row, with the same SQL less its fold."""
-
-    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        before = ALL_ROWS.set(True)
-        try:
-            return QUERIES[name](spark, sf_dir)
-        finally:
-            ALL_ROWS.reset(before)
-
-    run.__name__ = f"{name}_all"
-    sql = ORACLES.get(name)
-    query(sql and sql.replace("split = 0 and ", "").replace(" where split = 0", ""))(run)
-
-
-FOLDED = (
-    "grad_norms_per_row", "weights_floored", "draw_ordered", "draw_poisson", "draw_with_replacement", "gradient_of_batch", "gradient_of_clean_part", "gradient_combined", "one_update", "change_by_feature", "change_by_class",
-    "weight_taylor_squared", "weight_taylor_logistic", "weight_taylor_hinge", "weight_oracle", "weight_feature_change", "weight_average_gradient", "weight_uncertainty", "uncertainty_top", "variance_by_design", "lookup_clean",
-)
-for _name in FOLDED:
-    _all_rows(_name)
