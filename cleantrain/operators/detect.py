@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 
 from ..functions.losses import Loss, hinge
 from ..functions.vectors import dot
+from ..sources.scratch import scratch_table
 
 
 @dataclass(frozen=True)
@@ -74,11 +75,14 @@ class Rule:
 
     @staticmethod
     def matching(column: str, threshold: float = 0.8, canonical: DataFrame | None = None, weights: str = "idf") -> Rule:
-        """Values similar to another, more frequent value under weighted Jaccard are variants of it, and dirty."""
+        """Values linked by similarity (weighted Jaccard) to a more frequent value are variants of it, and dirty.
+
+        With a table of right values (its column `canonical`), those are never dirty, and only their variants are.
+        """
         name = f"matching_{column}"
 
         def mark(rows: DataFrame) -> DataFrame:
-            variants = variant_map(rows, column, threshold, weights).where("value <> canonical").select(F.col("value").alias("_v")).withColumn(name, F.lit(True))
+            variants = variant_map(rows, column, threshold, weights, canonical).where("value <> canonical").select(F.col("value").alias("_v")).withColumn(name, F.lit(True))
             return rows.join(variants, F.col(column) == F.col("_v"), "left").drop("_v").withColumn(name, F.coalesce(name, F.lit(False)))
 
         return Rule(name, (column,), mark=mark)
@@ -108,13 +112,40 @@ def similar_values(rows: DataFrame, column: str, threshold: float = 0.8, weights
     return pairs.where(F.col("similarity") > threshold).select("a", "b", "similarity")
 
 
-def variant_map(rows: DataFrame, column: str, threshold: float = 0.8, weights: str = "idf") -> DataFrame:
-    """value and canonical: the most frequent value (then the smallest) among a value and those similar to it."""
+def connected(values: DataFrame, pairs: DataFrame) -> DataFrame:
+    """value and component (its least value): each round takes the least label among neighbours, then that label's own.
+
+    values: column value; pairs: a and b. Labels are written down after each round, so plans do not grow.
+    """
+    links = scratch_table(pairs.select("a", "b").union(pairs.select("b", "a")))
+    labels = scratch_table(values.select("value", F.col("value").alias("component")))
+    while True:
+        seen = links.join(labels.select(F.col("value").alias("b"), "component"), "b").select(F.col("a").alias("value"), "component")
+        least = seen.union(labels).groupBy("value").agg(F.min("component").alias("component"))
+        jump = least.join(labels.select(F.col("value").alias("component"), F.col("component").alias("_next")), "component", "left")
+        after = scratch_table(jump.select("value", F.least("component", F.coalesce("_next", "component")).alias("component")))
+        if not after.join(labels, ["value", "component"], "left_anti").limit(1).count():
+            return after
+        labels = after
+
+
+def variant_map(rows: DataFrame, column: str, threshold: float = 0.8, weights: str = "idf", canonical: DataFrame | None = None) -> DataFrame:
+    """value and canonical: the most frequent value (then the smallest) of all those linked by similar pairs.
+
+    Right values given in `canonical` come first and stand for themselves; a group without one keeps its values.
+    """
+    given = canonical.where("canonical is not null").select(F.col("canonical").alias("value")).distinct().withColumn("right", F.lit(True)) if canonical is not None else None
     counts = rows.where(F.col(column).isNotNull()).groupBy(F.col(column).alias("value")).agg(F.count(F.lit(1)).alias("n"))
-    pairs = similar_values(rows, column, threshold, weights)
-    both = pairs.select(F.col("a").alias("value"), F.col("b").alias("other")).union(pairs.select("b", "a")).union(counts.select("value", F.col("value").alias("other")))
-    ranked = both.join(counts.select(F.col("value").alias("other"), "n"), "other")
-    return ranked.groupBy("value").agg(F.min(F.struct((-F.col("n")).alias("m"), F.col("other")))["other"].alias("canonical"))
+    if given is not None:
+        counts = counts.join(given, "value", "full").select("value", F.coalesce("n", F.lit(0)).alias("n"), F.coalesce("right", F.lit(False)).alias("right"))
+    else:
+        counts = counts.withColumn("right", F.lit(False))
+    counts = scratch_table(counts)
+    groups = connected(counts, similar_values(counts.select(F.col("value").alias(column)), column, threshold, weights)).join(counts, "value")
+    first = groups.groupBy("component").agg(F.min(F.struct((~F.col("right")).alias("last"), (-F.col("n")).alias("m"), F.col("value"))).alias("f"))
+    stays = F.col("right") | F.col("f.last") if given is not None else F.lit(False)
+    out = groups.join(first, "component").select("value", F.when(stays, F.col("value")).otherwise(F.col("f.value")).alias("canonical"), "n")
+    return out.where("n > 0").drop("n")
 
 
 class ConstraintDetector:
@@ -197,8 +228,9 @@ class ClassifierDetector:
 
 
 def pattern_tableau(ledger: DataFrame, attributes: list[str], class_id: str = "class_id", min_support: int = 5, min_confidence: float = 0.8, max_length: int = 2) -> DataFrame:
-    """Learned patterns: class_id, one column for each attribute (null: any), support, confidence.
+    """Learned patterns: class_id, one column for each attribute, given, support, confidence.
 
+    `given` names the attributes that a pattern fixes; of these null is a value, all others may be anything.
     Grouping sets over all subsets of at most max_length attributes, of the ledger only.
     """
     sets = [s for n in range(1, max_length + 1) for s in combinations(attributes, n)]
@@ -206,13 +238,28 @@ def pattern_tableau(ledger: DataFrame, attributes: list[str], class_id: str = "c
     grouped = rows.groupingSets([[F.col(a) for a in s] + [F.col(class_id)] for s in sets], *[F.col(a) for a in attributes], F.col(class_id)).agg(F.count(F.lit(1)).alias("support"), F.grouping_id().alias("_g"))
     whole = rows.groupingSets([[F.col(a) for a in s] for s in sets], *[F.col(a) for a in attributes]).agg(F.count(F.lit(1)).alias("_n"), F.grouping_id().alias("_h"))
     on = reduce(lambda p, q: p & q, [grouped[a].eqNullSafe(whole[a]) for a in attributes]) & (F.shiftright(grouped["_g"], 1) == whole["_h"])
-    out = grouped.join(whole, on).select(class_id, *[grouped[a] for a in attributes], "support", (F.col("support") / F.col("_n")).alias("confidence"))
+    # A bit of the grouping id is set where an attribute is left out; the class is the lowest bit.
+    free = [F.shiftright(grouped["_g"], len(attributes) - i).bitwiseAND(1) for i in range(len(attributes))]
+    given = F.filter(F.array(*[F.when(f == 0, F.lit(a)) for f, a in zip(free, attributes, strict=True)]), lambda a: a.isNotNull())
+    out = grouped.join(whole, on).select(class_id, *[grouped[a] for a in attributes], given.alias("given"), "support", (F.col("support") / F.col("_n")).alias("confidence"))
     return out.where((F.col("support") >= min_support) & (F.col("confidence") >= min_confidence) & (F.col(class_id) > 0))
 
 
-def detect_by_patterns(rows: DataFrame, tableau: DataFrame, attributes: list[str]) -> DataFrame:
-    """Adds class_id of the most confident fitting pattern, 0 if none; the tableau is bounded by its support."""
-    t = F.broadcast(tableau.select(*[F.col(a).alias(f"_{a}") for a in attributes], F.col("class_id").alias("_class"), "confidence"))
-    fits = reduce(lambda p, q: p & q, [F.col(f"_{a}").isNull() | (F.col(f"_{a}") == F.col(a).cast("string")) for a in attributes])
-    best = rows.select("row_id", *attributes).distinct().join(t, fits).groupBy("row_id").agg(F.max_by("_class", "confidence").alias("class_id"))
-    return rows.join(best, "row_id", "left").withColumn("class_id", F.coalesce("class_id", F.lit(0)))
+def detect_by_patterns(rows: DataFrame, tableau: DataFrame, attributes: list[str], class_id: str = "class_id") -> DataFrame:
+    """Adds class_id of the most confident fitting pattern (then best supported, then least class), 0 if none.
+
+    One equi-join for each set of attributes that patterns fix; Spark broadcasts those tables that are small. A fixed
+    null fits null alone. Rows are neither multiplied nor grouped.
+    """
+    sets = sorted(tuple(r.given) for r in tableau.select("given").distinct().collect())  # at most one for each set of attributes
+    out, found = rows.drop("class_id"), []
+    for k, given in enumerate(sets):
+        rank = F.struct("confidence", "support", (-F.col(class_id)).alias("least"))
+        best = tableau.where(F.col("given") == F.array(*[F.lit(a) for a in given])).groupBy(*[F.col(a).alias(f"_p{k}_{i}") for i, a in enumerate(given)]).agg(F.max(rank).alias(f"_best{k}"))
+        on = reduce(lambda p, q: p & q, [F.col(f"_p{k}_{i}").eqNullSafe(F.col(a).cast("string")) for i, a in enumerate(given)])
+        out = out.join(best, on, "left").drop(*[f"_p{k}_{i}" for i in range(len(given))])
+        found.append(F.col(f"_best{k}"))
+    if not found:
+        return out.withColumn("class_id", F.lit(0))
+    top = F.array_max(F.array(*found))
+    return out.withColumn("class_id", F.coalesce(-top["least"], F.lit(0)).cast("int")).drop(*[f"_best{k}" for k in range(len(sets))])

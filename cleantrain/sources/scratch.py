@@ -5,10 +5,18 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
 
 def scratch_path(spark: SparkSession) -> str:
     """A new path under spark.checkpoint.dir, read from the session; a local folder only where that is unset (tests)."""
     root = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="cleantrain")
     return f"{root.rstrip('/')}/{uuid.uuid4().hex}"
+
+
+def scratch_table(df: DataFrame) -> DataFrame:
+    """Writes the frame to such a path and reads it back, which cuts its lineage."""
+    spark = df.sparkSession
+    path = scratch_path(spark)
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)

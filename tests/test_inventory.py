@@ -68,6 +68,28 @@ def test_matching_names_map_to_the_frequent_one(spark):
     assert found["Acme Inc."] == "Acme" and found["Other Co"] == "Other Co"
 
 
+def test_variants_are_linked_through_chains_and_right_values_stand(spark):
+    chain = ["a b c d", "a b c d e", "a b c d e f", "x y"]
+    rows = spark.createDataFrame([(i, n) for i, n in enumerate([*chain, chain[2]])] + [(9, None)], "row_id long, corporation string")
+    found = {r.value: r.canonical for r in detect.variant_map(rows, "corporation", 0.75, "unit").collect()}
+    assert found == {chain[0]: chain[2], chain[1]: chain[2], chain[2]: chain[2], "x y": "x y"}
+    right = spark.createDataFrame([("a b c d",), ("q r",), (None,)], "canonical string")
+    found = {r.value: r.canonical for r in detect.variant_map(rows, "corporation", 0.75, "unit", right).collect()}
+    assert found == {chain[0]: chain[0], chain[1]: chain[0], chain[2]: chain[0], "x y": "x y"}
+    rule = detect.Rule.matching("corporation", 0.75, right, "unit")
+    assert {r.row_id for r in detect.ConstraintDetector([rule]).detect(rows).where("is_dirty").collect()} == {1, 2, 4}
+
+
+def test_patterns_tell_null_from_any(spark):
+    rows = spark.createDataFrame([(i, None if i < 6 else "u", "p" if i % 2 else "q", 1 if i < 6 else 0) for i in range(20)], "row_id long, a string, b string, class_id int")
+    tableau = detect.pattern_tableau(rows, ["a", "b"])
+    assert {(tuple(r.given), r.a) for r in tableau.collect()} == {(("a",), None)}
+    got = detect.detect_by_patterns(rows.drop("class_id"), tableau, ["a", "b"])
+    assert {r.row_id: r.class_id for r in got.collect()} == {i: 1 if i < 6 else 0 for i in range(20)}
+    none = detect.detect_by_patterns(rows, tableau.where("false"), ["a", "b"])
+    assert {r.class_id for r in none.collect()} == {0} and none.count() == 20
+
+
 def test_constant_feature_and_empty_rows(spark):
     from cleantrain.operators.features import Featurizer
 
