@@ -14,8 +14,10 @@ from __future__ import annotations
 import hashlib
 import math
 import re
+from array import array
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -24,76 +26,109 @@ from pyspark.sql import types as T
 
 from .common import release_memory, scratch_table, words_of
 
-#: Item words in one automaton (about 300 bytes a word on each executor); more items go to further automata in turn.
+#: Item words in one automaton (measured: about 150 bytes a word in the driver while it is built and in each Python
+#: worker, so 0.3 GB at most); more items go to further automata in turn.
 AUTOMATON_WORDS = 2_000_000
 SPAN_SCHEMA = "doc_id long, n_words long, starts array<long>, ends array<long>, items array<string>"
 _RUN = re.compile(rb"[0-9A-Za-z\x80-\xff]+")
 
 
 class SuffixAutomaton:
-    """Online construction over word ids; several items share it by restarting at the root."""
+    """Online construction over word ids; several items share it by restarting at the root.
+
+    Most states have one way out and at most one window, so both lie in flat arrays of 32-bit numbers; only states
+    with several ways out, or several windows, have a dictionary entry. Pickled and copied as it is.
+    """
 
     def __init__(self, items: list[tuple[str, list[bytes]]], window: int):
         self.window, self.vocabulary = window, {}
-        self.next, self.link, self.length = [{}], [-1], [0]
-        ends: list[tuple[int, int, int]] = []
+        self.via, self.to, self.branch = array("i", [-1]), array("i", [0]), {}  # the only word out of a state and where it leads; or a dictionary
+        self.link, self.length = array("i", [-1]), array("i", [0])
+        self.names, last_states, sizes, numbers = [name for name, _ in items], array("i"), array("i"), array("i")
         for number, (_, item) in enumerate(items):
             state = 0
             for k, word in enumerate(item, 1):
                 state = self._extend(state, self.vocabulary.setdefault(word, len(self.vocabulary)))
                 if k >= window or k == len(item):
-                    ends.append((state, min(window, k), number))
-        self.names = [name for name, _ in items]
+                    last_states.append(state)
+                    sizes.append(min(window, k))
+                    numbers.append(number)
+        self.shortest = min(sizes, default=0)
         # Each window lives in the state whose length range holds the window's length.
-        self.windows: dict[int, dict[int, set[int]]] = {}
-        for state, size, number in ends:
+        self.size, self.item, self.more = array("i", bytes(4 * len(self.link))), array("i", bytes(4 * len(self.link))), {}
+        for state, size, number in zip(last_states, sizes, numbers, strict=True):
             while self.length[self.link[state]] >= size:
                 state = self.link[state]
-            self.windows.setdefault(state, {}).setdefault(size, set()).add(number)
-        self.shortest = min((size for _, size, _ in ends), default=0)
-        self._chains: dict[int, tuple] = {}
-
-    def _add(self, length: int, moves: dict, link: int) -> int:
-        self.next.append(moves)
-        self.link.append(link)
-        self.length.append(length)
+            if not self.size[state]:
+                self.size[state], self.item[state] = size, number
+            elif (self.size[state], self.item[state]) != (size, number):
+                self.more.setdefault(state, {}).setdefault(size, set()).add(number)
+        # The nearest shorter state with a window, found from short to long.
+        self.up = array("i", bytes(4 * len(self.link)))
+        for state in np.argsort(np.frombuffer(self.length, np.int32), kind="stable")[1:].tolist():
+            above = self.link[state]
+            self.up[state] = above if self.size[above] else self.up[above]
+
+    def _get(self, state: int, word: int) -> int | None:
+        if (moves := self.branch.get(state)) is not None:
+            return moves.get(word)
+        return self.to[state] if self.via[state] == word else None
+
+    def _put(self, state: int, word: int, target: int) -> None:
+        if (moves := self.branch.get(state)) is not None:
+            moves[word] = target
+        elif self.via[state] in (-1, word):
+            self.via[state], self.to[state] = word, target
+        else:
+            self.branch[state] = {self.via[state]: self.to[state], word: target}
+
+    def _add(self, length: int, link: int) -> int:
+        for column, value in ((self.via, -1), (self.to, 0), (self.link, link), (self.length, length)):
+            column.append(value)
         return len(self.length) - 1
 
     def _split(self, parent: int, word: int, target: int) -> int:
         """A copy of target for the strings that end after parent; shorter contexts now lead to it."""
-        clone = self._add(self.length[parent] + 1, dict(self.next[target]), self.link[target])
+        clone = self._add(self.length[parent] + 1, self.link[target])
+        self.via[clone], self.to[clone] = self.via[target], self.to[target]
+        if target in self.branch:
+            self.branch[clone] = dict(self.branch[target])
         self.link[target] = clone
-        while parent >= 0 and self.next[parent].get(word) == target:
-            self.next[parent][word] = clone
+        while parent >= 0 and self._get(parent, word) == target:
+            self._put(parent, word, clone)
             parent = self.link[parent]
         return clone
 
     def _extend(self, last: int, word: int) -> int:
-        target = self.next[last].get(word)
+        target = self._get(last, word)
         if target is not None:
             return target if self.length[target] == self.length[last] + 1 else self._split(last, word, target)
-        fresh, state = self._add(self.length[last] + 1, {}, 0), last
-        while state >= 0 and word not in self.next[state]:
-            self.next[state][word] = fresh
+        fresh, state = self._add(self.length[last] + 1, 0), last
+        while state >= 0 and (target := self._get(state, word)) is None:
+            self._put(state, word, fresh)
             state = self.link[state]
         if state >= 0:
-            target = self.next[state][word]
             self.link[fresh] = target if self.length[target] == self.length[state] + 1 else self._split(state, word, target)
         return fresh
 
-    def _chain(self, state: int) -> tuple:
-        """(size, items) of the windows that end where this state's strings end, longest first."""
-        if (found := self._chains.get(state)) is None:
-            out, at = [], state
-            while at > 0:
-                out += sorted(self.windows.get(at, {}).items(), reverse=True)
-                at = self.link[at]
-            found = self._chains[state] = tuple(out)
-        return found
+    def _ending(self, state: int, size: int, items: set[int]) -> int:
+        """Adds the items of the windows of at most `size` words that end here; the longest such window's size, or 0."""
+        longest = 0
+        at = state if self.size[state] else self.up[state]
+        while at:
+            if (need := self.size[at]) <= size:
+                items.add(self.item[at])
+                longest = max(longest, need)
+            for need, numbers in self.more.get(at, {}).items():
+                if need <= size:
+                    items |= numbers
+                    longest = max(longest, need)
+            at = self.up[at]
+        return longest
 
     def scan(self, words: list[bytes]) -> tuple[list[int], list[int], set[int]]:
         """Merged hit spans [start, end) and the numbers of the items whose windows occur."""
-        step, link, length, shortest = self.next, self.link, self.length, self.shortest
+        branch, via, to, link, length, shortest = self.branch, self.via, self.to, self.link, self.length, self.shortest
         starts, ends, items = [], [], set()
         state = size = 0
         if not shortest:
@@ -102,20 +137,18 @@ class SuffixAutomaton:
             if word is None:
                 state = size = 0
                 continue
-            target = step[state].get(word)
-            while target is None and state:
+            while True:
+                moves = branch.get(state)
+                target = moves.get(word) if moves is not None else to[state] if via[state] == word else None
+                if target is not None or not state:
+                    break
                 state = link[state]
                 size = length[state]
-                target = step[state].get(word)
             if target is None:
                 continue
             state, size = target, size + 1
             if size >= shortest:
-                longest = 0
-                for need, numbers in self._chain(state):
-                    if need <= size:
-                        items |= numbers
-                        longest = max(longest, need)
+                longest = self._ending(state, size, items)
                 if longest:
                     start = at + 1 - longest
                     while starts and start <= ends[-1]:

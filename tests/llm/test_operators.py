@@ -26,7 +26,7 @@ EDGE = [(1, None), (2, ""), (3, " \n\t "), (4, "one"), (5, "word " * 30_000), (6
 @pytest.fixture(scope="module")
 def db(small):
     c = duckdb.connect()
-    for t in ("documents", "pages", "benchmark", "embeddings"):
+    for t in ("documents", "pages", "benchmark", "embeddings", "labels"):
         c.sql(f"create view {t} as select * from '{small}/{t}.parquet'")
     return c
 
