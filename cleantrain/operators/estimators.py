@@ -89,8 +89,8 @@ def estimated_gradients(kind: str, loss: Loss, theta, x, y, flags: np.ndarray, s
     raise ValueError(kind)
 
 
-def relative_errors(estimated: np.ndarray, true: np.ndarray, least: float = 1e-12) -> float:
-    """Mean of |estimate - truth| / |truth| over rows with a gradient."""
+def relative_error_sum(estimated: np.ndarray, true: np.ndarray, least: float = 1e-12) -> tuple[float, int]:
+    """Sum of |estimate - truth| / |truth| over rows with a gradient, and their number."""
     size = np.linalg.norm(true, axis=1)
     some = size > least
-    return float((np.linalg.norm(estimated - true, axis=1)[some] / size[some]).mean()) if some.any() else 0.0
+    return float((np.linalg.norm(estimated - true, axis=1)[some] / size[some]).sum()), int(some.sum())
