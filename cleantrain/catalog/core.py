@@ -218,9 +218,20 @@ def draw_poisson(spark, sf_dir):
     return sampling.draw_poisson(pool(spark, sf_dir), BATCH, SEED, 1).select("row_id")
 
 
-@query()
+@query(f"""with {POOL}, placed as (select row_id, p, sum(p) over (order by row_id % {sampling.BUCKETS}, row_id) as upto from pool),
+points as (select {uniform_sql('k', SEED, 1, 'point')} * (select sum(p) from pool) as point from (select unnest(range(1, {BATCH} + 1)) as k))
+select row_id, {s6('p * (select count(*) from pool)')} as relative_p, count(*)::bigint as times from points join placed on point >= upto - p and point < upto group by row_id, p""")
 def draw_with_replacement(spark, sf_dir):
-    return sampling.draw_with_replacement(pool(spark, sf_dir), BATCH, SEED, 1)
+    drawn = sampling.draw_with_replacement(pool(spark, sf_dir), BATCH, SEED, 1)
+    n = pool(spark, sf_dir).agg(F.count(F.lit(1)).alias("n"))
+    return drawn.crossJoin(F.broadcast(n)).select("row_id", r6(F.col("p") * F.col("n")).alias("relative_p"), "times")  # n is one row
+
+
+@query(f"""with {POOL}, keyed as (select *, -ln({uniform_sql('row_id', SEED, 1)}) / p as key from pool),
+low as (select *, row_number() over (order by key, row_id) as draw_order from keyed qualify draw_order <= {BATCH} + 1)
+select row_id, draw_order::int as draw_order, {s6(f'case when (select count(*) from low) > {BATCH} then 1 - exp(-p * (select max(key) from low)) else 1 end')} as pi from low where draw_order <= {BATCH}""")
+def draw_bottom_k(spark, sf_dir):
+    return sampling.draw_bottom_k(pool(spark, sf_dir), BATCH, SEED, 1).select("row_id", "draw_order", r6(F.col("pi")).alias("pi"))
 
 
 def _batch(spark, sf_dir):

@@ -3,7 +3,7 @@
 COVERAGE = {
     "M-1": "grad_squared", "M-2": "grad_logistic", "M-3": "grad_hinge", "M-4": "grad_mean", "M-5": "grad_absolute", "M-6": "aggregates_as_losses", "M-7": "fit_ridge", "M-8": "grad_one_vs_all", "M-9": "measure_test_error",
     "M-10": "tests/test_inventory.py", "M-11": "tests/test_inventory.py", "M-12": "fit_line_dirty", "M-13": "step_schedules", "M-14": "gradient_of_clean_part", "M-15": "gradient_of_batch", "M-16": "draw_with_replacement", "M-17": "draw_poisson",
-    "M-18": "draw_ordered", "M-18b": "tests/test_sampling.py", "M-18c": "tests/test_sampling.py", "M-19": "gradient_combined", "M-20": "one_update", "M-21": "progressive_loop", "M-22": "tests/test_inventory.py", "M-23": "w14_batch_size",
+    "M-18": "draw_ordered", "M-18b": "draw_bottom_k", "M-18c": "tests/test_sampling.py", "M-19": "gradient_combined", "M-20": "one_update", "M-21": "progressive_loop", "M-22": "tests/test_inventory.py", "M-23": "w14_batch_size",
     "M-23b": "tests/test_inventory.py", "M-23c": "set_of_records_clean", "M-23d": "measure_reliability", "M-24": "weight_taylor_squared", "M-25": "w03_source_of_gain", "M-26": "weight_oracle", "M-27": "grad_norms_per_row", "M-28": "weight_taylor_hinge",
     "M-29": "w06_adaptive_detector", "M-30": "weight_feature_change", "M-31": "weight_average_gradient", "M-32": "w08_estimators", "M-33": "change_by_feature", "M-34": "weights_floored", "M-35": "variance_by_design",
     "M-36": "detect_union", "M-37": "detect_union", "M-38": "detect_union", "M-39": "rules_exclusive_and_null", "M-40": "rule_matching_pairs", "M-41": "rules_exclusive_and_null", "M-42": "detect_union", "M-43": "rule_regex", "M-43b": "rule_functional",

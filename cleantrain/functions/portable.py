@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import hashlib
+
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -18,6 +20,12 @@ def uniform(key: str | Column, *seed: object) -> Column:
     return (_hex(F.concat_ws("|", *[s.cast("string") if isinstance(s, Column) else F.lit(str(s)) for s in seed], key.cast("string")), HEX_UNIFORM) + 0.5) / 2.0**32
 
 
+def uniform_number(key: object, *seed: object) -> float:
+    """The same number in Python."""
+    text = "|".join(str(s) for s in (*seed, key))
+    return (int(hashlib.md5(text.encode()).hexdigest()[:HEX_UNIFORM], 16) + 0.5) / 2.0**32
+
+
 def hashed_id(key: Column) -> Column:
     """A 52-bit id of a row's key: stable over runs and partitionings, without a sort."""
     return _hex(key, HEX_ID)

@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.losses import Loss
-from ..functions.portable import uniform
+from ..functions.portable import uniform, uniform_number
 from ..functions.vectors import add_all, dot, masked
 
 FLOOR = 0.1
@@ -102,8 +102,17 @@ def draw_poisson(rows: DataFrame, b: int, seed: object, iteration: object) -> Da
     return rows.withColumn("pi", F.least(F.lit(1.0), b * F.col("p"))).where(uniform("row_id", seed, iteration) < F.col("pi"))
 
 
+def draw_bottom_k(rows: DataFrame, b: int, seed: object, iteration: object) -> DataFrame:
+    """The b smallest keys with pi, the chance of a key below the next one, tau; pi is 1 where the pool has no next one."""
+    top = rows.withColumn("key", draw_key(F.col("p"), seed, iteration)).orderBy("key", "row_id").limit(b + 1)
+    every = Window.partitionBy(F.lit(1))  # b + 1 rows
+    top = top.withColumn("draw_order", F.row_number().over(every.orderBy("key", "row_id"))).withColumn("_k", F.count(F.lit(1)).over(every)).withColumn("tau", F.max("key").over(every))
+    pi = F.when(F.col("_k") > b, 1 - F.exp(-F.col("p") * F.col("tau"))).otherwise(1.0)
+    return top.where(F.col("draw_order") <= b).withColumn("pi", pi).drop("_k", "tau")
+
+
 def draw_with_replacement(rows: DataFrame, b: int, seed: int, iteration: int) -> DataFrame:
-    """b independent draws: row_id, p, times. Points fall into buckets of rows by their totals, then into a row by a running sum.
+    """b independent draws: row_id, p, times; p needs no normaliser. Points are hashes of (seed, iteration, number); they fall into buckets of rows by their totals, then into a row by a running sum.
 
     The totals are BUCKETS numbers on the driver; running sums are needed only in buckets that got a point.
     """
@@ -111,7 +120,9 @@ def draw_with_replacement(rows: DataFrame, b: int, seed: int, iteration: int) ->
     sums = {r["_bucket"]: r.s for r in rows.groupBy("_bucket").agg(F.sum("p").alias("s")).collect()}
     names = sorted(sums)
     edges = np.cumsum([sums[k] for k in names])
-    points = np.random.default_rng([seed, iteration]).random(b) * edges[-1]
+    if not names:
+        return rows.select("row_id", "p", F.lit(0).cast("long").alias("times"))
+    points = np.array([uniform_number(k, seed, iteration, "point") for k in range(1, b + 1)]) * edges[-1]
     at = np.minimum(np.searchsorted(edges, points, side="right"), len(names) - 1)
     inside = points - np.concatenate([[0.0], edges[:-1]])[at]
     spark = rows.sparkSession

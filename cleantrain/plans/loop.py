@@ -16,16 +16,18 @@ from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.losses import Loss
+from ..functions.portable import uniform
 from ..functions.vectors import dot
 from ..operators import sampling
 from ..operators.detect import ClassifierDetector
 from ..operators.estimators import ChangeStats
 from ..operators.gradient import GramState
-from ..operators.sampling import Weight, draw_key, estimate, estimate_part
+from ..operators.sampling import Weight, draw_key, draw_with_replacement, estimate, estimate_part
 from ..operators.train import Model, Step, fit, penalised
 
 #: Drawn ids that an anti-join may broadcast; the budget is checked against it.
 MAX_BUDGET = 1_000_000
+DESIGNS = ("ordered", "literal", "poisson", "bottom_k", "with_replacement")
 HISTORY = "run_id string, method string, seed int, iteration int, cleaned long, n_dirty long, step double, theta array<double>"
 
 
@@ -63,14 +65,18 @@ class ProgressiveCleaner:
     clean_batch: a cleaner with clean(DataFrame); it sees only drawn rows.
     predicted_clean: 'floor' leaves rows that a classifier calls clean a chance; 'trust' takes them as clean, which is
     biased where it errs. Rows that cleaning removes stay counted and have gradient 0.
+    design: ordered, literal (the same draw, the printed estimator), poisson (batches of random size, empty ones too),
+    bottom_k, or with_replacement (two more passes; a row drawn twice is cleaned once and counts twice).
     """
 
     def __init__(
         self, rows: DataFrame, cleaner, loss: Loss, d: int, *, detector=None, weight: str = "dirty", budget: int = 500, batch: int = 50, step: Callable | None = None, lam: float = 0.0, seed: int = 0, floor: float = sampling.FLOOR,
         method: str = "progressive", init: str | np.ndarray = "dirty", predicted_clean: str = "floor", design: str = "ordered", update_every: int | None = None, target: Callable | None = None, tolerance: float | None = None, on_commit: Callable | None = None,
     ):
-        if design not in ("ordered", "literal"):
-            raise ValueError("the loop draws in order; other designs have estimators of their own")
+        if design not in DESIGNS:
+            raise ValueError(f"design is one of {', '.join(DESIGNS)}")
+        if design not in DESIGNS[:2] and (update_every or weight == "top_uncertain"):
+            raise ValueError("parts of a batch, and the nearest rows, need rows in draw order")
         if budget > MAX_BUDGET:
             raise ValueError(f"a budget above {MAX_BUDGET} needs a ledger table joined by shuffle")
         self.rows, self.cleaner, self.loss, self.d = rows, cleaner, loss, d
@@ -132,27 +138,29 @@ class ProgressiveCleaner:
             step = self._draw(spark, matrix, theta, stats, seen, classifier, trusted, known, gram is None, b, total_before, iteration)
             total_before = step["total"]
             drawn, n_dirty = step["rows"], step["n_dirty"]
-            if not drawn:
+            if not n_dirty or (not drawn and self.design != "poisson"):
                 break
-            cleaned = {r["row_id"]: r for r in self.cleaner.clean(spark.createDataFrame([{c: r[c] for c in columns} | {"draw_order": k} for k, r in enumerate(drawn, 1)], self._batch_schema(matrix))).collect()}
+            cleaned = {} if not drawn else {r["row_id"]: r for r in self.cleaner.clean(spark.createDataFrame([{c: r[c] for c in columns} | {"draw_order": k} for k, r in enumerate(drawn, 1)], self._batch_schema(matrix))).collect()}
             if self.weight == "top_uncertain":
                 p = np.full(len(drawn), 1.0 / n_dirty)  # no known probability: a plain average, biased
             else:
                 p = np.array([r["p"] for r in drawn])
             fixed = [cleaned.get(r["row_id"]) for r in drawn]
             kept = np.array([f is not None and bool(f["kept"]) for f in fixed])
-            x_c = np.array([list(f["x_c"]) if k else [0.0] * d for f, k in zip(fixed, kept, strict=True)])
+            x_c = np.array([list(f["x_c"]) if k else [0.0] * d for f, k in zip(fixed, kept, strict=True)]).reshape(-1, d)
             y_c = np.array([f["y_c"] if k else 0.0 for f, k in zip(fixed, kept, strict=True)], dtype=float)
-            size = self.update_every or len(drawn)
+            pi = np.array([r.get("pi") or n_dirty * q / r.get("times", 1) for r, q in zip(drawn, p, strict=True)])
+            size = self.update_every or max(len(drawn), 1)
             clean_n, clean_sum = self._clean_part(step, gram, seen, theta)
-            for start in range(0, len(drawn), size):
+            for start in range(0, max(len(drawn), 1), size):
                 # Several steps on one draw: each takes the mean of its own draws' terms, at the present model.
                 part = slice(start, start + size)
                 g = np.where(kept[part][:, None], loss.np_gradients(x_c[part], y_c[part], theta), 0.0)
                 if self.weight == "top_uncertain":
                     g_s = g.mean(0)
-                elif size == len(drawn):
-                    g_s = estimate(g, p[part], n_dirty, self.design)
+                elif size >= len(drawn):
+                    # Both kinds of draws that are given their chances take the plain sum over them.
+                    g_s = estimate(g, p, n_dirty, "poisson" if self.design == "bottom_k" else self.design, times=np.array([r.get("times", 1) for r in drawn]), pi=pi)
                 else:
                     end = start + len(p[part])
                     g_s = estimate_part(np.where(kept[:end, None], loss.np_gradients(x_c[:end], y_c[:end], theta), 0.0), p[:end], n_dirty, start)
@@ -160,10 +168,10 @@ class ProgressiveCleaner:
                     clean_n, clean_sum = gram.n, gram.total_gradient(theta)
                 elif start:
                     clean_n, clean_sum = self._clean_part(step, gram, seen, theta, again=(matrix, known, trusted, classifier))
-                gamma = self.step(iteration if size == len(drawn) else (iteration - 1) * (-(-self.batch // size)) + start // size + 1, len(p[part]))
+                gamma = self.step(iteration if size >= len(drawn) else (iteration - 1) * (-(-self.batch // size)) + start // size + 1, len(p[part]))
                 theta = update(theta, combine(clean_sum / max(clean_n, 1), clean_n, g_s, n_dirty), gamma, self.lam)
-            self._commit(out, seen, stats, gram, drawn, fixed, kept, x_c, y_c, p, n_dirty, iteration)
-            if classifier is not None:
+            self._commit(out, seen, stats, gram, drawn, fixed, kept, x_c, y_c, p, pi, n_dirty, iteration)
+            if classifier is not None and seen["id"]:
                 classifier.fit(np.array(seen["x"]), np.array(seen["class_id"]))
             out.history.append((f"{self.method}-{self.seed}", self.method, self.seed, iteration, len(seen["id"]), int(n_dirty), float(gamma), [float(v) for v in theta]))
             if self.on_commit:
@@ -212,15 +220,35 @@ class ProgressiveCleaner:
             metrics += [F.sum(slope * F.get("x", F.lit(i))).alias(f"g{i}") for i in range(self.d)]
         seenat = Observation()
         rows = rows.observe(seenat, *metrics)
-        order = F.abs(dot(F.col("x"), theta)) if self.weight == "top_uncertain" else draw_key(F.col("_a"), self.seed, iteration)
-        top = rows.where("_a is not null").withColumn("_key", order).orderBy("_key", "row_id").limit(b).drop("_w", "_clean", "_key")
-        drawn = [r.asDict() for r in top.collect()]
+        drawn = self._drawn(rows, theta, b, iteration)
         found = seenat.get
         for r in drawn:
             r["p"] = r.pop("_a") / found["a"]
         sums = np.array([found[f"g{i}"] or 0.0 for i in range(self.d)]) if scan_clean else None
         return {"rows": drawn, "n_dirty": found["n"], "total": (found["w"] or 0.0, found["n"] - len(drawn)), "clean_n": found["nc"], "clean_sum": sums}
 
+    def _drawn(self, rows: DataFrame, theta, b: int, iteration: int) -> list[dict]:
+        """The batch by the design, with pi or times where the design has them. `_a` is p on a scale that is the same for all rows."""
+        pool = rows.where("_a is not null").drop("_w", "_clean")
+        if self.design == "poisson":
+            pi = F.least(F.lit(1.0), b * F.col("_a"))  # the scale is known here too, so these are the exact chances
+            # Ordered here: behind an exchange, a plan whose batch is empty would be cut short together with its sums.
+            return sorted((r.asDict() for r in pool.withColumn("pi", pi).where(uniform("row_id", self.seed, iteration) < F.col("pi")).collect()), key=lambda r: r["row_id"])
+        if self.design == "with_replacement":
+            times = draw_with_replacement(pool.select("row_id", F.col("_a").alias("p")), b, self.seed, iteration).select("row_id", "times")
+            held = {r.row_id: r.times for r in times.collect()}  # at most b
+            # The observed sums come with this pass: the batch is picked out by its ids behind the observation.
+            return sorted((r.asDict() | {"times": held[r.row_id]} for r in pool.where(F.col("row_id").isin(list(held))).collect()), key=lambda r: r["row_id"])
+        order = F.abs(dot(F.col("x"), theta)) if self.weight == "top_uncertain" else draw_key(F.col("_a"), self.seed, iteration)
+        top = pool.withColumn("_key", order).orderBy("_key", "row_id").limit(b + (self.design == "bottom_k"))
+        drawn = [r.asDict() for r in top.collect()]
+        keys = [r.pop("_key") for r in drawn]
+        if self.design == "bottom_k":
+            for r in drawn:
+                r["pi"] = -np.expm1(-r["_a"] * keys[-1]) if len(drawn) > b else 1.0
+            drawn = drawn[:b]
+        return drawn
+
     def _clean_part(self, step, gram, seen, theta, again=None) -> tuple[float, np.ndarray]:
         """Size and summed gradient of rows known clean: by detection, and cleaned before this batch."""
         if gram is not None:
@@ -243,8 +271,10 @@ class ProgressiveCleaner:
             n = n + len(seen["id"])
         return n, total
 
-    def _commit(self, out, seen, stats, gram, drawn, fixed, kept, x_c, y_c, p, n_dirty, iteration) -> None:
-        pi = np.maximum(n_dirty * p, 1e-300)
+    def _commit(self, out, seen, stats, gram, drawn, fixed, kept, x_c, y_c, p, pi, n_dirty, iteration) -> None:
+        if not drawn:
+            return
+        pi = np.maximum(pi, 1e-300)
         flags = [list(r.get("err_features") or (f["err_features"] if f is not None and "err_features" in f.asDict() else []) or []) for r, f in zip(drawn, fixed, strict=True)]
         classes = [int((f["class_id"] if f is not None and "class_id" in f.asDict() and f["class_id"] is not None else r.get("class_id")) or 0) for r, f in zip(drawn, fixed, strict=True)]
         x, y = np.array([r["x"] for r in drawn]), np.array([r["y"] for r in drawn], dtype=float)

@@ -51,6 +51,31 @@ def test_loop_equals_a_replay(rows):
         assert np.allclose(theta, run.history[t][-1], atol=1e-9)
 
 
+@pytest.mark.parametrize("design", ["poisson", "bottom_k", "with_replacement"])
+def test_other_designs_step_by_their_own_estimators(rows, design):
+    """The first step is recomputed from the ledger, and a large budget uses up the pool without repeats."""
+    run = _run(rows, detector="known", design=design, budget=25, batch=25)
+    first = [r for r in run.ledger if r["iteration"] == 1]
+    loss, theta, n = losses.squared(), np.array(run.history[0][-1]), first[0]["n_dirty"]
+    g = loss.np_gradients(np.array([r["x_c"] for r in first]), np.array([r["y_c"] for r in first]), theta)
+    pi = np.array([r["pi"] for r in first])
+    times = np.array([r["p"] * n / r["pi"] for r in first])
+    if design == "with_replacement":
+        assert np.allclose(times, times.round()) and round(times.sum()) == 25
+        g_s = (g * (times / np.array([r["p"] for r in first]))[:, None]).sum(0) / (25 * n)
+    else:
+        assert ((pi > 0) & (pi <= 1)).all()
+        g_s = (g / pi[:, None]).sum(0) / n
+    clean = rows.where("not is_dirty").collect()
+    part = loss.np_gradients(np.array([r.x for r in clean]), np.array([r.y for r in clean], dtype=float), theta).mean(0)
+    assert np.allclose(update(theta, combine(part, len(clean), g_s, n), 0.3), run.history[1][-1], atol=1e-9)
+    few = rows.withColumn("k", F.pmod("row_id", F.lit(40))).where("not is_dirty or k < 8")
+    ids = [r["row_id"] for r in _run(few, detector="known", design=design, budget=10_000, batch=20).ledger]
+    assert len(ids) == len(set(ids)) == few.where("is_dirty").count()
+    with pytest.raises(ValueError):
+        _run(rows, design=design, update_every=5)
+
+
 def test_ledger_keeps_budget_and_never_repeats(rows):
     run = _run(rows, detector=None, weight="uniform", budget=50, batch=20)
     ids = [r["row_id"] for r in run.ledger]

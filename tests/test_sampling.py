@@ -70,6 +70,14 @@ def test_pool_smaller_than_batch(spark):
     assert sampling.draw_ordered(rows, 50, 1, 1).count() == 3
 
 
+def test_bottom_k_pool_smaller_than_batch(spark):
+    rows = spark.range(3).select(F.col("id").alias("row_id"), F.lit(1 / 3).alias("p"))
+    assert {r.pi for r in sampling.draw_bottom_k(rows, 3, 1, 1).collect()} == {1.0}
+    assert all(0 < r.pi < 1 for r in sampling.draw_bottom_k(rows, 2, 1, 1).collect())
+    none = rows.where("row_id < 0")
+    assert sampling.draw_bottom_k(none, 2, 1, 1).count() == sampling.draw_with_replacement(none, 2, 1, 1).count() == 0
+
+
 def test_with_replacement_counts_every_draw(spark):
     rows = spark.range(200).select(F.col("id").alias("row_id"), F.lit(1 / 200).alias("p"))
     assert sampling.draw_with_replacement(rows, 64, 1, 1).agg(F.sum("times")).first()[0] == 64
