@@ -107,7 +107,7 @@ def w02_error_by_cleaned(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def w03_source_of_gain(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _compared(spark, sf_dir, "w03", ["progressive", "progressive_nodetect", "progressive_nodetect_uniform", "uncertainty_prob", "clean_sample_only"])
+    return _compared(spark, sf_dir, "w03", ["progressive", "progressive_nodetect", "progressive_nodetect_uniform", "uncertainty_prob", "clean_sample_only"], budget=500)
 
 
 def w04_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
