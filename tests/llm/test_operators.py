@@ -86,6 +86,40 @@ def test_languages_of_the_documents(spark, small):
     assert got.where("language = lang").count() >= 0.99 * docs.count() and got.where("rejected").count() == 0
 
 
+def test_four_kinds_of_evidence_equal_brute_force(spark, small):
+    """Every page's posterior is made again by a loop over all other pages that share its host, parent, declared language or suffix."""
+    from urllib.parse import urlsplit
+
+    model = language_id.train(spark.read.parquet(f"{small}/documents.parquet").select("text", "lang"))
+    pages = spark.read.parquet(f"{small}/pages.parquet").select("page_id", "url", "html").limit(120)
+    odd = [(10**6, "https://De.example.com/x", "<html lang=de><p>das</p>"), (10**6 + 1, "https://fr.example.com/", "<html lang='fr'><p>le</p>"), (10**6 + 2, None, None), (10**6 + 3, "no url", "<p>the</p>")]
+    pages = pages.union(spark.createDataFrame(odd, pages.schema)).persist()
+    found = language_id.page_evidence(pages)
+    for r in found.join(pages.select(F.col("page_id").cast("string").alias("page_id"), "url"), "page_id").collect():
+        host = urlsplit(r.url or "").hostname
+        labels = (host or "").split(".")
+        assert (r.host, r.parent, r.suffix) == (host, ".".join(labels[-2:]) if len(labels) > 1 else None, labels[-1] if len(labels) > 1 else None)
+    rows = language_id.text_scores(found, model).collect()
+    n, soft, logs = len(language_id.LANGUAGES) + 1, np.array([r.soft for r in rows]), np.array([r.logs for r in rows])
+    smoothing, start = language_id.SMOOTHING, np.array([0.99 / (n - 1)] * (n - 1) + [0.01])
+    base = (soft.sum(0) + smoothing * start) / (soft.sum() + smoothing)
+
+    def others(i: int, name: str, towards: np.ndarray) -> np.ndarray:
+        value = rows[i][name]
+        rest = sum((soft[k] for k, r in enumerate(rows) if k != i and value is not None and r[name] == value), np.zeros(n))
+        return (rest + smoothing * towards) / (rest.sum() + smoothing)
+
+    got = {r.page_id: r for r in language_id.identify(found, model).collect()}
+    assert len(got) == len(rows) == pages.count()
+    for i, r in enumerate(rows):
+        total = logs[i] + np.log(others(i, "host", others(i, "parent", base))) + np.log(others(i, "declared", base)) + np.log(others(i, "suffix", base)) - 2 * np.log(base)
+        p = np.exp(total - total.max())
+        p /= p.sum()
+        best = (*language_id.LANGUAGES, "und")[int(p.argmax())] if r.n_letters else "und"
+        assert got[r.page_id].language == best and abs(got[r.page_id].probability - (p.max() if r.n_letters else 1.0)) < 1e-6
+    pages.unpersist()
+
+
 def test_held_out_text_without_evidence(spark, small):
     docs = spark.read.parquet(f"{small}/documents.parquet")
     model = language_id.train(docs.where("doc_id % 2 = 0"))
