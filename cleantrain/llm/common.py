@@ -25,7 +25,7 @@ def words_of(text: str | None) -> list[bytes]:
 def scratch_dir(spark: SparkSession) -> str:
     """A new folder under the session's checkpoint folder, which driver and executors share.
 
-    The session's own setting is used; only where none is set (tests) is a local one chosen.
+    The session's own setting is used; only where none is set on a local master (tests) is a local one chosen.
     """
     sc = spark.sparkContext
     base = sc._jsc.sc().getCheckpointDir()
@@ -33,6 +33,8 @@ def scratch_dir(spark: SparkSession) -> str:
         root = base.get()
     else:
         root = spark.conf.get("spark.checkpoint.dir", None)
+        if not root and not sc.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         sc.setCheckpointDir(root or tempfile.mkdtemp(prefix="checkpoints"))
         root = sc._jsc.sc().getCheckpointDir().get()
     return f"{root}/{uuid.uuid4().hex}"
