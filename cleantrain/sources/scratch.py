@@ -9,8 +9,11 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def scratch_path(spark: SparkSession) -> str:
-    """A new path under spark.checkpoint.dir, read from the session; a local folder only where that is unset (tests)."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="cleantrain")
+    """A new path under spark.checkpoint.dir, read from the session; a local folder only where that is unset on a local master (tests)."""
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root and not spark.sparkContext.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
+    root = root or tempfile.mkdtemp(prefix="cleantrain")
     return f"{root.rstrip('/')}/{uuid.uuid4().hex}"
 
 
