@@ -113,3 +113,31 @@ def test_rules_of_one_name_and_columns_named_like_rules(spark):
     rows = spark.createDataFrame([(1, -5.0, "own"), (2, 20.0, "own"), (3, 5.0, "own")], "row_id long, a double, range_a string")
     got = {r.row_id: r for r in ConstraintDetector([Rule.range("a", low=0), Rule.range("a", high=10)]).detect(rows).collect()}
     assert [got[k].violated for k in (1, 2, 3)] == [["range_a"], ["range_a_2"], []] and all(r.range_a == "own" for r in got.values())
+
+
+def test_systematic_cut_offs_are_exact_ranks(spark):
+    from cleantrain.functions.portable import uniform
+    from cleantrain.operators import corrupt
+
+    n = 400_000
+    rows = spark.range(n).select(F.col("id").alias("row_id"), F.array(F.lit(1.0), uniform("id", "v") * 1e6, (F.col("id") % 7).cast("double")).alias("x"))
+    out = corrupt.systematic(rows, 3, [0.0, 2.0, 1.0], rate=0.06, features=2)
+    taken = {r.f: r["count"] for r in out.select(F.explode("err_features").alias("f")).groupBy("f").count().collect()}
+    assert taken == {1: 12_000, 2: 12_000}
+    edge = out.groupBy(F.array_contains("err_features", 1).alias("hit")).agg(F.min(F.get("x", F.lit(1))).alias("lo"), F.max(F.get("x", F.lit(1))).alias("hi")).collect()
+    assert next(r.lo for r in edge if r.hit) > next(r.hi for r in edge if not r.hit)
+
+
+def test_exact_cuts_at_odd_values(spark):
+    from cleantrain.operators.corrupt import exact_cuts
+
+    values = [None, float("nan"), float("inf"), float("inf"), float("-inf"), 1e308, -1e308, 5e-324, 0.0, -0.0, 2.0, 2.0]
+    rows = spark.createDataFrame([(v,) for v in values], "v double")
+    order = sorted((v for v in values if v is not None and v == v), reverse=True)
+    for k in range(1, 13):
+        cut = order[min(k, len(order)) - 1]
+        assert exact_cuts(rows, {"v": F.col("v")}, {"v": k}, True) == {"v": (cut, sum(v > cut for v in order))}
+        cut = order[::-1][min(k, len(order)) - 1]
+        assert exact_cuts(rows, {"v": F.col("v")}, {"v": k}, False) == {"v": (cut, sum(v < cut for v in order))}
+    assert exact_cuts(rows, {"v": F.col("v")}, {"v": 0}, True) == {}
+    assert exact_cuts(rows.where("v > 3 and v < 4"), {"v": F.col("v")}, {"v": 2}, True) == {}
