@@ -118,3 +118,33 @@ def test_baselines_share_the_history(rows):
     mixed = rows.select("row_id", "x", "y", "x_c", "y_c", "is_dirty")
     whole = baselines.partial_clean(mixed, cleaner, loss, D, [mixed.count()])[-1][-1]
     assert np.allclose(whole, baselines.full_cleaning(rows, loss, D).theta, atol=1e-6)
+
+
+def test_a_packed_matrix_fits_and_steps_as_arrays_do(spark, small, monkeypatch):
+    from cleantrain.catalog import core
+    from cleantrain.functions import losses
+    from cleantrain.operators import train
+    from cleantrain.operators.cleaners import LookupCleaner
+    from cleantrain.plans import baselines
+
+    rows = core.regression(spark, small).withColumn("y", F.col("ypm")).withColumn("y_c", F.col("ypm")).repartition(3, "row_id").persist()
+    cleaner = LookupCleaner(rows.select("row_id", "x_c", "y_c"))
+    passes = []
+    sums = train._sums
+    monkeypatch.setattr(train, "_sums", lambda *a: passes.append(1) or sums(*a))
+    found = []
+    for cells in (train.LOCAL_CELLS, 0):
+        monkeypatch.setattr(train, "LOCAL_CELLS", cells)
+        model = train.fit(rows, losses.hinge(), core.D, 0.01)
+        counted = len(passes)
+        run = baselines.progressive(rows, cleaner, losses.hinge(), core.D, budget=40, batch=20, lam=0.01, init=model.theta)
+        found.append((model.theta, run.theta, sorted(r["row_id"] for r in run.ledger)))
+        assert model.gradient_norm < 1e-7 and counted < 60
+        passes.clear()
+    assert np.allclose(found[0][0], found[1][0], atol=1e-9) and np.allclose(found[0][1], found[1][1], atol=1e-9) and found[0][2] == found[1][2]
+    # A draw under a known detector leaves the clean part alone: its gradient comes from the held matrix.
+    z = rows.where("not is_dirty").select("x", "y").toPandas()
+    x, y = np.array(z.x.tolist()), z.y.to_numpy()
+    g, n = train.held_gradient(train.hold(rows.where("not is_dirty"), core.D), losses.hinge(), found[0][0])
+    assert n == len(y) and np.allclose(g, losses.hinge().np_gradients(x, y, found[0][0]).sum(0))
+    rows.unpersist()
