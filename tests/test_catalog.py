@@ -28,9 +28,28 @@ def test_query_equals_sql(spark, small, db, name):
     assert sorted(got.columns) == sorted(want.columns) and _rows(got) == _rows(want)
 
 
-def test_worked_change_example(spark, small):
+def test_worked_change_example(spark):
+    from pyspark.sql import functions as F
+
+    from cleantrain.operators.estimators import change_by_feature
+
+    ledger = spark.createDataFrame([([1, 2, 3], 0.5), ([1, 2, 6], 1.0)], "err_features array<int>, step double")
+    ledger = ledger.select("err_features", F.lit(1.0).alias("pi"), F.array(*[F.lit(0.0)] * 7).alias("x"), F.transform(F.sequence(F.lit(0), F.lit(6)), lambda i: i * F.col("step")).alias("x_c"))
+    assert {r.feature: r.delta for r in change_by_feature(ledger).collect()} == {1: 0.75, 2: 1.5, 3: 1.5, 6: 6.0}
+
+
+def test_changes_of_the_given_lines(spark, small, db):
     got = {r.feature: r.delta for r in surrounding.QUERIES["w16_change_example"](spark, small).collect()}
-    assert got == {1: 0.75, 2: 1.5, 3: 1.5, 6: 6.0}
+    part = {1: "true", 2: "true", 3: "split % 2 = 0", 5: "split % 2 = 1"}
+    for i, where in part.items():
+        assert got.pop(i) == pytest.approx(db.sql(f"with {core.FX} select avg(c{i} - 6) from fx where {where}").fetchall()[0][0])
+    assert not got
+
+
+@pytest.mark.parametrize("name", ["measure_cleaned_to_reach", "measure_model_error", "measure_ratio", "measure_reduction", "measure_reliability", "step_schedules", "w16_change_example"])
+def test_measures_read_a_given_table(spark, small, name):
+    files = QUERIES[name](spark, small).inputFiles()
+    assert files and all(small in f for f in files)
 
 
 def test_reversal_example(spark, small):
