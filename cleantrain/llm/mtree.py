@@ -9,9 +9,11 @@ A query visits the leaf pages of a cell in order of their lower bound |d(q,cell)
 page without computing a distance once that bound exceeds its k-th best distance, then once d(q,leaf) - radius does,
 and inside a page drops rows by |d(q,leaf) - d(row,leaf)|. Bounds carry a slack, so rounding never drops a tie.
 
-Query blocks meet cells by an equi-join on (cell, block): a unit is one cell and one block of queries, both of
-bounded size, however large a region, a group of equal vectors or the query set is. Only per-query lists of at most
-k rows leave a unit.
+Groups of queries meet parts of the tree (at most PART_CELLS cells) by an equi-join on (part, group), always a shuffled
+one: a broadcast of one side repeated for the other would pass through the driver. A row of it is one cell and one group,
+both of bounded size, however large a region, a group of equal vectors or the query set is. Cells are repeated for each
+group and groups for each part, so groups are large; a group's bounds are carried from cell to cell of a part. Only
+per-query lists of at most k rows leave a part.
 
 Edge cases: vectors that are null, empty, or hold null or non-finite components take no part; so do rows without a
 vec_id. Vectors of different lengths are never compared. Fewer than k candidates give all of them. Rows that repeat
@@ -32,6 +34,8 @@ from pyspark.sql import functions as F
 from .common import scratch_table
 
 REGIONS, CELL_ROWS, LEAF_ROWS, QUERY_ROWS = 64, 4096, 128, 512
+#: Queries of one group, cells of one part at most, and units below which parts are made smaller, so that all tasks have some.
+GROUP_ROWS, PART_CELLS, MIN_UNITS = 16_384, 8, 48
 SLACK = 1e-7
 
 
@@ -80,6 +84,15 @@ def leaf_pages(points: np.ndarray, size: int = LEAF_ROWS) -> list[np.ndarray]:
     return out
 
 
+def none_found(n: int, k: int) -> tuple[np.ndarray, np.ndarray]:
+    return np.full((n, k), -np.inf), np.full((n, k), np.iinfo(np.int64).max)
+
+
+def compact(vectors: np.ndarray) -> np.ndarray:
+    """int16 where that holds them, as in storage."""
+    return vectors.astype(np.int16) if np.abs(vectors).max(initial=0) < 2**15 else vectors
+
+
 class Cell:
     """One cell of the tree, as stored: rows in leaf order and a table of leaf pages."""
 
@@ -95,15 +108,18 @@ class Cell:
         self.radius = np.array([self.to_routing[a:b].max() for a, b in zip(self.cuts, self.cuts[1:], strict=False)])
         self.to_center = np.sqrt(((self.routing - self.center) ** 2).sum(1))
 
-    def search(self, ids: np.ndarray, queries: np.ndarray, bound: float, k: int) -> tuple[np.ndarray, np.ndarray, dict]:
-        """Scores and row ids of each query's k best, best first (missing: -inf), and counts of the work."""
+    def search(self, ids: np.ndarray, queries: np.ndarray, bound: float, k: int, before: tuple | None = None) -> tuple[np.ndarray, np.ndarray, dict]:
+        """Scores and row ids of each query's k best, best first (missing: -inf), and counts of the work.
+
+        before: scores and row ids that other cells gave; the result holds the best of both.
+        """
         n, norms = len(queries), (queries * queries).sum(1)
         asked = np.hstack([queries, np.zeros((n, 1))])
         center = np.sqrt(((asked - self.center) ** 2).sum(1))
         lower = np.abs(center[:, None] - self.to_center[None, :]) - self.radius[None, :]
         order = np.argsort(lower, axis=1, kind="stable")
-        best, who = np.full((n, k), -np.inf), np.full((n, k), np.iinfo(np.int64).max)
-        reach = np.full(n, np.inf)
+        best, who = none_found(n, k) if before is None else (before[0].copy(), before[1].copy())
+        reach = self._reach(norms, bound, best)
         work = {"pages": 0, "bounded_pages": 0, "rows": 0}
         exact = len(queries[0]) * max(np.abs(self.vectors).max(initial=1), 1) * max(np.abs(queries).max(initial=1), 1) < 2**53 if n else True
         for step in range(len(self.radius)):
@@ -141,10 +157,15 @@ class Cell:
                 names = np.hstack([who[group], np.broadcast_to(names, score.shape)])
                 top = np.lexsort((names, -both), axis=1)[:, :k]
                 best[group], who[group] = np.take_along_axis(both, top, 1), np.take_along_axis(names, top, 1)
-                far = norms[group] + bound - 2 * best[group, -1]
-                reach[group] = np.where(np.isfinite(far), np.sqrt(np.maximum(far, 0)) * (1 + SLACK) + SLACK * np.sqrt(bound + 1), np.inf)
+                reach[group] = self._reach(norms[group], bound, best[group])
         return best, who, work
 
+    @staticmethod
+    def _reach(norms: np.ndarray, bound: float, best: np.ndarray) -> np.ndarray:
+        """The distance of each query's k-th best row, with slack; without bound while it has fewer."""
+        far = norms + bound - 2 * best[:, -1]
+        return np.where(np.isfinite(far), np.sqrt(np.maximum(far, 0)) * (1 + SLACK) + SLACK * np.sqrt(bound + 1), np.inf)
+
 
 def top_k(table: DataFrame, k: int = 20, every: int = 20, scale: float = 64.0) -> DataFrame:
     """query_id, rank, vec_id, score: the k best rows for each row whose vec_id is divisible by `every`."""
@@ -184,35 +205,53 @@ def _search(rows: DataFrame, dim: int, n: int, k: int, every: int) -> DataFrame:
     for region, start in starts.items():
         pick = F.when(F.col("region") == region, start + F.pmod(F.xxhash64("vec_id", "packed"), F.lit(cells[region]))).otherwise(pick)
     asked = placed.where(F.pmod("vec_id", F.lit(every)) == 0)
-    blocks = max(1, -(-(n // every) // QUERY_ROWS))
+    groups = max(1, -(-asked.count() // (GROUP_ROWS * 3 // 4)))  # dealt by a hash, too
+    per = min(PART_CELLS, max(1, total * groups // MIN_UNITS))
+    parts = -(-total // per)
 
     def pack(with_tree: bool):
         def run(part: pd.DataFrame) -> pd.DataFrame:
             part = part.drop_duplicates(["vec_id", "packed"]) if not with_tree else part
             ids, vectors = part["vec_id"].to_numpy(np.int64), unpacked(list(part["packed"]), dim)
-            body = pickle.dumps(Cell(ids, vectors, bound) if with_tree else (ids, vectors.astype(np.float64)))
-            return pd.DataFrame({"at": [int(part["at"].iloc[0])], "body": [body]})
+            if with_tree:
+                body = Cell(ids, vectors, bound)
+                body.vectors = compact(body.vectors)
+            else:
+                body = (ids, compact(vectors))
+            return pd.DataFrame({"at": [int(part["at"].iloc[0])], "body": [pickle.dumps(body)]})
 
         return run
 
     tree = placed.select("vec_id", "packed", pick.cast("long").alias("at")).groupBy("at").applyInPandas(pack(True), "at long, body binary")
-    ask = asked.select("vec_id", "packed", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).alias("at")).groupBy("at").applyInPandas(pack(False), "at long, body binary")
+    ask = asked.select("vec_id", "packed", F.pmod(F.xxhash64("vec_id"), F.lit(groups)).alias("at")).groupBy("at").applyInPandas(pack(False), "at long, body binary")
     tree, ask = scratch_table(tree), scratch_table(ask)
-    # Every stated query meets every cell, block by block: a unit has a key of its own, so units spread over all tasks.
-    left = tree.select(F.col("at").alias("cell"), F.col("body").alias("tree"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))).alias("block"))
-    right = ask.select(F.col("at").alias("block"), F.col("body").alias("queries"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(total - 1).cast("long"))).alias("cell"))
-    units = left.join(right, ["cell", "block"]).select("tree", "queries")
+    # Every stated query meets every cell: each part and group is a key of its own, so they spread over all tasks.
+    left = tree.select(F.floor(F.col("at") / per).alias("part"), F.col("body").alias("tree"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(groups - 1).cast("long"))).alias("group"))
+    right = ask.select(F.col("at").alias("group"), F.col("body").alias("queries"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(parts - 1).cast("long"))).alias("part"))
+    units = left.hint("merge").join(right, ["part", "group"]).select("part", "group", "tree", "queries")
 
     def search(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        at, ids, queries, best, who = None, None, None, None, None
+
+        def found() -> Iterator[pd.DataFrame]:
+            for s in range(0, len(ids) if at is not None else 0, QUERY_ROWS):
+                row, column = np.nonzero(best[s : s + QUERY_ROWS] > -np.inf)
+                yield pd.DataFrame({"query_id": ids[s + row], "vec_id": who[s + row, column], "score": best[s + row, column].astype(np.int64)})
+
         for batch in batches:
-            for tree_bytes, query_bytes in zip(batch["tree"], batch["queries"], strict=True):
-                cell, (ids, queries) = pickle.loads(tree_bytes), pickle.loads(query_bytes)
-                best, who, _ = cell.search(ids, queries, bound, k)
-                held = best > -np.inf
-                yield pd.DataFrame({"query_id": ids, "found": [[{"score": int(s), "vec_id": int(v)} for s, v in zip(a[h], b[h], strict=True)] for a, b, h in zip(best, who, held, strict=True)]})
-
-    found = units.mapInPandas(search, "query_id long, found array<struct<score:long,vec_id:long>>")
-    each = found.select("query_id", F.explode("found").alias("f")).select("query_id", "f.vec_id", "f.score")
+            for part, group, tree_bytes, query_bytes in zip(batch["part"], batch["group"], batch["tree"], batch["queries"], strict=True):
+                if at != (part, group):  # units of one key follow each other
+                    yield from found()
+                    at, (ids, queries) = (part, group), pickle.loads(query_bytes)
+                    best, who = none_found(len(ids), k)
+                cell = pickle.loads(tree_bytes)
+                cell.vectors = cell.vectors.astype(np.float64)
+                for s in range(0, len(ids), QUERY_ROWS):
+                    some = slice(s, s + QUERY_ROWS)
+                    best[some], who[some], _ = cell.search(ids[some], queries[some].astype(np.float64), bound, k, (best[some], who[some]))
+        yield from found()
+
+    each = units.mapInPandas(search, "query_id long, vec_id long, score long")
     # Spark keeps the best k of each query before the shuffle, too.
     return each.selectExpr("query_id", "cast(row_number() over (partition by query_id order by score desc, vec_id) as int) as rank", "vec_id", "score").where(F.col("rank") <= k)
 
